@@ -6,12 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from shapesig.llm import exact_dedup, substring_dedup
+from shapesig.llm import exact_dedup, simhash_dedup, substring_dedup
 from shapesig.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash_dedup.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.dedup(table(spark, sf_dir, "documents")).drop("member")
 
@@ -21,7 +25,7 @@ def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op3_exact_dedup, op6_substring_dedup)}
+    return {f.__name__: f for f in (op1_simhash_dedup, op3_exact_dedup, op6_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
