@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from shapesig.llm import exact_dedup, pareto_mix, pii_anchors, simhash_dedup, substring_dedup
+from shapesig.llm import exact_dedup, improbable_digest, pareto_mix, pii_anchors, simhash_dedup, substring_dedup
 from shapesig.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -28,12 +28,16 @@ def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_anchors.find(table(spark, sf_dir, "documents"))
 
 
+def op9_improbable_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return improbable_digest.compare(table(spark, sf_dir, "documents"))
+
+
 def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pareto_mix.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_simhash_dedup, op3_exact_dedup, op6_substring_dedup, op8_pii, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_simhash_dedup, op3_exact_dedup, op6_substring_dedup, op8_pii, op9_improbable_digest, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
