@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from shapesig.llm import exact_dedup, improbable_digest, pareto_mix, pii_anchors, quality_qda, simhash_dedup, substring_dedup
+from shapesig.llm import chat_tree, exact_dedup, improbable_digest, pareto_mix, pii_anchors, quality_qda, simhash_dedup, substring_dedup
 from shapesig.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -16,6 +16,10 @@ def op1_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_dedup.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op2_chat_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat_tree.read_back(chat_tree.pack(chat_tree.with_probe(table(spark, sf_dir, "conversations"))))
+
+
 def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.dedup(table(spark, sf_dir, "documents")).drop("member")
 
@@ -41,8 +45,8 @@ def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_simhash_dedup, op3_exact_dedup, op5_quality_qda, op6_substring_dedup, op8_pii, op9_improbable_digest, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_simhash_dedup, op2_chat_tree, op3_exact_dedup, op5_quality_qda, op6_substring_dedup, op8_pii, op9_improbable_digest, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_exact_dedup": exact_dedup.SQL}
+    return {"op2_chat_tree": chat_tree.SQL, "op3_exact_dedup": exact_dedup.SQL}
