@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from shapesig.llm import chat_tree, exact_dedup, improbable_digest, pareto_mix, pii_anchors, quality_qda, simhash_dedup, substring_dedup
+from shapesig.llm import chat_tree, exact_dedup, html_crf, improbable_digest, pareto_mix, pii_anchors, quality_qda, simhash_dedup, substring_dedup
 from shapesig.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -32,6 +32,10 @@ def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.remove_repeats(table(spark, sf_dir, "documents"))
 
 
+def op7_html_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_crf.extract(table(spark, sf_dir, "pages"))
+
+
 def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_anchors.find(table(spark, sf_dir, "documents"))
 
@@ -45,7 +49,7 @@ def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_simhash_dedup, op2_chat_tree, op3_exact_dedup, op5_quality_qda, op6_substring_dedup, op8_pii, op9_improbable_digest, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_simhash_dedup, op2_chat_tree, op3_exact_dedup, op5_quality_qda, op6_substring_dedup, op7_html_crf, op8_pii, op9_improbable_digest, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
