@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from shapesig.llm import chat_tree, exact_dedup, html_crf, improbable_digest, pareto_mix, pii_anchors, quality_qda, simhash_dedup, substring_dedup
+from shapesig.llm import chat_tree, exact_dedup, html_crf, improbable_digest, pareto_mix, piece_dropout, pii_anchors, quality_qda, simhash_dedup, substring_dedup
 from shapesig.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -24,6 +24,10 @@ def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.dedup(table(spark, sf_dir, "documents")).drop("member")
 
 
+def op4_piece_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_dropout.report(table(spark, sf_dir, "documents"))
+
+
 def op5_quality_qda(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_qda.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -49,7 +53,7 @@ def op10_pareto_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_simhash_dedup, op2_chat_tree, op3_exact_dedup, op5_quality_qda, op6_substring_dedup, op7_html_crf, op8_pii, op9_improbable_digest, op10_pareto_mix)}
+    return {f.__name__: f for f in (op1_simhash_dedup, op2_chat_tree, op3_exact_dedup, op4_piece_dropout, op5_quality_qda, op6_substring_dedup, op7_html_crf, op8_pii, op9_improbable_digest, op10_pareto_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
