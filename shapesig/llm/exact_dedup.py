@@ -160,6 +160,16 @@ def dedup(docs: DataFrame, history: str = "crc32(cast(doc_id AS string)) % 2 = 0
     return out.select("doc_id", F.col("winner").alias("keep_id"), F.col("copies").alias("group_size"), F.col("doc_id").eqNullSafe(F.col("winner")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"), "member")
 
 
+def keep_one(docs: DataFrame) -> DataFrame:
+    """The documents (all columns) without those whose text one with a smaller doc_id has; one of repeated rows."""
+    d = text_digest(F.col("text")).alias("sha_")
+    found = dedup(docs).where("kept").groupBy(F.col("doc_id").alias("id_"), F.col("text_sha256").alias("sha_")).agg((F.count(F.lit(1)) > 1).alias("again_"))
+    met = docs.select("*", d, F.col("doc_id").alias("id_")).join(found.withColumnRenamed("id_", "i_").withColumnRenamed("sha_", "s_"), F.col("id_").eqNullSafe(F.col("i_")) & (F.col("sha_") == F.col("s_")))
+    once = met.where(~F.col("again_")).select(docs.columns)
+    twice = met.where("again_").dropDuplicates(["id_", "sha_"]).select(docs.columns)
+    return once.unionByName(twice)
+
+
 SQL = r"""
 WITH d AS (SELECT doc_id, sha256(regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g')) AS text_sha256 FROM documents)
 SELECT doc_id, min(doc_id) OVER w AS keep_id, count(*) OVER w AS group_size, doc_id = min(doc_id) OVER w AS kept, text_sha256

@@ -184,3 +184,20 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "quality", threshold:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(s), pa.array((s >= threshold).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
     return stats.select("doc_id", "x", "held_out").mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+
+
+def accepted(docs: DataFrame, labels: DataFrame, label: str = "quality", threshold: float = THRESHOLD) -> DataFrame:
+    """The rows (all columns) that score ``threshold`` or more; texts are scored where they are read, not joined."""
+    stats = statistics(docs).where(~held_out())
+    known = labels.select(F.col("doc_id").alias("l_"), F.col(label).alias("label"))
+    model = fit(stats.join(known, F.col("doc_id") == F.col("l_")).select("x", "label"))
+    if model is None:
+        return docs
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in rows_of(batch, "text", 2 << 20):
+                s = model.score(statistics_of(part.column(part.schema.get_field_index("text"))))
+                yield part.filter(pa.array(s >= threshold))
+
+    return docs.mapInArrow(run, docs.schema)
