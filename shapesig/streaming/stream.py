@@ -15,24 +15,28 @@ from shapesig.operators.prepare import Frame
 from shapesig.operators.signature import CAP, signature
 from shapesig.sources.layers import POINTS, star_rings
 
-WEEK = 604_800
-EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
+EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
 
 def _pid(user: Column, week: Column) -> Column:
     return user * 100_000 + week
 
 
+def _week(at: Column) -> Column:
+    """Weeks since the epoch, which begin on Thursdays as the windows of a week do."""
+    return F.floor(F.datediff(at.cast("date"), F.lit("1970-01-01").cast("date")) / 7).cast("bigint")
+
+
 def weekly_rings_batch(events: DataFrame) -> DataFrame:
     """Prepared rings of each user's week (pid = user and week number), as the stream gives them."""
     _, x, y = POINTS["user"][1]()
-    week = F.floor(F.unix_seconds("ts") / WEEK).cast("bigint")
+    week = _week(F.col("ts"))
     points = events.where("ts IS NOT NULL AND value IS NOT NULL").select(_pid(F.col("user_id"), week).alias("pid"), x.alias("x"), y.alias("y"))
     return P.prepare(star_rings(points)).withColumn("user_id", F.floor(F.col("pid") / 100_000)).withColumn("week", F.col("pid") % 100_000)
 
 
 def read_events(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
-    return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+    return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_batch).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def windowed_points(events: DataFrame, late: str = "1 day", width: str = "7 days", slide: str | None = None) -> DataFrame:
@@ -41,7 +45,6 @@ def windowed_points(events: DataFrame, late: str = "1 day", width: str = "7 days
     seen = events.withWatermark("ts", late)
     if events.isStreaming:
         seen = seen.dropDuplicatesWithinWatermark(["event_id"])
-    # Epoch weeks begin on a Thursday, as window() does.
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
     return seen.groupBy(w.alias("w"), "user_id").agg(F.collect_set(F.struct(x.alias("x"), y.alias("y"))).alias("pts"))
 
@@ -54,7 +57,7 @@ def session_points(events: DataFrame, gap: str = "6 hours", late: str = "1 day")
 
 def rings_of_windows(closed: DataFrame) -> DataFrame:
     """(pid, ring) of closed windows."""
-    week = F.floor(F.unix_seconds("w.start") / WEEK).cast("bigint")
+    week = _week(F.col("w.start"))
     points = closed.select(_pid(F.col("user_id"), week).alias("pid"), F.explode("pts").alias("p")).select("pid", "p.*")
     return star_rings(points)
 
