@@ -199,7 +199,7 @@ def distances(many: Rings, one: Rings, k: int = 0) -> np.ndarray:
     """Area Jaccard distance of each ring to ring ``k`` of ``one``."""
     shared = intersections(many, one, k)
     union = many.area + one.area[k] - shared
-    return 1 - shared / np.where(union == 0, 1, union)
+    return np.maximum(0.0, 1 - shared / np.where(union == 0, 1, union)) + 0.0  # no negative zero
 
 
 def upper_bound(many: Rings, one: Rings, k: int = 0) -> np.ndarray:

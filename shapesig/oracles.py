@@ -128,7 +128,7 @@ def distance(pair: str = "pair", p: str = "", q: str = "", name: str = "jd") ->
         (f"{name}_q", signed(q, f"{name}_oq")),
         (f"{name}_x", f"SELECT t.qid, t.pid, greatest(e.a, f.a) AS lo, least(e.b, f.b) AS hi, e.ya + (greatest(e.a, f.a) - e.a) * ((e.yb - e.ya) / (e.b - e.a)) AS p0, e.ya + (least(e.b, f.b) - e.a) * ((e.yb - e.ya) / (e.b - e.a)) AS p1, f.ya + (greatest(e.a, f.a) - f.a) * ((f.yb - f.ya) / (f.b - f.a)) AS q0, f.ya + (least(e.b, f.b) - f.a) * ((f.yb - f.ya) / (f.b - f.a)) AS q1, e.s * f.s AS s FROM {pair} t JOIN {name}_p e ON e.pid = t.pid JOIN {name}_q f ON f.pid = t.qid AND e.a < f.b AND f.a < e.b"),
         (f"{name}_i", f"SELECT qid, pid, greatest(0, sum(s * (hi - lo) * ((p0 + p1 + q0 + q1) / 4 - (CASE WHEN (p0 - q0) * (p1 - q1) >= 0 THEN abs(p0 - q0 + p1 - q1) / 2 ELSE ((p0 - q0) * (p0 - q0) + (p1 - q1) * (p1 - q1)) / (2 * (abs(p0 - q0) + abs(p1 - q1))) END) / 2))) AS i FROM {name}_x GROUP BY qid, pid"),
-        (name, f"SELECT t.qid, t.pid, round(1 - coalesce(i, 0) / (a.area2 / 2.0 + b.area2 / 2.0 - coalesce(i, 0)), 6) AS jd FROM {pair} t LEFT JOIN {name}_i USING (qid, pid) JOIN {p}s a ON a.pid = t.pid JOIN {q}s b ON b.pid = t.qid"),
+        (name, f"SELECT t.qid, t.pid, round(greatest(0.0::DOUBLE, 1 - coalesce(i, 0) / (a.area2 / 2.0 + b.area2 / 2.0 - coalesce(i, 0))), 6) + 0.0 AS jd FROM {pair} t LEFT JOIN {name}_i USING (qid, pid) JOIN {p}s a ON a.pid = t.pid JOIN {q}s b ON b.pid = t.qid"),
     ]
 
 
