@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from shapesig.functions import kernels as K
 from shapesig.operators import index as ix
@@ -20,18 +21,18 @@ def _arrays(ring) -> tuple[np.ndarray, np.ndarray]:
     return np.array([p["x"] for p in ring], np.int64), np.array([p["y"] for p in ring], np.int64)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def ring_area(ring: pd.Series) -> pd.Series:
     return pd.Series(K.Rings.of(list(ring)).area)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def ring_jaccard(a: pd.Series, b: pd.Series) -> pd.Series:
     """Area Jaccard similarity of two rings as placed."""
     return pd.Series([1 - float(K.distances(K.Rings.of([x]), K.Rings.of([y]))[0]) for x, y in zip(a, b, strict=True)])
 
 
-@F.pandas_udf("boolean")
+@F.pandas_udf(T.BooleanType())
 def ring_contains(ring: pd.Series, px: pd.Series, py: pd.Series) -> pd.Series:
     return pd.Series([bool(K.inside(*_arrays(r), np.array([x], np.int64), np.array([y], np.int64))[0]) for r, x, y in zip(ring, px, py, strict=True)])
 

@@ -25,7 +25,7 @@ from shapesig.sources import layers, wkt
 
 Query = Callable[[SparkSession, str], DataFrame]
 KS = [10, 50, 100]
-PLAIN_CAP, SIZED_CAP = 256, 4096
+PLAIN_CAP, SIZED_CAP, LAW_CAP = 256, 4096, 1024
 
 
 def cap_of(name: str) -> int:
@@ -336,14 +336,14 @@ def attempt_law(name: str, slots: int, spark: SparkSession, sf_dir: str) -> Data
     """Per shape: sparsity, mean and variance of the first-hit values, and what the geometric law expects."""
     poly = prepared(spark, sf_dir, name)
     frame = P.global_frame(poly)
-    stats = M.attempt_stats(first_hit(poly, frame, list(range(slots)), SIZED_CAP))
+    stats = M.attempt_stats(first_hit(poly, frame, list(range(slots)), LAW_CAP))
     s = F.col("sparsity")
     met = P.with_sparsity(poly, frame).join(stats, "pid")
     return met.select("pid", F.round(s, 9).alias("sparsity"), F.round("mean_h", 6).alias("mean_h"), F.round(1 / s, 6).alias("expected_mean"), F.round("var_h", 6).alias("var_h"), F.round((1 - s) / (s * s), 6).alias("expected_var"))
 
 
 def _attempt_law_sql(name: str, slots: int) -> str:
-    ctes = [*O.prepared(name), *O.hits(list(range(slots)), SIZED_CAP), ("sp", "SELECT pid, area2 / (2.0::DOUBLE * (f.xmax - f.xmin) * (f.ymax - f.ymin)) AS sp FROM s, frame f")]
+    ctes = [*O.prepared(name), *O.hits(list(range(slots)), LAW_CAP), ("sp", "SELECT pid, area2 / (2.0::DOUBLE * (f.xmax - f.xmin) * (f.ymax - f.ymin)) AS sp FROM s, frame f")]
     return O.text(ctes, "SELECT pid, round(sp, 9) AS sparsity, round(avg(h), 6) AS mean_h, round(1 / sp, 6) AS expected_mean, round(var_samp(h), 6) AS var_h, round((1 - sp) / (sp * sp), 6) AS expected_var FROM h JOIN sp USING (pid) WHERE h IS NOT NULL GROUP BY pid, sp")
 
 
@@ -536,7 +536,7 @@ def _registry() -> dict[str, tuple[Query, str | None]]:
         r[f"w11_w12_recall_pruning_{n}"] = (partial(recall, n), _recall_sql(n))
     for n, slots in (("cust", 24), ("emb", 24)):
         r[f"w16_theorem1_{n}"] = (partial(equal_slots, n, slots), _equal_slots_sql(n, slots))
-    for n, slots in (("box_part", 48), ("doc", 32)):
+    for n, slots in (("box_part", 16), ("doc", 16)):
         r[f"w17_theorem2_{n}"] = (partial(attempt_law, n, slots), _attempt_law_sql(n, slots))
     r["m10b_nearest_set"] = (partial(nearest_sets, "doc"), O.text([*O.prepared("doc"), *O.all_pairs(), *O.distance()], "SELECT qid, pid, jd FROM (SELECT *, rank() OVER (PARTITION BY qid ORDER BY jd) AS r FROM jd) WHERE r = 1"))
     r["m13_range_search"] = (partial(range_pairs, "doc", 0.1), O.text([*O.prepared("doc"), *O.all_pairs(), *O.distance()], "SELECT qid, pid, jd FROM jd WHERE jd <= 0.1"))

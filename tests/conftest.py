@@ -2,6 +2,7 @@ import os
 import sys
 from pathlib import Path
 
+import pandas as pd
 import pytest
 
 ROOT = str(Path(__file__).resolve().parents[1])
@@ -34,7 +35,7 @@ def rows_of(frame):
     """Rows as sorted text, columns by name, nulls and numbers alike."""
 
     def plain(v):
-        if v is None or v != v:
+        if pd.isna(v):
             return None
         if isinstance(v, bool) or type(v).__name__ == "bool_":
             return bool(v)
