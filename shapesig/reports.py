@@ -44,10 +44,10 @@ def missed(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def compared(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Both lists side by side (a full outer join): rank in each."""
+    """Both lists side by side (a full outer join): rank in each, 0 where it is not."""
     _, exact, approx = _lists(spark, sf_dir)
     a, b = exact.select("qid", "pid", F.col("rank").alias("exact_rank")), approx.select("qid", "pid", F.col("rank").alias("approx_rank"))
-    return a.join(b, ["qid", "pid"], "full")
+    return a.join(b, ["qid", "pid"], "full").select("qid", "pid", *(F.coalesce(c, F.lit(0)).alias(c) for c in ("exact_rank", "approx_rank")))
 
 
 def recall_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -68,7 +68,7 @@ def windows(spark: SparkSession, sf_dir: str) -> DataFrame:
         "qid", "rank",
         F.round(F.avg("micro").over(by.rowsBetween(Window.unboundedPreceding, 0)), 3).alias("running"),
         F.count(F.lit(1)).over(near).alias("within"),
-        (F.col("micro") - F.lag("micro").over(by)).alias("step"),
+        (F.col("micro") - F.lag("micro", 1, 0).over(by)).alias("step"),
         F.ntile(4).over(by).alias("quartile"),
     )
 
@@ -121,9 +121,9 @@ def oracle_sql() -> dict[str, str]:
     return {
         "j10_unanswered": O.text(five, "SELECT pid, n AS points FROM s WHERE pid % 50 = 0 AND pid NOT IN (SELECT qid FROM pair)"),
         "so_missed": O.text(lists, "SELECT e.qid, e.pid, a.pid IS NOT NULL AS found FROM exact_ e LEFT JOIN approx_ a USING (qid, pid)"),
-        "j11_compared": O.text(lists, "SELECT qid, pid, e.rank AS exact_rank, a.rank AS approx_rank FROM exact_ e FULL JOIN approx_ a USING (qid, pid)"),
+        "j11_compared": O.text(lists, "SELECT qid, pid, coalesce(e.rank, 0) AS exact_rank, coalesce(a.rank, 0) AS approx_rank FROM exact_ e FULL JOIN approx_ a USING (qid, pid)"),
         "ag9_recall_pivot": "WITH t AS (" + W.oracle_sql()["w11_w12_recall_pruning_doc_sized"] + ") SELECT m, max(recall) FILTER (WHERE k = 10) AS recall_10, max(recall) FILTER (WHERE k = 50) AS recall_50, max(recall) FILTER (WHERE k = 100) AS recall_100, pruned_pct FROM t GROUP BY m, pruned_pct",
-        "wn_neighbour_windows": O.text([*O.prepared("cust_sized"), *O.all_pairs(), *O.distance(), *O.ranked(10), ("u", "SELECT qid, rank, round(jd * 1000000)::BIGINT AS micro FROM knn")], "SELECT qid, rank, round(avg(micro) OVER (PARTITION BY qid ORDER BY rank ROWS UNBOUNDED PRECEDING), 3) AS running, count(*) OVER (PARTITION BY qid ORDER BY micro RANGE BETWEEN 20000 PRECEDING AND 20000 FOLLOWING) AS within, micro - lag(micro) OVER (PARTITION BY qid ORDER BY rank) AS step, (ntile(4) OVER (PARTITION BY qid ORDER BY rank))::INT AS quartile FROM u"),
+        "wn_neighbour_windows": O.text([*O.prepared("cust_sized"), *O.all_pairs(), *O.distance(), *O.ranked(10), ("u", "SELECT qid, rank, round(jd * 1000000)::BIGINT AS micro FROM knn")], "SELECT qid, rank, round(avg(micro) OVER (PARTITION BY qid ORDER BY rank ROWS UNBOUNDED PRECEDING), 3) AS running, count(*) OVER (PARTITION BY qid ORDER BY micro RANGE BETWEEN 20000 PRECEDING AND 20000 FOLLOWING) AS within, micro - lag(micro, 1, 0) OVER (PARTITION BY qid ORDER BY rank) AS step, (ntile(4) OVER (PARTITION BY qid ORDER BY rank))::INT AS quartile FROM u"),
         "ag6_sparsity_histogram": O.text([*O.prepared("cust_sized"), ("sp", "SELECT round(area2 / (2.0::DOUBLE * (f.xmax - f.xmin) * (f.ymax - f.ymin)), 9) AS sp FROM s, frame f")], "SELECT (CASE WHEN sp >= 1 THEN 21 ELSE floor(sp * 20) + 1 END)::INT AS bin, count(*) AS shapes FROM sp GROUP BY 1"),
         "ag7_hot_codes": O.text([*O.prepared("doc"), *O.hits(slots_of(1), W.PLAIN_CAP), *O.codes(1, 2), ("z", "SELECT band, code, count(*) AS cnt FROM code GROUP BY band, code")], "SELECT * FROM (SELECT band, code, cnt, (dense_rank() OVER (PARTITION BY band ORDER BY cnt DESC))::INT AS place FROM z) WHERE place <= 5"),
         "j8_area_band": O.text(O.prepared("cust_sized"), "SELECT q.pid AS qid, count(*) AS shapes FROM s q JOIN s p ON p.pid <> q.pid AND least(p.area2, q.area2) * 20 >= greatest(p.area2, q.area2) * 19 WHERE q.pid % 50 = 0 GROUP BY q.pid"),
