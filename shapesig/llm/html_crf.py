@@ -334,6 +334,8 @@ def labelled_pages(count: int = 420, seed: int = 11) -> list[tuple[list[Block],
         after = [noise(k) for k, c in (("talk", 0.35), ("share", 0.2), ("side", 0.35), ("ad", 0.3), ("form", 0.2), ("notice", 0.15)) if rng.random() < c]
         rng.shuffle(after)
         body = "".join(before) + article() + "".join(after) + (noise("foot") if rng.random() < 0.85 else "")
+        if rng.random() < 0.12:  # a page of an article alone, often a short one
+            body = pick(article(), f"<article>{pick('', f'<h1>{mark}{short(1, 4)}</h1>')}<p>{mark}{short(1, 6)}</p></article>")
         return f"<!DOCTYPE html><html><head><title>{short()}</title><style>p{{}}</style></head><body>{pick(body, body, '<div>' + body + '</div>')}{pick('</body></html>', '')}"
 
     out = []
