@@ -3,7 +3,9 @@
 Here a fingerprint is over the distinct words of a text, so that copies with a
 few edited words lie within ``RADIUS`` bits, and the pigeonhole search of
 ``simhash_dedup`` (same partitions, thresholds and probes) only proposes pairs.
-They are checked twice: by 128 one-byte minima of 5-word shingles, then by the
+Sets of that similarity differ in size by a factor of 1 / ``SIMILAR`` at most, so a
+bucket also has a bin of the logarithm of the size, and a probe asks its own bin
+and the next. Pairs are checked twice: by 128 one-byte minima of 5-word shingles, then by the
 exact Jaccard similarity of the shingle sets (``SIMILAR`` or more links).
 
 A bucket of more than ``dense`` fingerprints isn't paired out as rows. Its members
@@ -24,7 +26,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from shapesig.llm.common import cut, rows_of
@@ -56,40 +58,45 @@ def _distinct(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return h[new], doc[new]
 
 
-def sketches_of(texts: pa.Array, shingle: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
-    """Fingerprints of distinct words, and rows of one-byte minima of the shingles."""
+def sketches_of(texts: pa.Array, shingle: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Fingerprints of distinct words, rows of one-byte minima of the shingles, and bins of the number of distinct ones."""
     w = Words(texts, lower=True)
     h, doc = _distinct(w.hashes(), w.doc)
     fp, lanes = np.zeros(w.n_docs, np.uint64), np.zeros((w.n_docs, LANES), np.uint8)
+    bins = np.full(w.n_docs, -2, np.int32)
     if not len(h):
-        return fp, lanes
+        return fp, lanes, bins
     at = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))
     n = np.diff(np.append(at, len(doc)))
     ones = np.add.reduceat(np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"), at, axis=0, dtype=np.int64)
     fp[doc[at]] = np.packbits(ones * 2 > n[:, None], axis=1, bitorder="little").view("<u8").reshape(-1)
-    s, d = _shingles(w, shingle)
+    s, d = _distinct(*_shingles(w, shingle))
+    bins[:] = np.where(w.per_doc > 0, np.floor(np.log(np.maximum(1, np.bincount(d, minlength=w.n_docs))) / BIN), -2)
     at = np.flatnonzero(np.concatenate([[True], d[1:] != d[:-1]]))
     short = (mixed(s) >> np.uint64(32)).astype(np.uint32)
     for k in range(LANES):
         low = np.minimum.reduceat(short * _MUL[k] + _ADD[k], at)
         lanes[d[at], k] = (low ^ (low >> np.uint32(11))).astype(np.uint8)
-    return fp, lanes
+    return fp, lanes, bins
 
 
+BIN = np.log(1 / SIMILAR) + 1e-6
 _MUL, _ADD = np.random.default_rng(5).integers(0, 1 << 32, (2, LANES), dtype=np.uint32)
 _MUL |= np.uint32(1)
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp, lanes) for every row."""
+    """(doc_id, fp, lanes, bin) for every row; the minima are 16 longs of 8 bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in rows_of(batch, "text", 1 << 20):
-                fp, lanes = sketches_of(part.column(1))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64)), pa.array([x.tobytes() for x in lanes], pa.binary())], ["doc_id", "fp", "lanes"])
+                fp, lanes, bins = sketches_of(part.column(1))
+                longs = pa.array(lanes.view("<i8").reshape(-1))
+                ends = pa.array((np.arange(part.num_rows + 1) * (LANES // 8)).astype(np.int32))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64)), pa.ListArray.from_arrays(ends, longs), pa.array(bins)], ["doc_id", "fp", "lanes", "bin"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, fp long, lanes binary")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, fp long, lanes array<long>, bin int")
 
 
 def _alike(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -97,11 +104,24 @@ def _alike(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return ((a == b).mean(-1) - 1 / 256) / (1 - 1 / 256)
 
 
+def _differing(x: Column, y: Column) -> Column:
+    """Bytes in which two longs differ: each byte's bits are folded into its lowest one."""
+    v = x.bitwiseXOR(y)
+    for shift, mask in ((4, 0x0F0F0F0F0F0F0F0F), (2, 0x0303030303030303), (1, 0x0101010101010101)):
+        v = v.bitwiseOR(F.shiftrightunsigned(v, shift).bitwiseAND(F.lit(mask)))
+    return F.bit_count(v.bitwiseAND(F.lit(0x0101010101010101)))
+
+
+def _alike_column(a: str, b: str) -> Column:
+    other = sum((_differing(F.get(a, F.lit(i)), F.get(b, F.lit(i))) for i in range(LANES // 8)), F.lit(0))
+    return (1 - other / LANES - 1 / 256) / (1 - 1 / 256)
+
+
 def _crowded(rows: pd.DataFrame, radius: int, least: float) -> tuple[list[int], list[int]]:
     """Links that connect all alike rows of one or two chunks, by sweeps over what isn't linked yet."""
     rows = rows.drop_duplicates("node").sort_values("node")
     node, fp = rows["node"].to_numpy(np.int64), rows["fp"].to_numpy(np.int64).view(np.uint64)
-    lanes = np.frombuffer(b"".join(rows["lanes"]), np.uint8).reshape(-1, LANES)
+    lanes = np.stack(rows["lanes"].to_list()).astype("<i8").view(np.uint8)
     group, a, b = np.arange(len(node)), [], []
     for i in range(len(node) - 1):
         rest = np.flatnonzero(group[i + 1 :] != group[i]) + i + 1
@@ -116,35 +136,35 @@ def _crowded(rows: pd.DataFrame, radius: int, least: float) -> tuple[list[int],
 
 
 def candidates(nodes: DataFrame, radius: int = RADIUS, dense: int = DENSE, chunk: int = CHUNK, least: float = SIMILAR - SLACK) -> DataFrame:
-    """Pairs (a, b) of nodes (node, fp, lanes) that connect all within the radius and alike by their minima."""
+    """Pairs (a, b) of nodes (node, fp, lanes, bin) that connect all within the radius and alike by their minima."""
     n, both = bit_counts(nodes)
-    parts = plan(n, both, radius) or [Part(tuple(range(64)), 0)]
-    held = nodes.select("node", "fp", F.explode(F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).alias("key")) for i, p in enumerate(parts)))).alias("x")).select("x.*", "node", "fp")
-    probe = nodes.select("node", "fp", F.explode(F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).bitwiseXOR(F.lit(signed(x))).alias("key")) for i, p in enumerate(parts) for x in p.flips))).alias("x")).select("x.*", F.col("node").alias("node_p"), F.col("fp").alias("fp_p"))
-    full = held.groupBy("part", "key").agg(F.count(F.lit(1)).alias("n"))
-    thin = held.join(full.where(F.col("n") <= dense).select("part", "key"), ["part", "key"])
+    sizes = {r["bin"]: r["n"] for r in nodes.groupBy("bin").agg(F.count(F.lit(1)).alias("n")).collect()}  # a bin a factor of 1.25
+    share = sum(c * (c + sizes.get(b + 1, 0)) for b, c in sizes.items()) / max(1, n) ** 2
+    parts = plan(n, both, radius, share=share, copies=2) or [Part(tuple(range(64)), 0)]
+    spot = ["part", "key", "bin"]
+    held = nodes.select("node", "fp", "bin", F.explode(F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).alias("key")) for i, p in enumerate(parts)))).alias("x")).select("x.*", "bin", "node", "fp")
+    keys = F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).bitwiseXOR(F.lit(signed(x))).alias("key")) for i, p in enumerate(parts) for x in p.flips))
+    probe = nodes.select("node", "fp", "bin", F.explode(keys).alias("x")).select("x.*", F.explode(F.array("bin", F.col("bin") + 1)).alias("bin"), F.col("bin").alias("own"), F.col("node").alias("node_p"), F.col("fp").alias("fp_p"))
+    full = held.groupBy(*spot).agg(F.count(F.lit(1)).alias("n"))
+    thin = held.join(full.where(F.col("n") <= dense).select(spot), spot)
     near = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp_p"))) <= radius
-    pairs = thin.join(probe, ["part", "key"]).where(near & (F.col("node_p") < F.col("node"))).select(F.col("node_p").alias("a"), F.col("node").alias("b")).distinct()
+    once = (F.col("own") < F.col("bin")) | (F.col("node_p") < F.col("node"))
+    met = thin.join(probe, spot).where(near & once)
+    pairs = met.select(F.least("node_p", "node").alias("a"), F.greatest("node_p", "node").alias("b")).distinct()
     side = lambda c: nodes.select(F.col("node").alias(c), F.col("lanes").alias(f"lanes_{c}"))
-
-    @F.pandas_udf("double")
-    def alike(x: pd.Series, y: pd.Series) -> pd.Series:
-        p, q = (np.frombuffer(b"".join(v), np.uint8).reshape(-1, LANES) for v in (x, y))
-        return pd.Series(_alike(p, q))
-
-    checked = pairs.join(side("a"), "a").join(side("b"), "b").where(alike("lanes_a", "lanes_b") >= least).select("a", "b")
+    checked = pairs.join(side("a"), "a").join(side("b"), "b").where(_alike_column("lanes_a", "lanes_b") >= least).select("a", "b")
     # Thick buckets: members and probers, dealt into chunks; each two chunks meet once.
-    thick = full.where(F.col("n") > dense).select("part", "key", F.ceil(F.col("n") / chunk).cast("int").alias("chunks"))
-    crowd = probe.join(thick, ["part", "key"]).join(nodes.select(F.col("node").alias("node_p"), "lanes"), "node_p")
+    thick = full.where(F.col("n") > dense).select(*spot, F.ceil(F.col("n") / chunk).cast("int").alias("chunks"))
+    crowd = probe.join(thick, spot).join(nodes.select(F.col("node").alias("node_p"), "lanes"), "node_p")
     mine = F.pmod(F.xxhash64("node_p"), F.col("chunks")).cast("int")
-    met = crowd.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    cells = met.select("part", "key", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.col("node_p").alias("node"), F.col("fp_p").alias("fp"), "lanes")
+    dealt = crowd.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    cells = dealt.select(*spot, F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.col("node_p").alias("node"), F.col("fp_p").alias("fp"), "lanes")
 
     def sweep(rows: pd.DataFrame) -> pd.DataFrame:
         a, b = _crowded(rows, radius, least)
         return pd.DataFrame({"a": pd.Series(a, dtype="int64"), "b": pd.Series(b, dtype="int64")})
 
-    return checked.unionByName(cells.groupBy("part", "key", "i", "j").applyInPandas(sweep, "a long, b long")).distinct()
+    return checked.unionByName(cells.groupBy(*spot, "i", "j").applyInPandas(sweep, "a long, b long")).distinct()
 
 
 def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
@@ -167,7 +187,7 @@ def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar:
 def groups(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFrame:
     """(doc_id, least) for every document that isn't alone: the least doc_id of its group."""
     rows = cut(sketches(docs.where("doc_id IS NOT NULL")))
-    nodes = cut(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("node")).groupBy("node").agg(F.min("fp").alias("fp"), F.min_by("lanes", "fp").alias("lanes")))
+    nodes = cut(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("node"), F.min("bin").alias("bin")).groupBy("node").agg(F.min("fp").alias("fp"), F.min_by("lanes", "fp").alias("lanes"), F.min_by("bin", "fp").alias("bin")))
     pairs = cut(candidates(nodes, radius, dense))
     roots = components(verified(pairs, docs))
     same = rows.join(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("node")), ["fp", "lanes"]).select("doc_id", "node")

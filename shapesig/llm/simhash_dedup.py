@@ -115,8 +115,12 @@ def bit_counts(nodes: DataFrame) -> tuple[int, np.ndarray]:
     return int(got["n"] or 0), both
 
 
-def plan(n: int, both: np.ndarray, radius: int = RADIUS, most_parts: int = 4) -> list[Part]:
-    """The partitions and thresholds of least estimated cost for a self-join of ``n`` fingerprints."""
+def plan(n: int, both: np.ndarray, radius: int = RADIUS, most_parts: int = 6, share: float = 1.0, copies: int = 1) -> list[Part]:
+    """The partitions and thresholds of least estimated cost for a self-join of ``n`` fingerprints.
+
+    ``share`` is the share of all pairs that a further key lets meet, ``copies``
+    the rows that it makes of each probe.
+    """
     p = both / max(1, n)
     one = np.diag(p)
     agree = one**2 + (1 - one) ** 2
@@ -127,7 +131,7 @@ def plan(n: int, both: np.ndarray, radius: int = RADIUS, most_parts: int = 4) ->
     for m in range(1, most_parts + 1):
         groups = _grouped(lift, agree, m)
         need = radius - m + 1
-        costs = [{t: _cost(n, g, t, pair, agree) for t in range(-1, radius + 1)} for g in groups]
+        costs = [{t: _cost(n, g, t, pair, agree, share, copies) for t in range(-1, radius + 1)} for g in groups]
         state: dict[int, tuple[float, list[int]]] = {0: (0.0, [])}
         for c in costs:
             nxt: dict[int, tuple[float, list[int]]] = {}
@@ -158,7 +162,7 @@ def _grouped(lift: np.ndarray, agree: np.ndarray, m: int) -> list[list[int]]:
     return out
 
 
-def _cost(n: int, group: list[int], t: int, pair: np.ndarray, agree: np.ndarray) -> float:
+def _cost(n: int, group: list[int], t: int, pair: np.ndarray, agree: np.ndarray, share: float, copies: int) -> float:
     """Probes and expected candidates within ``t`` bits, the bits taken as a chain of their strongest agreements."""
     if t < 0:
         return 0.0
@@ -171,7 +175,7 @@ def _cost(n: int, group: list[int], t: int, pair: np.ndarray, agree: np.ndarray)
         poly = poly * a + np.concatenate([[0.0], poly[:-1]]) * (1 - a)
         done.append(b)
     probes = sum(math.comb(len(group), r) for r in range(t + 1))
-    return n * probes + 0.5 * n * n * float(poly.sum())
+    return n * copies * probes + 0.5 * n * n * share * float(poly.sum())
 
 
 def _flip(parts: list[Part]) -> Column:
