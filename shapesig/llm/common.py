@@ -38,6 +38,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+#: Rows of ids that a broadcast may hold: 8 MB of values.
+MOST_IDS = 500_000
+
+
+def few_ids(ids: DataFrame) -> DataFrame:
+    """A settled table of ids, marked for broadcast if it was counted to be small; otherwise the join shuffles both sides."""
+    return F.broadcast(ids) if ids.limit(MOST_IDS + 1).count() <= MOST_IDS else ids
+
+
 def text_bytes(docs: DataFrame, column: str = "text") -> int:
     """UTF-8 bytes of a text column over all rows; used to size blocks, never to skip rows."""
     return int(docs.agg(F.sum(F.octet_length(column)).alias("b")).first()["b"] or 0)

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shapesig.llm.common import cut, rows_of
+from shapesig.llm.common import cut, few_ids, rows_of
 from shapesig.llm.graph import components
 from shapesig.llm.kernels import Words, mixed, xxh64_spans
 from shapesig.llm.simhash_dedup import Part, bit_counts, plan, signed
@@ -169,7 +169,7 @@ def candidates(nodes: DataFrame, radius: int = RADIUS, dense: int = DENSE, chunk
 
 def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
     """Pairs of doc_ids whose shingle sets have the similarity; only their documents' sets are made."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    asked = few_ids(cut(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -197,4 +197,4 @@ def groups(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFra
 def keep_one(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFrame:
     """The documents without those that are near copies of one with a smaller doc_id."""
     gone = groups(docs, radius, dense).groupBy("doc_id").agg(F.min("least").alias("least")).where("least < doc_id").select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    return docs.join(few_ids(cut(gone)), "doc_id", "left_anti").select(docs.columns)
