@@ -103,16 +103,13 @@ def bit_counts(nodes: DataFrame) -> tuple[int, np.ndarray]:
             for part in np.array_split(x, max(1, len(x) // 100_000)):
                 total += (part.T @ part).astype(np.int64)
             n += len(x)
-        yield pa.RecordBatch.from_arrays([pa.array([n]), *(pa.array([total[i].tolist()]) for i in range(BITS))], ["n", *(f"b{i}" for i in range(BITS))])
-
-    cols = [f"b{i}" for i in range(BITS)]
-    sums = nodes.select("fp").mapInArrow(run, "n long, " + ", ".join(f"{c} array<long>" for c in cols))
-    got = sums.agg(F.sum("n").alias("n"), *(F.sum(F.col(c)[j]).alias(f"{c}_{j}") for i, c in enumerate(cols) for j in range(i, BITS))).first()
-    both = np.zeros((BITS, BITS), np.int64)
-    for i in range(BITS):
-        for j in range(i, BITS):
-            both[i, j] = both[j, i] = got[f"b{i}_{j}"] or 0
-    return int(got["n"] or 0), both
+        yield pa.RecordBatch.from_arrays([pa.array([np.concatenate([[n], total.reshape(-1)]).tolist()])], ["sums"])
+
+    sums = nodes.select("fp").mapInArrow(run, "sums array<long>").select(F.posexplode("sums").alias("at", "v")).groupBy("at").agg(F.sum("v").alias("v")).collect()
+    flat = np.zeros(1 + BITS * BITS, np.int64)
+    for r in sums:
+        flat[r["at"]] = r["v"]
+    return int(flat[0]), flat[1:].reshape(BITS, BITS)
 
 
 def plan(n: int, both: np.ndarray, radius: int = RADIUS, most_parts: int = 6, share: float = 1.0, copies: int = 1) -> list[Part]:
