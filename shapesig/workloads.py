@@ -488,14 +488,15 @@ def stream_probe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     base = prepared(spark, sf_dir, "user")
     week = settle(weekly_rings_batch(table(spark, sf_dir, "events")).select("pid", "ring", "area2", "cx", "cy", "box"))
-    return S.knn_approx(base, query_set(week), P.global_frame(base, week), 3, 1, 2, PLAIN_CAP, exclude_self=False)
+    asked = week.where(F.floor(F.col("pid") / 100_000) % O.QUERY_STEP == 0)  # by user
+    return S.knn_approx(base, asked, P.global_frame(base, week), 3, 1, 2, PLAIN_CAP, exclude_self=False)
 
 
 def _stream_sql() -> str:
     weeks = [(f"q_{n}", q) for n, q in [("pt", "SELECT DISTINCT user_id * 100000 + epoch(ts)::BIGINT // 604800 AS pid, (8 * (hour(ts) * 60 + minute(ts)))::BIGINT AS x, (2 * floor(least(greatest(value, 0.0), 500.0) * 10))::BIGINT AS y FROM events")]]
     weeks += [x for x in O.prepared("user", "q_") if x[0] != "q_pt"]
     both = ("both_frame", "SELECT min(xmin) AS xmin, max(xmax) AS xmax, min(ymin) AS ymin, max(ymax) AS ymax FROM (SELECT * FROM frame UNION ALL SELECT * FROM q_frame)")
-    ctes = [*O.prepared("user"), *weeks, both, *O.hits(slots_of(1), PLAIN_CAP, "", "both_frame"), *O.hits(slots_of(1), PLAIN_CAP, "q_", smp=False), *O.codes(1, 2), *O.codes(1, 2, "q_"), *O.pairs_of_codes("", "q_", distinct_self=False), *O.distance("pair", "", "q_"), *O.ranked(3)]
+    ctes = [*O.prepared("user"), *weeks, both, *O.hits(slots_of(1), PLAIN_CAP, "", "both_frame"), *O.hits(slots_of(1), PLAIN_CAP, "q_", smp=False), *O.codes(1, 2), *O.codes(1, 2, "q_"), *O.pairs_of_codes("", "q_", queries=f"(q.pid // 100000) % {O.QUERY_STEP} = 0", distinct_self=False), *O.distance("pair", "", "q_"), *O.ranked(3)]
     return O.text(ctes, "SELECT qid, rank, pid, jd FROM knn")
 
 
