@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+import ctypes
 import math
 import tempfile
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: White space of every word rule here, as a Java and RE2 character class.
 SPACE = r"[\x20\x09-\x0D]"
@@ -38,6 +40,27 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+#: Bytes of an Arrow batch that goes to a Python worker.
+BATCH_BYTES = 4 << 20
+
+
+def in_arrow(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | T.StructType) -> DataFrame:
+    """``mapInArrow`` in batches of ``BATCH_BYTES``, whatever the rows' size; the session keeps that setting.
+
+    At the end of a task its worker gives freed memory back to the system, for
+    workers are kept and stages add up.
+    """
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+    def lean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+            trim(0)
+
+    return df.mapInArrow(lean, schema)
+
+
 #: Rows of ids that a broadcast may hold: 8 MB of values.
 MOST_IDS = 500_000
 

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shapesig.llm.common import cut, few_ids, rows_of
+from shapesig.llm.common import cut, few_ids, in_arrow, rows_of
 from shapesig.llm.graph import components
 from shapesig.llm.kernels import Words, mixed, xxh64_spans
 from shapesig.llm.simhash_dedup import Part, bit_counts, plan, signed
@@ -96,7 +96,7 @@ def sketches(docs: DataFrame) -> DataFrame:
                 ends = pa.array((np.arange(part.num_rows + 1) * (LANES // 8)).astype(np.int32))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64)), pa.ListArray.from_arrays(ends, longs), pa.array(bins)], ["doc_id", "fp", "lanes", "bin"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, fp long, lanes array<long>, bin int")
+    return in_arrow(docs.select("doc_id", "text"), run, "doc_id long, fp long, lanes array<long>, bin int")
 
 
 def _alike(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -178,7 +178,7 @@ def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar:
                 ends = np.searchsorted(doc, np.arange(part.num_rows + 1)).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(h.view(np.int64)))], ["doc_id", "s"])
 
-    sets = docs.select("doc_id", "text").join(asked, "doc_id", "left_semi").mapInArrow(run, "doc_id long, s array<long>").groupBy("doc_id").agg(F.first("s").alias("s"))
+    sets = in_arrow(docs.select("doc_id", "text").join(asked, "doc_id", "left_semi"), run, "doc_id long, s array<long>").groupBy("doc_id").agg(F.first("s").alias("s"))
     met = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
     both = F.size(F.array_intersect("sa", "sb"))
     return met.where(both >= similar * (F.size("sa") + F.size("sb") - both)).select("a", "b")

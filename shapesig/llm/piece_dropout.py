@@ -33,7 +33,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from shapesig.llm.common import offsets_of, rows_of
+from shapesig.llm.common import in_arrow, offsets_of, rows_of
 from shapesig.llm.kernels import mixed, xxh64_spans
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -227,7 +227,7 @@ def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: fl
     for high in (*(x for x in (4, 6, 8, 12, 16, 24, 32) if x < LONG), LONG):
         us = np.flatnonzero((size_u > low) & (size_u <= high))
         low = high
-        for block in np.array_split(us, max(1, len(us) * high // 2_000_000)):
+        for block in np.array_split(us, max(1, len(us) * high // 250_000)):
             if not len(block):
                 continue
             cols = np.arange(high)
@@ -290,7 +290,7 @@ def with_tokens(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPO
                 kept = [f.name for f in part.schema if f.name != column]
                 yield pa.RecordBatch.from_arrays([*(part.column(part.schema.get_field_index(c)) for c in kept), lists], [*kept, column])
 
-    return docs.mapInArrow(run, schema)
+    return in_arrow(docs, run, schema)
 
 
 def decode(rows: DataFrame, model_path: str = MODEL, column: str = "tokens") -> DataFrame:
@@ -327,4 +327,4 @@ def report(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, v
                     ["doc_id", "n_tokens", "n_chars", "tokens_sha256", "decoded_sha256", "lossless"],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens long, n_chars long, tokens_sha256 string, decoded_sha256 string, lossless boolean")
+    return in_arrow(docs.select("doc_id", "text"), run, "doc_id long, n_tokens long, n_chars long, tokens_sha256 string, decoded_sha256 string, lossless boolean")

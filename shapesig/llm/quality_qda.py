@@ -30,7 +30,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shapesig.llm.common import cut, offsets_of, rows_of
+from shapesig.llm.common import cut, in_arrow, offsets_of, rows_of
 from shapesig.llm.kernels import IS_SPACE, Words, mixed
 
 THRESHOLD, FOLDS = 0.3, 5
@@ -113,11 +113,11 @@ def statistics(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in rows_of(batch, "text", 2 << 20):
+            for part in rows_of(batch, "text", 1 << 19):
                 x = statistics_of(part.column(1)).astype(np.float32)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.FixedSizeListArray.from_arrays(pa.array(x.reshape(-1)), WIDTH).cast(pa.list_(pa.float32()))], ["doc_id", "x"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, x array<float>")
+    return in_arrow(docs.select("doc_id", "text"), run, "doc_id long, x array<float>")
 
 
 def held_out() -> Column:
@@ -196,8 +196,8 @@ def accepted(docs: DataFrame, labels: DataFrame, label: str = "quality", thresho
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in rows_of(batch, "text", 2 << 20):
+            for part in rows_of(batch, "text", 1 << 19):
                 s = model.score(statistics_of(part.column(part.schema.get_field_index("text"))))
                 yield part.filter(pa.array(s >= threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return in_arrow(docs, run, docs.schema)

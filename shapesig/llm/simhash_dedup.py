@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shapesig.llm.common import cut, rows_of
+from shapesig.llm.common import cut, in_arrow, rows_of
 from shapesig.llm.graph import components
 from shapesig.llm.kernels import Words, xxh64_spans
 
@@ -67,7 +67,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             for part in rows_of(batch, "text", 2 << 20):
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fingerprints_of(part.column(1)).view(np.int64))], ["doc_id", "fp"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, fp long")
+    return in_arrow(docs.select("doc_id", "text"), run, "doc_id long, fp long")
 
 
 # ---- plan of the search
@@ -105,7 +105,7 @@ def bit_counts(nodes: DataFrame) -> tuple[int, np.ndarray]:
             n += len(x)
         yield pa.RecordBatch.from_arrays([pa.array([np.concatenate([[n], total.reshape(-1)]).tolist()])], ["sums"])
 
-    sums = nodes.select("fp").mapInArrow(run, "sums array<long>").select(F.posexplode("sums").alias("at", "v")).groupBy("at").agg(F.sum("v").alias("v")).collect()
+    sums = in_arrow(nodes.select("fp"), run, "sums array<long>").select(F.posexplode("sums").alias("at", "v")).groupBy("at").agg(F.sum("v").alias("v")).collect()
     flat = np.zeros(1 + BITS * BITS, np.int64)
     for r in sums:
         flat[r["at"]] = r["v"]
