@@ -11,7 +11,14 @@ exact Jaccard similarity of the shingle sets (``SIMILAR`` or more links).
 A bucket of more than ``dense`` fingerprints isn't paired out as rows. Its members
 and probers are dealt into chunks, and each two chunks meet in one task, which
 compares only what it hasn't linked yet: a group of true copies costs one sweep,
-memory is two chunks, and no pair is left out.
+and memory is two chunks. These links rest on the minima and some are refuted by
+the exact check, so what they skipped isn't settled by them.
+
+What is still separate then meets by prefixes: of two sets of the similarity, each
+has one of the other's shingles among its first ``n - ceil(SIMILAR * n) + 1`` in any
+order that all sets share. Rows of one such shingle are compared exactly with the
+first of them, ``ROUNDS`` times, without what is linked by exact links already; what
+stays separate is swept in chunks, with whole sets. So no pair is left out.
 
 Defined cases: texts with equal fingerprint and minima are one node; fewer words
 than a shingle: the whole sequence is one; no words: alike only to each other;
@@ -26,7 +33,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from shapesig.llm.common import cut, few_ids, in_arrow, rows_of
@@ -36,6 +43,7 @@ from shapesig.llm.simhash_dedup import Part, bit_counts, plan, signed
 
 RADIUS, SHINGLE, SIMILAR, LANES, SLACK = 8, 5, 0.8, 128, 0.12
 DENSE, CHUNK = 64, 20_000
+ROUNDS, SET_CHUNK = 2, 4_000
 
 
 def _shingles(w: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -167,9 +175,8 @@ def candidates(nodes: DataFrame, radius: int = RADIUS, dense: int = DENSE, chunk
     return checked.unionByName(cells.groupBy(*spot, "i", "j").applyInPandas(sweep, "a long, b long")).distinct()
 
 
-def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
-    """Pairs of doc_ids whose shingle sets have the similarity; only their documents' sets are made."""
-    asked = few_ids(cut(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()))
+def _sets(docs: DataFrame, asked: DataFrame, shingle: int = SHINGLE) -> DataFrame:
+    """(doc_id, s) with the distinct shingles of the asked documents; a doc_id with several texts has several rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -178,20 +185,108 @@ def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar:
                 ends = np.searchsorted(doc, np.arange(part.num_rows + 1)).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(h.view(np.int64)))], ["doc_id", "s"])
 
-    sets = in_arrow(docs.select("doc_id", "text").join(asked, "doc_id", "left_semi"), run, "doc_id long, s array<long>").groupBy("doc_id").agg(F.first("s").alias("s"))
+    made = in_arrow(docs.select("doc_id", "text").join(few_ids(cut(asked)), "doc_id", "left_semi"), run, "doc_id long, s array<long>")
+    return made.groupBy("doc_id", F.xxhash64("s").alias("h")).agg(F.first("s").alias("s")).drop("h")
+
+
+def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
+    """Pairs of doc_ids whose shingle sets have the similarity; only their documents' sets are made."""
+    sets = _sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), shingle)
     met = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
     both = F.size(F.array_intersect("sa", "sb"))
-    return met.where(both >= similar * (F.size("sa") + F.size("sb") - both)).select("a", "b")
+    return met.where(both >= similar * (F.size("sa") + F.size("sb") - both)).select("a", "b").distinct()
+
+
+def prefixes_of(texts: pa.Array, shingle: int = SHINGLE, similar: float = SIMILAR) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Shingles of each text's prefix, their texts, and the number of distinct shingles there; 0 for a text without words."""
+    h, doc = _distinct(*_shingles(Words(texts, lower=True), shingle))
+    n = np.bincount(doc, minlength=len(texts))
+    rank = np.arange(len(doc)) - (np.cumsum(n) - n)[doc]
+    first = rank <= (n - np.ceil(similar * n - 1e-9))[doc]
+    bare = np.flatnonzero(n == 0)
+    doc = np.concatenate([doc[first], bare])
+    return np.concatenate([h[first].view(np.int64), np.zeros(len(bare), np.int64)]), doc, n[doc]
+
+
+def prefixes(docs: DataFrame) -> DataFrame:
+    """(spot, node, n): the shingles by which documents meet that may have the similarity."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in rows_of(batch, "text", 1 << 20):
+                spot, doc, n = prefixes_of(part.column(1))
+                yield pa.RecordBatch.from_arrays([pa.array(spot), part.column(0).take(pa.array(doc)), pa.array(n.astype(np.int32))], ["spot", "node", "n"])
+
+    return in_arrow(docs.select("doc_id", "text"), run, "spot long, node long, n int")
+
+
+def _swept(rows: pd.DataFrame, similar: float = SIMILAR) -> tuple[list[int], list[int]]:
+    """Links that connect all rows (node, root, s) of the similarity; rows of one root are linked already.
+
+    Small groups go first, so a large one isn't compared with itself.
+    """
+    rows = rows.assign(many=rows.groupby("root")["node"].transform("size")).sort_values(["many", "root", "node"])
+    node, group = rows["node"].to_numpy(np.int64), np.unique(rows["root"].to_numpy(np.int64), return_inverse=True)[1]
+    n = rows["s"].map(len).to_numpy(np.int64)
+    ends = np.concatenate([[0], np.cumsum(n)])
+    kinds, of = np.unique(np.concatenate(rows["s"].to_list()), return_inverse=True)
+    held, a, b = np.zeros(len(kinds), bool), [], []
+    for i in range(len(node) - 1):
+        if (group[i + 1 :] == group[i]).all():
+            continue
+        held[of[ends[i] : ends[i + 1]]] = True
+        both = np.diff(np.concatenate([[0], np.cumsum(held[of[ends[i + 1] :]])])[ends[i + 1 :] - ends[i + 1]])
+        held[of[ends[i] : ends[i + 1]]] = False
+        for j in (np.flatnonzero(both >= similar * (n[i] + n[i + 1 :] - both)) + i + 1).tolist():
+            if group[j] != group[i]:
+                a.append(int(node[i]))
+                b.append(int(node[j]))
+                group[group == group[j]] = group[i]
+    return a, b
+
+
+def _separate(spots: DataFrame, links: DataFrame) -> DataFrame:
+    """(spot, node, n, root) of the spots that hold more than one group of the links."""
+    named = cut(spots.join(components(links), "node", "left").select("spot", "node", "n", F.coalesce("root", "node").alias("root")))
+    open_ = named.groupBy("spot").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("spot")
+    return cut(named.join(open_, "spot", "left_semi"))
+
+
+def joined(spots: DataFrame, links: DataFrame, docs: DataFrame, rounds: int = ROUNDS, chunk: int = SET_CHUNK, similar: float = SIMILAR) -> DataFrame:
+    """The links (a, b; exact ones) and more, which connect all documents of the similarity that share a spot."""
+    many = spots.withColumn("rows", F.count(F.lit(1)).over(Window.partitionBy("spot"))).where("rows > 1")
+    live, tried = _separate(many.select("spot", "node", "n"), links), links
+    for _ in range(rounds):
+        if live.isEmpty():
+            return links
+        first = live.groupBy("spot").agg(F.min(F.struct("node", "n", "root")).alias("p"))
+        met = live.join(first, "spot")
+        sized = F.least("n", "p.n") >= similar * F.greatest("n", "p.n")
+        pairs = cut(met.where(sized & (F.col("p.root") != F.col("root"))).select(F.col("p.node").alias("a"), F.col("node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
+        tried, links = cut(tried.unionByName(pairs)), cut(links.unionByName(verified(pairs, docs)))
+        live = _separate(met.where("node <> p.node").select("spot", "node", "n"), links)
+    if live.isEmpty():
+        return links
+    sets = _sets(docs, live.select(F.col("node").alias("doc_id")).distinct()).withColumnRenamed("doc_id", "node")
+    dealt = live.join(live.groupBy("spot").agg(F.ceil(F.count(F.lit(1)) / chunk).cast("int").alias("chunks")), "spot").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    cells = dealt.select("spot", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "root").distinct().join(sets, "node")
+
+    def sweep(rows: pd.DataFrame) -> pd.DataFrame:
+        a, b = _swept(rows, similar)
+        return pd.DataFrame({"a": pd.Series(a, dtype="int64"), "b": pd.Series(b, dtype="int64")})
+
+    return cut(links.unionByName(cells.groupBy("spot", "i", "j").applyInPandas(sweep, "a long, b long")))
 
 
 def groups(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFrame:
     """(doc_id, least) for every document that isn't alone: the least doc_id of its group."""
-    rows = cut(sketches(docs.where("doc_id IS NOT NULL")))
+    docs = docs.where("doc_id IS NOT NULL")
+    rows = cut(sketches(docs))
     nodes = cut(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("node"), F.min("bin").alias("bin")).groupBy("node").agg(F.min("fp").alias("fp"), F.min_by("lanes", "fp").alias("lanes"), F.min_by("bin", "fp").alias("bin")))
     pairs = cut(candidates(nodes, radius, dense))
-    roots = components(verified(pairs, docs))
-    same = rows.join(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("node")), ["fp", "lanes"]).select("doc_id", "node")
-    return same.join(roots, "node", "left").select("doc_id", F.coalesce("root", "node").alias("least"))
+    same = rows.join(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("a")), ["fp", "lanes"]).where("a < doc_id").select("a", F.col("doc_id").alias("b"))
+    links = cut(verified(pairs, docs).unionByName(same))
+    return components(joined(prefixes(docs), links, docs)).select(F.col("node").alias("doc_id"), F.col("root").alias("least"))
 
 
 def keep_one(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFrame:

@@ -93,6 +93,44 @@ def test_near_copies_keep_the_first(spark):
     assert near_copies.keep_one(docs(spark, [])).count() == 0
 
 
+def brute_kept(texts):
+    sets = [{tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for w in (t.lower().split() for t in texts)]
+    root = list(range(len(sets)))
+    for a, b in itertools.combinations(root[:], 2):
+        if root[a] != root[b] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+            low, high = sorted((root[a], root[b]))
+            root = [low if r == high else r for r in root]
+    return {i for i, r in enumerate(root) if r == i}
+
+
+def moved(words, places):
+    """The words with the pairs at these places exchanged: the same distinct words, other shingles."""
+    words = list(words)
+    for k in places:
+        words[k], words[k + 1] = words[k + 1], words[k]
+    return " ".join(words)
+
+
+def test_a_hub_under_the_similarity_hides_no_copies(spark):
+    base = [f"w{i}" for i in np.random.default_rng(8).permutation(300)]
+    hub = moved(base, [5 + 37 * i for i in range(7)])
+    crowd = [hub, *(moved(base, [20 + k]) for k in range(0, 260, 3) if k % 37 > 4)]
+    kept = brute_kept(crowd)
+    assert len(crowd) > near_copies.DENSE and kept == {0, 1}
+    assert {r.doc_id for r in near_copies.keep_one(docs(spark, crowd)).collect()} == kept
+
+
+def test_what_rounds_leave_is_swept_with_whole_sets(spark):
+    texts = [prose(40, s, 5000) + " " + prose(20, 7, 5000) for s in range(6) for _ in range(2)]
+    texts = [t if i % 2 else t + " end" for i, t in enumerate(texts)]
+    df = docs(spark, texts)
+    none = spark.createDataFrame([], "a long, b long")
+    for rounds, chunk in ((0, 4000), (0, 3), (1, 4000)):
+        got = near_copies.joined(near_copies.prefixes(df), none, df, rounds, chunk)
+        gone = {r.node for r in components(got).collect() if r.node != r.root}
+        assert set(range(len(texts))) - gone == brute_kept(texts)
+
+
 def test_perfect_hash_has_no_gaps_and_knows_strangers():
     rng = np.random.default_rng(3)
     words = rng.integers(0, 1 << 63, (5000, 4)).astype(np.uint64)
