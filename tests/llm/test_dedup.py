@@ -5,6 +5,7 @@ import itertools
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 
@@ -120,17 +121,48 @@ def test_a_hub_under_the_similarity_hides_no_copies(spark):
     assert {r.doc_id for r in near_copies.keep_one(docs(spark, crowd)).collect()} == kept
 
 
-def test_what_rounds_leave_is_swept_with_whole_sets(spark):
+def test_what_rounds_leave_is_swept(spark):
     texts = [prose(40, s, 5000) + " " + prose(20, 7, 5000) for s in range(6) for _ in range(2)]
     texts = [t if i % 2 else t + " end" for i, t in enumerate(texts)]
     df = docs(spark, texts)
     none = spark.createDataFrame([], "a long, b long")
     for rounds, chunk in ((0, 4000), (0, 3), (1, 4000)):
-        got = near_copies.joined(near_copies.prefixes(df), none, df, rounds, chunk)
+        got = near_copies.joined(near_copies.prefixes(df), none, df, near_copies.sketches(df), rounds, chunk)
         gone = {r.node for r in components(got).collect() if r.node != r.root}
         assert set(range(len(texts))) - gone == brute_kept(texts)
 
 
+def edited(words, kind, rng):
+    """A copy of 5-word similarity just over 0.8."""
+    n, some = len(words), [f"v{x}" for x in rng.integers(0, 10**6, len(words))]
+    cut = int(0.18 * (n - 4))
+    at = int(rng.integers(5, n - cut))
+    block = int(0.09 * n) - 4
+    return {"appended": [*words, *some[:cut]], "cut": words[:-cut], "block": [*words[:at], *some[:block], *words[at + block :]]}[kind]
+
+
+def test_appended_cut_and_block_edited_copies_are_all_found(spark):
+    rng = np.random.default_rng(21)
+    texts = []
+    for i in range(60):
+        words = prose(int(rng.integers(80, 400)), 300 + i, 10**6).split()
+        texts += [" ".join(words), " ".join(edited(words, ("appended", "cut", "block")[i % 3], rng))]
+    kept = brute_kept(texts)
+    assert kept == set(range(0, 120, 2))
+    assert {r.doc_id for r in near_copies.keep_one(docs(spark, texts)).collect()} == kept
+
+
+def test_prefixes_of_similar_sets_meet_in_any_order():
+    rng = np.random.default_rng(4)
+    for i in range(60):
+        words = prose(int(rng.integers(60, 200)), i, 10**6).split()
+        texts = pa.array([" ".join(words), " ".join(edited(words, ("appended", "cut", "block")[i % 3], rng))])
+        h = near_copies._shingles(near_copies.Words(texts, lower=True), 5)[0]
+        for last in (h[:0], rng.permutation(np.unique(h))[: len(h) // 3]):
+            spot, doc, _ = near_copies.prefixes_of(texts, last)
+            assert set(spot[doc == 0]) & set(spot[doc == 1])
+
+
 def test_perfect_hash_has_no_gaps_and_knows_strangers():
     rng = np.random.default_rng(3)
     words = rng.integers(0, 1 << 63, (5000, 4)).astype(np.uint64)
