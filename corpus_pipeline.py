@@ -7,7 +7,7 @@ training-data operators (``shapesig.llm``).
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from shapesig.llm import exact_dedup, near_copies, pareto_mix, piece_dropout, quality_qda
@@ -37,7 +37,9 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, source, number of tokens and the tokens of each document of the mix; copies differ in their segmentation."""
-    return piece_dropout.with_tokens(docs).select("doc_id", "source", F.size("tokens").cast("long").alias("n_tokens"), "tokens")
+    same = Window.partitionBy("doc_id", F.xxhash64("text")).orderBy("doc_id")
+    numbered = docs.withColumn("copy", F.row_number().over(same))
+    return piece_dropout.with_tokens(numbered, copy="copy").select("doc_id", "source", F.size("tokens").cast("long").alias("n_tokens"), "tokens")
 
 
 STAGES = [("quality classifier", quality), ("exact dedup", exact), ("SimHash near-dedup", near), ("source mix", mix), ("SentencePiece encoding", encode)]

@@ -7,16 +7,17 @@ best-scored adjacent pair that makes a piece is merged until none is left
 (leftmost of equal scores). A candidate merge, known by its unit and its start,
 middle and end in it, is skipped for good if its keyed hash falls under the
 dropout; so a candidate is skipped or not whatever is computed around it, and
-reruns agree. The key holds the seed and one of ``variants`` numbers that a
-document draws by its doc_id: words are segmented in different ways in different
-documents, and equal words of a variant are merged once.
+reruns agree. The key holds the seed, the document, the number of its copy and the
+unit's place in the text: a word is segmented anew wherever it stands. Equal units
+of up to ``SHARED`` symbols whose coins fall alike on every merge that their spans
+allow are merged once; that changes no result.
 
 Units are merged in step, one merge a round each, in arrays; units of more than
 ``LONG`` symbols use an agenda (a heap), with the same results. Characters without a piece become
 byte pieces, and so does a literal space sign in a text: decoding is lossless.
 
 Defined cases: null and empty texts have no tokens; rows that repeat a doc_id are
-encoded each; a null doc_id draws variant 0; extra columns are ignored, and
+encoded each, alike unless a column numbers them; null doc_ids are one document; extra columns are ignored, and
 ``with_tokens`` keeps them; an empty table gives no rows.
 """
 
@@ -38,7 +39,7 @@ from shapesig.llm.kernels import mixed, xxh64_spans
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE_SIGN = "▁"
-LONG, DROPOUT, VARIANTS, SEED = 48, 0.1, 16, 20
+LONG, SHARED, DROPOUT, SEED = 48, 16, 0.1, 20
 _U = np.uint64
 _K = tuple(_U(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
@@ -196,8 +197,61 @@ def ragged(at: np.ndarray, size: np.ndarray) -> np.ndarray:
     return np.arange(total) - np.repeat(ends - size, size) + np.repeat(at, size)
 
 
+def spans_of(cells: np.ndarray, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Every merge that can come up in the rows of ``cells`` (padded by -1): row, start, middle, end."""
+    n, width = cells.shape
+    sym = {(s, s + 1): cells[:, s] for s in range(width)}
+    out = [np.zeros((4, 0), np.int64)]
+    for size in range(2, width + 1):
+        for s in range(width - size + 1):
+            e = s + size
+            made = np.full(n, -1, np.int64)
+            for m in range(s + 1, e):
+                at = np.flatnonzero((sym[s, m] >= 0) & (sym[m, e] >= 0))
+                if len(at):
+                    got, _ = model.look(sym[s, m][at], sym[m, e][at])
+                    at, got = at[got >= 0], got[got >= 0]
+                    made[at] = got
+                    out.append(np.stack([at, np.full(len(at), s), np.full(len(at), m), np.full(len(at), e)]))
+            sym[s, e] = made
+    row, start, middle, end = np.concatenate(out, 1)
+    order = np.argsort(row, kind="stable")
+    return row[order], start[order], middle[order], end[order]
+
+
+def alike(word: np.ndarray, key: np.ndarray, at: np.ndarray, size: np.ndarray, ids: np.ndarray, model: Model, dropout: float) -> np.ndarray:
+    """Numbers that are equal only for units that are merged alike: the word and its coins, or the unit's own key."""
+    if dropout <= 0:
+        return word
+    out = key.copy()
+    low = 0
+    for high in (x for x in (4, 6, 8, 12, 16) if x <= SHARED):
+        here = np.flatnonzero((size > low) & (size <= high))
+        low = high
+        if not len(here):
+            continue
+        _, pick, of = np.unique(word[here], return_index=True, return_inverse=True)
+        first, cols = here[pick], np.arange(high)
+        cells = np.where(cols[None] < size[first, None], ids[np.minimum(at[first, None] + cols, len(ids) - 1)], -1)
+        row, s, m, e = spans_of(cells, model)
+        many = np.bincount(row, minlength=len(first))
+        begin = np.cumsum(many) - many
+        for block in np.array_split(np.arange(len(here)), max(1, int(many[of].sum()) // 400_000)):
+            block = block[many[of[block]] <= 64]  # a bit for each
+            w, unit = of[block], here[block]
+            c = ragged(begin[w], many[w])
+            whose = np.repeat(np.arange(len(block)), many[w])
+            coin = skipped(key[unit][whose], s[c], m[c], e[c], dropout)
+            mask = np.zeros(len(block), np.uint64)
+            bit = (c - begin[w][whose])[coin].astype(np.uint64)
+            np.bitwise_or.at(mask, whose[coin], _U(1) << bit)
+            with np.errstate(over="ignore"):
+                out[unit] = mixed(word[unit] + mixed(mask + _K[2]))
+    return out
+
+
 def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: float = DROPOUT, seed: int = SEED) -> tuple[np.ndarray, np.ndarray]:
-    """Tokens of all texts in a row, and each text's number of them."""
+    """Tokens of all texts in a row, and each text's number of them; ``variant`` tells documents and copies apart."""
     texts = pc.fill_null(texts, "")
     off = offsets_of(texts)
     raw = np.frombuffer(texts.buffers()[2] or b"", np.uint8)[off[0] : off[-1]]
@@ -218,10 +272,12 @@ def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: fl
     size = np.diff(np.append(at, len(points)))
     doc = np.searchsorted(first, at, "right") - 1
     with np.errstate(over="ignore"):
-        key = mixed(xxh64_spans(np.concatenate([points, np.zeros(2, np.uint32)]).view(np.uint8), at * 4, size * 4, seed) + variant[doc].astype(np.uint64) * _K[0])
-    _, pick, inverse = np.unique(key, return_index=True, return_inverse=True)
-    at_u, size_u, key_u = at[pick], size[pick], key[pick]
+        word = xxh64_spans(np.concatenate([points, np.zeros(2, np.uint32)]).view(np.uint8), at * 4, size * 4, seed)
+        place = np.arange(len(at)) - np.searchsorted(doc, doc)
+        key = mixed(mixed(word + variant[doc].astype(np.uint64) * _K[0]) + place.astype(np.uint64) * _K[1])
     ids = model.of_char[points]
+    _, pick, inverse = np.unique(alike(word, key, at, size, ids, model, dropout), return_index=True, return_inverse=True)
+    at_u, size_u, key_u = at[pick], size[pick], key[pick]
     parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []  # unit, symbol, start, end; units in some order
     low = 0
     for high in (*(x for x in (4, 6, 8, 12, 16, 24, 32) if x < LONG), LONG):
@@ -268,15 +324,17 @@ def decode_tokens(tokens: np.ndarray, counts: np.ndarray, model: Model) -> list[
     return [data[a + 1 : b] if b > a else b"" for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
 
 
-def _variants(ids: pa.Array, variants: int, seed: int) -> np.ndarray:
+def _drawn(ids: pa.Array, seed: int, copies: pa.Array | None = None) -> np.ndarray:
+    """A number for each document and copy."""
     given = np.asarray(ids.fill_null(0)).astype(np.int64).view(np.uint64)
+    number = np.zeros(len(ids), np.uint64) if copies is None else np.asarray(copies.fill_null(0)).astype(np.uint64)
     with np.errstate(over="ignore"):
-        drawn = mixed(given * _K[1] + _U(seed)) % _U(variants)
-    return np.where(np.asarray(ids.is_null()), 0, drawn).astype(np.int64)
+        drawn = np.where(np.asarray(ids.is_null()), _U(0), mixed(given * _K[1] + _U(seed)))
+        return mixed(drawn + number * _K[2])
 
 
-def with_tokens(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, variants: int = VARIANTS, seed: int = SEED, column: str = "tokens") -> DataFrame:
-    """All rows and columns, and the tokens (array of int)."""
+def with_tokens(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, seed: int = SEED, column: str = "tokens", copy: str | None = None) -> DataFrame:
+    """All rows and columns, and the tokens (array of int); ``copy`` names a column that numbers the copies of a document."""
     held = docs.sparkSession.sparkContext.broadcast(Model.read(model_path))  # a vocabulary, of fixed size
     schema = T.StructType([*(f for f in docs.schema.fields if f.name != column), T.StructField(column, T.ArrayType(T.IntegerType()))])
 
@@ -285,7 +343,7 @@ def with_tokens(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPO
         for batch in batches:
             for part in rows_of(batch, "text", 2 << 20):
                 i, t = (part.schema.get_field_index(c) for c in ("doc_id", "text"))
-                flat, counts = encode_texts(part.column(t), _variants(part.column(i), variants, seed), model, dropout, seed)
+                flat, counts = encode_texts(part.column(t), _drawn(part.column(i), seed, part.column(part.schema.get_field_index(copy)) if copy else None), model, dropout, seed)
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(flat, pa.int32()))
                 kept = [f.name for f in part.schema if f.name != column]
                 yield pa.RecordBatch.from_arrays([*(part.column(part.schema.get_field_index(c)) for c in kept), lists], [*kept, column])
@@ -310,7 +368,7 @@ def offsets_of_list(lists: pa.Array) -> np.ndarray:
     return np.asarray(lists.offsets).astype(np.int64)
 
 
-def report(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, variants: int = VARIANTS, seed: int = SEED) -> DataFrame:
+def report(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, seed: int = SEED) -> DataFrame:
     """Per document: tokens, code points, digests of the tokens (32-bit little-endian) and of the decoded text, and whether that is the text."""
     held = docs.sparkSession.sparkContext.broadcast(Model.read(model_path))
 
@@ -318,7 +376,7 @@ def report(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, v
         model = held.value
         for batch in batches:
             for part in rows_of(batch, "text", 2 << 20):
-                flat, counts = encode_texts(part.column(1), _variants(part.column(0), variants, seed), model, dropout, seed)
+                flat, counts = encode_texts(part.column(1), _drawn(part.column(0), seed), model, dropout, seed)
                 back = decode_tokens(flat, counts, model)
                 ends = np.cumsum(np.concatenate([[0], counts])).tolist()
                 texts = [x.as_buffer().to_pybytes() if x.is_valid else b"" for x in part.column(1)]

@@ -11,6 +11,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+import corpus_pipeline as C
 from shapesig.llm import chat_tree, html_crf, improbable_digest, pareto_mix, pii_anchors, piece_dropout, quality_qda
 from shapesig.llm import entries
 from tests_llm_data import DATA, docs
@@ -112,6 +113,27 @@ def test_dropout_forms_agree_vary_and_decode():
         assert [x.decode() for x in piece_dropout.decode_tokens(flat, n, model)] == [t or "" for t in TEXTS]
 
 
+def test_copies_and_repeated_words_are_cut_anew(spark):
+    text = "segmentation of tokenization " * 40
+    coded = C.encode(spark, docs(spark, [text] * 3, [7, 7, 7]), "")
+    assert len({tuple(r.tokens) for r in coded.collect()}) == 3
+    model = piece_dropout.Model.read()
+    flat, n = piece_dropout.encode_texts(pa.array([" segmentation" * 200]), np.zeros(1, int), model, 0.1)
+    assert piece_dropout.decode_tokens(flat, n, model) == [b" segmentation" * 200]
+    pieces, words = [model.text[model.text_at[i] : model.text_at[i + 1]].tobytes() for i in flat], []
+    for p in pieces:
+        words.append([p]) if p.startswith(b" ") or not words else words[-1].append(p)
+    assert len({tuple(w) for w in words}) > 5
+
+
+def test_sharing_changes_no_tokens(monkeypatch):
+    texts, model = pa.array([" ".join(t for t in TEXTS if t) * 5, "unbelievable internationalization of the the the the " * 30]), piece_dropout.Model.read()
+    want = piece_dropout.encode_texts(texts, np.array([3, 4]), model, 0.2)
+    monkeypatch.setattr(piece_dropout, "SHARED", 0)
+    got = piece_dropout.encode_texts(texts, np.array([3, 4]), model, 0.2)
+    assert all((a == b).all() for a, b in zip(want, got, strict=True))
+
+
 def test_tokens_and_text_round_trip(spark):
     df = docs(spark, TEXTS).withColumn("tokens", F.lit("clash"))
     coded = piece_dropout.with_tokens(df)
