@@ -1,57 +1,55 @@
 """Near copies by SimHash candidates and verified shingle similarity: the pipeline's near-dedup.
 
-Here a fingerprint is over the distinct words of a text, so that copies with a
-few edited words lie within ``RADIUS`` bits, and the pigeonhole search of
-``simhash_dedup`` (same partitions, thresholds and probes) only proposes pairs.
-Sets of that similarity differ in size by a factor of 1 / ``SIMILAR`` at most, so a
-bucket also has a bin of the logarithm of the size, and a probe asks its own bin
-and the next. Pairs are checked twice: by 128 one-byte minima of 5-word shingles, then by the
-exact Jaccard similarity of the shingle sets (``SIMILAR`` or more links).
-
-A bucket of more than ``dense`` fingerprints isn't paired out as rows. Its members
-and probers are dealt into chunks, and each two chunks meet in one task, which
-compares only what it hasn't linked yet: a group of true copies costs one sweep,
-and memory is two chunks. These links rest on the minima and some are refuted by
-the exact check, so what they skipped isn't settled by them.
-
-What is still separate then meets by prefixes: of two sets of the similarity, each
-has one of the other's shingles among its first ``n - ceil(SIMILAR * n) + 1`` in any
-order that all sets share. Frequent shingles, as far as a sample of the documents
-tells them (it decides on the order only), come last. Rows of one such shingle are
-compared with the first of them, ``ROUNDS`` times, without what is linked by exact
-links already; what stays separate is swept in chunks. Pairs whose minima agree to
-less than ``SURE`` are not checked exactly; by chance, if minima are independent,
-that befalls a pair of the similarity once in 10^12 (Chernoff bound 4e-13).
-
-Defined cases: texts with equal fingerprint and minima are one node; fewer words
-than a shingle: the whole sequence is one; no words: alike only to each other;
-null text counts as empty; rows that repeat a doc_id stay or go together; a null
-doc_id stays; extra columns pass through; an empty table stays empty.
+Two texts are near copies if the Jaccard similarity of their sets of 5-word
+shingles is ``SIMILAR`` or more; every link is checked on the whole sets.
+
+1. Slices of the corpus ask buckets of shingle hashes which of their shingles
+   another document has (``sharing``; a shingle is asked once a slice, in four bytes).
+   A text of which fewer than ``SIMILAR`` of its shingles are shared has no near copy
+   and is done. The others keep their sets, and equal sets are one node from here.
+2. Fingerprints are over the distinct words of a text. The pigeonhole search of
+   ``simhash_dedup`` (same partitions, thresholds and probes, within bins of the sets'
+   sizes) proposes each prober with the first member of its bucket (``proposed``).
+3. What SimHash cannot see (appended or exchanged blocks) meets by prefixes: of two
+   sets of the similarity, each has one of the other's shingles among its first
+   ``n - ceil(SIMILAR * n) + 1`` in an order that all sets share, rare ones first. Rows
+   of one such shingle (a spot) are compared with the first of them.
+4. Spots that still hold several groups are settled in tasks that hold the sets
+   (``_settled``): only links that hold exactly join groups there, so nothing hides
+   behind an estimate, and at most one link a row comes out. Nodes that such spots
+   connect go to one task if their sets have ``WEIGHT`` shingles or fewer in all; else
+   each spot is dealt into chunks of that size, and each two chunks meet in one task.
+
+Rows that are emitted grow with the rows that share a key, never with their pairs.
+
+Defined cases: fewer words than a shingle: the whole sequence is one; no words: alike
+only to each other; null text counts as empty; rows that repeat a doc_id stay or go
+together; a null doc_id stays; extra columns pass through; an empty table stays empty.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shapesig.llm.common import cut, few_ids, in_arrow, rows_of
+from shapesig.llm.common import cut, few_ids, in_arrow, rows_of, text_bytes
 from shapesig.llm.graph import components
-from shapesig.llm.kernels import Words, mixed, xxh64_spans
+from shapesig.llm.kernels import Words, ragged, xxh64_spans
 from shapesig.llm.simhash_dedup import Part, bit_counts, plan, signed
 
-RADIUS, SHINGLE, SIMILAR, LANES, SLACK = 8, 5, 0.8, 128, 0.12
-DENSE, CHUNK = 64, 20_000
-ROUNDS, SURE = 2, 0.5
-#: One document of so many tells the frequent shingles, by at least so many occurrences; so many of them are told at most.
-SAMPLE, OFTEN, MOST_OFTEN = 16, 4, 200_000
+RADIUS, SHINGLE, SIMILAR = 4, 5, 0.8
+WEIGHT = 1_000_000  # shingles whose sets a task compares at once: 8 MB
+#: A factor of sizes that two sets of the similarity cannot exceed, as a logarithm.
+BIN = math.log(1 / SIMILAR) + 1e-6
 
 
-def _shingles(w: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
+def shingles_of(w: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of all word runs, and their documents."""
     each = np.where(w.per_doc >= size, w.per_doc - size + 1, (w.per_doc > 0).astype(np.int64))
     doc = np.repeat(np.arange(w.n_docs), each)
@@ -63,7 +61,8 @@ def _shingles(w: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
     return xxh64_spans(w.buf, w.start[first], (w.start[last] + w.size[last] - w.start[first]).astype(np.int64)), doc
 
 
-def _distinct(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def distinct(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct hashes of each document, in order."""
     order = np.lexsort((h, doc))
     h, doc = h[order], doc[order]
     new = np.ones(len(h), bool)
@@ -71,244 +70,251 @@ def _distinct(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return h[new], doc[new]
 
 
-def sketches_of(texts: pa.Array, shingle: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Fingerprints of distinct words, rows of one-byte minima of the shingles, and bins of the number of distinct ones."""
+def sets_of(texts: pa.Array, shingle: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Fingerprints of the distinct words, sizes of the sets of shingles, and the sets one after another."""
     w = Words(texts, lower=True)
-    h, doc = _distinct(w.hashes(), w.doc)
-    fp, lanes = np.zeros(w.n_docs, np.uint64), np.zeros((w.n_docs, LANES), np.uint8)
-    bins = np.full(w.n_docs, -2, np.int32)
-    if not len(h):
-        return fp, lanes, bins
-    at = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))
-    n = np.diff(np.append(at, len(doc)))
-    ones = np.add.reduceat(np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"), at, axis=0, dtype=np.int64)
-    fp[doc[at]] = np.packbits(ones * 2 > n[:, None], axis=1, bitorder="little").view("<u8").reshape(-1)
-    s, d = _distinct(*_shingles(w, shingle))
-    bins[:] = np.where(w.per_doc > 0, np.floor(np.log(np.maximum(1, np.bincount(d, minlength=w.n_docs))) / BIN), -2)
-    at = np.flatnonzero(np.concatenate([[True], d[1:] != d[:-1]]))
-    short = (mixed(s) >> np.uint64(32)).astype(np.uint32)
-    for k in range(LANES):
-        low = np.minimum.reduceat(short * _MUL[k] + _ADD[k], at)
-        lanes[d[at], k] = (low ^ (low >> np.uint32(11))).astype(np.uint8)
-    return fp, lanes, bins
-
-
-BIN = np.log(1 / SIMILAR) + 1e-6
-_MUL, _ADD = np.random.default_rng(5).integers(0, 1 << 32, (2, LANES), dtype=np.uint32)
-_MUL |= np.uint32(1)
-
-
-def sketches(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp, lanes, bin) for every row; the minima are 16 longs of 8 bytes."""
+    h, doc = distinct(w.hashes(), w.doc)
+    fp = np.zeros(w.n_docs, np.uint64)
+    if len(h):
+        at = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]]))
+        n = np.diff(np.append(at, len(doc)))
+        ones = np.add.reduceat(np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"), at, axis=0, dtype=np.int64)
+        fp[doc[at]] = np.packbits(ones * 2 > n[:, None], axis=1, bitorder="little").view("<u8").reshape(-1)
+    s, of = distinct(*shingles_of(w, shingle))
+    return fp, np.bincount(of, minlength=w.n_docs), s
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in rows_of(batch, "text", 1 << 20):
-                fp, lanes, bins = sketches_of(part.column(1))
-                longs = pa.array(lanes.view("<i8").reshape(-1))
-                ends = pa.array((np.arange(part.num_rows + 1) * (LANES // 8)).astype(np.int32))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64)), pa.ListArray.from_arrays(ends, longs), pa.array(bins)], ["doc_id", "fp", "lanes", "bin"])
-
-    return in_arrow(docs.select("doc_id", "text"), run, "doc_id long, fp long, lanes array<long>, bin int")
-
-
-def _alike(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Similarity of sketches, without what one byte agrees by chance."""
-    return ((a == b).mean(-1) - 1 / 256) / (1 - 1 / 256)
-
-
-def _differing(x: Column, y: Column) -> Column:
-    """Bytes in which two longs differ: each byte's bits are folded into its lowest one."""
-    v = x.bitwiseXOR(y)
-    for shift, mask in ((4, 0x0F0F0F0F0F0F0F0F), (2, 0x0303030303030303), (1, 0x0101010101010101)):
-        v = v.bitwiseOR(F.shiftrightunsigned(v, shift).bitwiseAND(F.lit(mask)))
-    return F.bit_count(v.bitwiseAND(F.lit(0x0101010101010101)))
-
-
-def _alike_column(a: str, b: str) -> Column:
-    other = sum((_differing(F.get(a, F.lit(i)), F.get(b, F.lit(i))) for i in range(LANES // 8)), F.lit(0))
-    return (1 - other / LANES - 1 / 256) / (1 - 1 / 256)
-
-
-def _crowded(rows: pd.DataFrame, radius: int, least: float) -> tuple[list[int], list[int]]:
-    """Links that connect all alike rows of one or two chunks, by sweeps over what isn't linked yet."""
-    rows = rows.drop_duplicates("node").sort_values("node")
-    node, fp = rows["node"].to_numpy(np.int64), rows["fp"].to_numpy(np.int64).view(np.uint64)
-    lanes = np.stack(rows["lanes"].to_list()).astype("<i8").view(np.uint8)
-    group, a, b = np.arange(len(node)), [], []
-    for i in range(len(node) - 1):
-        rest = np.flatnonzero(group[i + 1 :] != group[i]) + i + 1
-        rest = rest[np.bitwise_count(fp[rest] ^ fp[i]) <= radius]
-        if len(rest) and len(rest := rest[_alike(lanes[rest], lanes[i]) >= least]):
-            for j in rest.tolist():
-                if group[j] != group[i]:
-                    a.append(int(node[i]))
-                    b.append(int(node[j]))
-                    group[group == group[j]] = group[i]
-    return a, b
 
+# ---- which shingles another document has
 
-def candidates(nodes: DataFrame, radius: int = RADIUS, dense: int = DENSE, chunk: int = CHUNK, least: float = SIMILAR - SLACK) -> DataFrame:
-    """Pairs (a, b) of nodes (node, fp, lanes, bin) that connect all within the radius and alike by their minima."""
-    n, both = bit_counts(nodes)
-    sizes = {r["bin"]: r["n"] for r in nodes.groupBy("bin").agg(F.count(F.lit(1)).alias("n")).collect()}  # a bin a factor of 1.25
-    share = sum(c * (c + sizes.get(b + 1, 0)) for b, c in sizes.items()) / max(1, n) ** 2
-    parts = plan(n, both, radius, share=share, copies=2) or [Part(tuple(range(64)), 0)]
-    spot = ["part", "key", "bin"]
-    held = nodes.select("node", "fp", "bin", F.explode(F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).alias("key")) for i, p in enumerate(parts)))).alias("x")).select("x.*", "bin", "node", "fp")
-    keys = F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).bitwiseXOR(F.lit(signed(x))).alias("key")) for i, p in enumerate(parts) for x in p.flips))
-    probe = nodes.select("node", "fp", "bin", F.explode(keys).alias("x")).select("x.*", F.explode(F.array("bin", F.col("bin") + 1)).alias("bin"), F.col("bin").alias("own"), F.col("node").alias("node_p"), F.col("fp").alias("fp_p"))
-    full = held.groupBy(*spot).agg(F.count(F.lit(1)).alias("n"))
-    thin = held.join(full.where(F.col("n") <= dense).select(spot), spot)
-    near = F.bit_count(F.col("fp").bitwiseXOR(F.col("fp_p"))) <= radius
-    once = (F.col("own") < F.col("bin")) | (F.col("node_p") < F.col("node"))
-    met = thin.join(probe, spot).where(near & once)
-    pairs = met.select(F.least("node_p", "node").alias("a"), F.greatest("node_p", "node").alias("b")).distinct()
-    side = lambda c: nodes.select(F.col("node").alias(c), F.col("lanes").alias(f"lanes_{c}"))
-    checked = pairs.join(side("a"), "a").join(side("b"), "b").where(_alike_column("lanes_a", "lanes_b") >= least).select("a", "b")
-    # Thick buckets: members and probers, dealt into chunks; each two chunks meet once.
-    thick = full.where(F.col("n") > dense).select(*spot, F.ceil(F.col("n") / chunk).cast("int").alias("chunks"))
-    crowd = probe.join(thick, spot).join(nodes.select(F.col("node").alias("node_p"), "lanes"), "node_p")
-    mine = F.pmod(F.xxhash64("node_p"), F.col("chunks")).cast("int")
-    dealt = crowd.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    cells = dealt.select(*spot, F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), F.col("node_p").alias("node"), F.col("fp_p").alias("fp"), "lanes")
-
-    def sweep(rows: pd.DataFrame) -> pd.DataFrame:
-        a, b = _crowded(rows, radius, least)
-        return pd.DataFrame({"a": pd.Series(a, dtype="int64"), "b": pd.Series(b, dtype="int64")})
-
-    return checked.unionByName(cells.groupBy(*spot, "i", "j").applyInPandas(sweep, "a long, b long")).distinct()
-
-
-def _sets(docs: DataFrame, asked: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """(doc_id, s) with the distinct shingles of the asked documents; a doc_id with several texts has several rows."""
+SLICE = "slice long, ids binary, fps binary, sizes binary, h binary"
+ASKED = "bucket long, slice long, low binary, times binary"
+ANSWER = "slice long, bucket long, bits binary, level binary"
+KEPT = "doc_id long, fp long, n long, s array<long>, spots array<long>"
+_SLICE, _ASKED, _ANSWER = (pa.schema([(f.split()[0], {"long": pa.int64(), "binary": pa.binary()}[f.split()[1]]) for f in d.split(", ")]) for d in (SLICE, ASKED, ANSWER))
+_KEPT = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64()), ("n", pa.int64()), ("s", pa.list_(pa.int64())), ("spots", pa.list_(pa.int64()))])
+
+
+def slices(docs: DataFrame, size: int, shingle: int = SHINGLE) -> DataFrame:
+    """Rows of ``size`` bytes of text or a document more: ids, fingerprints and sets, packed."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        serial = TaskContext.get().partitionId() << 32
+        held: list[tuple] = []
+        full = 0
         for batch in batches:
             for part in rows_of(batch, "text", 1 << 20):
-                h, doc = _distinct(*_shingles(Words(part.column(1), lower=True), shingle))
-                ends = np.searchsorted(doc, np.arange(part.num_rows + 1)).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(h.view(np.int64)))], ["doc_id", "s"])
+                held.append((np.asarray(part.column(0)).astype(np.int64), *sets_of(part.column(1), shingle)))
+                full += part.column(1).nbytes
+                if full >= size:
+                    yield _slice(serial, held)
+                    held, full, serial = [], 0, serial + 1
+        if held:
+            yield _slice(serial, held)
 
-    made = in_arrow(docs.select("doc_id", "text").join(few_ids(cut(asked)), "doc_id", "left_semi"), run, "doc_id long, s array<long>")
-    return made.groupBy("doc_id", F.xxhash64("s").alias("h")).agg(F.first("s").alias("s")).drop("h")
+    return in_arrow(docs.select("doc_id", "text"), run, SLICE)
 
 
-def verified(pairs: DataFrame, docs: DataFrame, shingle: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
-    """Pairs of doc_ids whose shingle sets have the similarity; only their documents' sets are made."""
-    sets = _sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), shingle)
-    met = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
-    both = F.size(F.array_intersect("sa", "sb"))
-    return met.where(both >= similar * (F.size("sa") + F.size("sb") - both)).select("a", "b").distinct()
+def _slice(serial: int, parts: list[tuple]) -> pa.RecordBatch:
+    columns = [np.concatenate(c).tobytes() for c in zip(*parts, strict=True)]
+    return pa.RecordBatch.from_arrays([pa.array([serial], pa.int64()), *(pa.array([c], pa.binary()) for c in columns)], schema=_SLICE)
 
 
-def often(docs: DataFrame) -> np.ndarray:
-    """Frequent shingles, the most frequent last."""
+def _asked(h: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct hashes, how often each occurs, its bucket (in order), and the place of every hash among them."""
+    u, place, times = np.unique(h, return_inverse=True, return_counts=True)
+    return u, times, (((u >> np.uint64(40)) * np.uint64(buckets)) >> np.uint64(24)).astype(np.int64), place
+
+
+def _edges(bucket: np.ndarray) -> np.ndarray:
+    return np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1], [True]])) if len(bucket) else np.zeros(1, np.int64)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in rows_of(batch, "text", 1 << 20):
-                yield pa.RecordBatch.from_arrays([pa.array(_distinct(*_shingles(Words(part.column(1), lower=True), SHINGLE))[0].view(np.int64))], ["h"])
 
-    some = in_arrow(docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE)) == 0).select("doc_id", "text"), run, "h long")
-    counts = some.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= OFTEN).orderBy(F.desc("n"), "h").limit(MOST_OFTEN)
-    return np.array([r["h"] for r in counts.collect()][::-1], np.int64).view(np.uint64)
+def _rows(columns: list, schema: pa.Schema) -> pa.Table:
+    return pa.table([pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
 
 
-def prefixes_of(texts: pa.Array, last: np.ndarray, shingle: int = SHINGLE, similar: float = SIMILAR) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Shingles of each text's prefix, their texts, and the number of distinct shingles there; 0 for a text without words.
+def prefix(n: np.ndarray, doc: np.ndarray, h: np.ndarray, shared: np.ndarray, level: np.ndarray, similar: float) -> tuple[np.ndarray, np.ndarray]:
+    """Whether each document can have a near copy, and which hashes stand in its prefix and are shared.
 
-    The order is that of the hashes, and then that of ``last``.
+    The order is: hashes of one document, then the others by their level, then the
+    hash; a document's first ``n - ceil(similar * n) + 1`` are its prefix.
     """
-    h, doc = _distinct(*_shingles(Words(texts, lower=True), shingle))
-    if len(last):
-        by = np.argsort(last)
-        at = np.minimum(np.searchsorted(last[by], h), len(last) - 1)
-        order = np.lexsort((h, np.where(last[by][at] == h, by[at] + 1, 0), doc))
-        h, doc = h[order], doc[order]
-    n = np.bincount(doc, minlength=len(texts))
-    rank = np.arange(len(doc)) - (np.cumsum(n) - n)[doc]
-    first = rank <= (n - np.ceil(similar * n - 1e-9))[doc]
-    bare = np.flatnonzero(n == 0)
-    doc = np.concatenate([doc[first], bare])
-    return np.concatenate([h[first].view(np.int64), np.zeros(len(bare), np.int64)]), doc, n[doc]
-
-
-def prefixes(docs: DataFrame) -> DataFrame:
-    """(spot, node, n): the shingles by which documents meet that may have the similarity."""
-    last = docs.sparkSession.sparkContext.broadcast(often(docs))
+    many = np.bincount(doc, shared, len(n)).astype(np.int64)
+    need = np.ceil(similar * n - 1e-9).astype(np.int64)
+    able = many >= need
+    order = np.lexsort((h, level, ~shared, doc))  # shared ones come first in each document here
+    rank = np.empty(len(h), np.int64)
+    rank[order] = np.arange(len(h)) - (np.cumsum(n) - n)[doc[order]]
+    return able, shared & able[doc] & (rank <= (many - need)[doc])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in rows_of(batch, "text", 1 << 20):
-                spot, doc, n = prefixes_of(part.column(1), last.value)
-                yield pa.RecordBatch.from_arrays([pa.array(spot), part.column(0).take(pa.array(doc)), pa.array(n.astype(np.int32))], ["spot", "node", "n"])
 
-    return in_arrow(docs.select("doc_id", "text"), run, "spot long, node long, n int")
+def sharing(docs: DataFrame, slice_bytes: int | None = None, buckets: int | None = None, similar: float = SIMILAR) -> DataFrame:
+    """(doc_id, fp, n, s, spots) of the documents that can have a near copy: their sets, and the shared shingles of their prefixes.
+
+    Slices grow with the root of the corpus to 32 MB; buckets are those of 16 MB of
+    text and 500,000 at most, 200 MB of text at 100 TB. Two hashes of a bucket with
+    equal low bits count as one: a text may be kept that need not be, none is lost.
+    """
+    total = text_bytes(docs) if slice_bytes is None or buckets is None else 0
+    size = slice_bytes or min(32 << 20, max(1 << 20, 256 * math.isqrt(total)))
+    n_buckets = buckets or max(8, min(500_000, total >> 24))
+    cut_up = slices(docs, size)
+
+    def ask(rows: pa.Table) -> pa.Table:
+        out: list[tuple] = []
+        for serial, blob in zip(rows["slice"].to_pylist(), rows["h"].to_pylist(), strict=True):
+            u, times, bucket, _ = _asked(np.frombuffer(blob, np.uint64), n_buckets)
+            low, few, at = (u & np.uint64(0xFFFFFFFF)).astype(np.uint32), np.minimum(times, 255).astype(np.uint8), _edges(bucket)
+            out += [(int(bucket[a]), serial, low[a:b].tobytes(), few[a:b].tobytes()) for a, b in zip(at[:-1], at[1:], strict=True)]
+        return _rows(list(zip(*out, strict=True)) or [[]] * 4, _ASKED)
+
+    def answer(rows: pa.Table) -> pa.Table:
+        low = [np.frombuffer(x, np.uint32) for x in rows["low"].to_pylist()]
+        times = np.concatenate([np.frombuffer(x, np.uint8) for x in rows["times"].to_pylist()])
+        _, place = np.unique(np.concatenate(low), return_inverse=True)
+        held = np.bincount(place, times)
+        level = np.minimum(255, 8 * np.log2(held)).astype(np.uint8)[place]
+        shared = (held > 1)[place]
+        ends = np.cumsum([len(x) for x in low])[:-1]
+        told = [(np.packbits(s).tobytes(), v[s].tobytes()) for s, v in zip(np.split(shared, ends), np.split(level, ends), strict=True)]
+        return _rows([rows["slice"].to_pylist(), rows["bucket"].to_pylist(), *zip(*told, strict=True)], _ANSWER)
+
+    def settle(rows: pa.Table, replies: pa.Table) -> pa.Table:
+        if not rows.num_rows:
+            return _KEPT.empty_table()
+        ids, fps, n, h = (np.frombuffer(rows[c][0].as_py(), k) for c, k in (("ids", np.int64), ("fps", np.int64), ("sizes", np.int64), ("h", np.uint64)))
+        u, _, bucket, place = _asked(h, n_buckets)
+        said = {b: (x, v) for b, x, v in zip(*(replies[c].to_pylist() for c in ("bucket", "bits", "level")), strict=True)}
+        at, shared, level = _edges(bucket), np.zeros(len(u), bool), np.zeros(len(u), np.uint8)
+        for a, b in zip(at[:-1], at[1:], strict=True):
+            bits, levels = said[int(bucket[a])]
+            shared[a:b] = np.unpackbits(np.frombuffer(bits, np.uint8), count=b - a).astype(bool)
+            level[a:b][shared[a:b]] = np.frombuffer(levels, np.uint8)
+        doc = np.repeat(np.arange(len(n)), n)
+        able, chosen = prefix(n, doc, h, shared[place], level[place], similar)
+        keep = able[doc]
+
+        def lists(mask: np.ndarray) -> pa.Array:
+            ends = np.cumsum(np.concatenate([[0], np.bincount(doc[mask], minlength=len(n))[able]]))
+            return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(h[mask].view(np.int64)))
+
+        return pa.table([pa.array(ids[able]), pa.array(fps[able]), pa.array(n[able]), lists(keep), lists(chosen)], schema=_KEPT)
+
+    answers = cut_up.groupBy("slice").applyInArrow(ask, ASKED).groupBy("bucket").applyInArrow(answer, ANSWER)
+    return cut_up.groupBy("slice").cogroup(answers.groupBy("slice")).applyInArrow(settle, KEPT)
+
+
+# ---- candidates and their check
+
+
+def proposed(nodes: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """Pairs (a, b) of ``nodes`` (node, fp, n) within the radius: each prober with the first member of its bucket."""
+    placed = nodes.where("n > 0").select("node", "fp", "n", F.floor(F.log("n") / BIN).cast("int").alias("bin"))
+    n, both = bit_counts(placed)
+    sizes = {r["bin"]: r["n"] for r in placed.groupBy("bin").agg(F.count(F.lit(1)).alias("n")).collect()}  # a bin a factor of 1.25
+    share = sum(c * (c + sizes.get(b + 1, 0)) for b, c in sizes.items()) / max(1, n) ** 2
+    parts = plan(n, both, radius, share=share, copies=2) or [Part(tuple(range(64)), 0)]
 
+    def keys(flips: bool) -> Column:
+        return F.explode(F.array(*(F.struct(F.lit(i).alias("part"), F.col("fp").bitwiseAND(F.lit(signed(p.mask))).bitwiseXOR(F.lit(signed(x))).alias("key")) for i, p in enumerate(parts) for x in (p.flips if flips else [0])))).alias("x")
 
-def _swept(rows: pd.DataFrame, least: float = SURE) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """All pairs of rows (node, root, lanes) of different roots and alike by their minima; small groups go first, so a large one isn't compared with itself."""
-    rows = rows.assign(many=rows.groupby("root")["node"].transform("size")).sort_values(["many", "root", "node"])
-    node, root = rows["node"].to_numpy(np.int64), rows["root"].to_numpy(np.int64)
-    lanes = np.stack(rows["lanes"].to_list()).astype("<i8").view(np.uint8)
-    a, b = [], []
-    for i in range(len(node) - 1):
-        rest = np.flatnonzero(root[i + 1 :] != root[i]) + i + 1
-        if len(rest) and len(rest := rest[_alike(lanes[rest], lanes[i]) >= least]):
-            a.append(np.minimum(node[rest], node[i]))
-            b.append(np.maximum(node[rest], node[i]))
-    return a, b
+    first = placed.select("*", keys(False)).groupBy("x.part", "x.key", "bin").agg(F.min(F.struct("node", "fp", "n")).alias("p"))
+    probe = placed.select("*", keys(True)).select("x.part", "x.key", F.explode(F.array("bin", F.col("bin") + 1)).alias("bin"), "node", "fp", "n")
+    met = probe.join(first, ["part", "key", "bin"]).where(F.bit_count(F.col("fp").bitwiseXOR(F.col("p.fp"))) <= radius)
+    return _ordered(met.where(_sized(F.col("n"), F.col("p.n"))).select(F.col("node").alias("x"), F.col("p.node").alias("y")))
 
 
-def _separate(spots: DataFrame, links: DataFrame) -> DataFrame:
-    """(spot, node, n, root) of the spots that hold more than one group of the links."""
-    named = cut(spots.join(components(links), "node", "left").select("spot", "node", "n", F.coalesce("root", "node").alias("root")))
-    open_ = named.groupBy("spot").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("spot")
-    return cut(named.join(open_, "spot", "left_semi"))
-
-
-def joined(spots: DataFrame, links: DataFrame, docs: DataFrame, rows: DataFrame, rounds: int = ROUNDS, chunk: int = CHUNK, similar: float = SIMILAR) -> DataFrame:
-    """The links (a, b; exact ones) and more, which connect all documents of the similarity that share a spot."""
-    lanes = rows.select(F.col("doc_id").alias("node"), "lanes").distinct()
-    side = lambda c: lanes.select(F.col("node").alias(c), F.col("lanes").alias(f"lanes_{c}"))
-    many = spots.withColumn("rows", F.count(F.lit(1)).over(Window.partitionBy("spot"))).where("rows > 1")
-    live, tried = _separate(many.select("spot", "node", "n"), links), links
-    for _ in range(rounds):
-        if live.isEmpty():
-            return links
-        first = live.groupBy("spot").agg(F.min(F.struct("node", "n", "root")).alias("p"))
-        met = live.join(first, "spot")
-        sized = F.least("n", "p.n") >= similar * F.greatest("n", "p.n")
-        pairs = met.where(sized & (F.col("p.root") != F.col("root"))).select(F.col("p.node").alias("a"), F.col("node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
-        pairs = cut(pairs.join(side("a"), "a").join(side("b"), "b").where(_alike_column("lanes_a", "lanes_b") >= SURE).select("a", "b").distinct())
-        tried, links = cut(tried.unionByName(pairs)), cut(links.unionByName(verified(pairs, docs)))
-        live = _separate(met.where("node <> p.node").select("spot", "node", "n"), links)
-    if live.isEmpty():
-        return links
-    dealt = live.join(live.groupBy("spot").agg(F.ceil(F.count(F.lit(1)) / chunk).cast("int").alias("chunks")), "spot").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    cells = dealt.select("spot", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "root").distinct().join(lanes, "node")
+def _sized(x: Column, y: Column, similar: float = SIMILAR) -> Column:
+    return F.least(x, y) >= similar * F.greatest(x, y)
+
 
-    def sweep(rows: pd.DataFrame) -> pd.DataFrame:
-        a, b = (np.concatenate([np.zeros(0, np.int64), *x]) for x in _swept(rows))
-        return pd.DataFrame({"a": a, "b": b})
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
-    pairs = cut(cells.groupBy("spot", "i", "j").applyInPandas(sweep, "a long, b long").distinct().join(tried, ["a", "b"], "left_anti"))
-    return cut(links.unionByName(verified(pairs, docs)))
 
+def verified(pairs: DataFrame, sets: DataFrame, similar: float = SIMILAR) -> DataFrame:
+    """Pairs (a, b) of nodes whose sets (node, s) have the similarity."""
+    met = pairs.join(sets.select(F.col("node").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("node").alias("b"), F.col("s").alias("sb")), "b")
+    both = F.size(F.array_intersect("sa", "sb"))
+    return met.where(both >= similar * (F.size("sa") + F.size("sb") - both)).select("a", "b").distinct()
 
-def groups(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFrame:
+
+def _settled(root: np.ndarray, sets: list[np.ndarray], similar: float) -> tuple[list[int], list[int]]:
+    """Links (places of rows) that join all groups whose sets have the similarity."""
+    g = len(sets)
+    n = np.array([len(x) for x in sets], np.int64)
+    own = np.repeat(np.arange(g), n)
+    _, word = np.unique(np.concatenate(sets), return_inverse=True)
+    begin = np.cumsum(n) - n
+    posts = own[np.argsort(word, kind="stable")]
+    times = np.bincount(word)
+    start = np.cumsum(times) - times
+    group = np.unique(root, return_inverse=True)[1]
+    a, b = [], []
+    # Members of small groups go first: a large group then isn't compared with itself.
+    for i in np.lexsort((np.arange(g), np.bincount(group)[group])).tolist():
+        if (group == group[i]).all():
+            continue
+        mine = word[begin[i] : begin[i] + n[i]]
+        both = np.bincount(posts[ragged(start[mine], times[mine])], minlength=g)
+        for j in np.flatnonzero((both >= similar * (n + n[i] - both)) & (group != group[i])).tolist():
+            if group[j] != group[i]:
+                a.append(i)
+                b.append(j)
+                group[group == group[j]] = group[i]
+    return a, b
+
+
+def joined(spots: DataFrame, sets: DataFrame, links: DataFrame, tried: DataFrame, weight: int = WEIGHT, similar: float = SIMILAR) -> DataFrame:
+    """The links (a, b; exact ones) and more, which connect all nodes of the similarity that share a spot.
+
+    ``spots`` has (spot, node, n), ``sets`` (node, s) and ``tried`` the pairs that are checked already.
+    """
+    # Spots with the same rows are one.
+    about = spots.groupBy("spot").agg(F.count(F.lit(1)).alias("rows"), F.sum(F.xxhash64("node").cast("decimal(38,0)")).alias("sum"), F.min(F.struct("node", "n")).alias("p"))
+    kept = about.where("rows > 1").groupBy("rows", "sum", "p").agg(F.min("spot").alias("spot")).select("spot", "p")
+    live = cut(spots.join(kept, "spot"))
+    pairs = _ordered(live.where(_sized(F.col("n"), F.col("p.n"), similar)).select(F.col("node").alias("x"), F.col("p.node").alias("y")))
+    links = cut(links.unionByName(verified(pairs.join(tried, ["a", "b"], "left_anti"), sets, similar)))
+    named = live.join(components(links), "node", "left").select("spot", "node", "n", F.coalesce("root", "node").alias("root"))
+    open_ = named.groupBy("spot").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("spot")
+    rest = cut(named.join(open_, "spot", "left_semi"))
+    if rest.isEmpty():
+        return links
+    hub = rest.groupBy("spot").agg(F.min("node").alias("a"))
+    cluster = components(rest.join(hub, "spot").select("a", F.col("node").alias("b"))).select("node", F.col("root").alias("cluster"))
+    whose = rest.select("node", "root", "n").distinct().join(cluster, "node")
+    heavy = whose.groupBy("cluster").agg(F.sum("n").alias("w")).where(F.col("w") > weight).select("cluster")
+    whole = whose.join(heavy, "cluster", "left_anti").select(F.lit(0).alias("kind"), F.col("cluster").alias("spot"), F.lit(0).alias("i"), F.lit(0).alias("j"), "node", "root")
+    large = rest.join(cluster.join(heavy, "cluster").select("node"), "node")
+    chunks = large.groupBy("spot").agg(F.ceil(2 * F.sum("n") / weight).cast("int").alias("chunks"))
+    dealt = large.join(chunks, "spot").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    parts = dealt.select(F.lit(1).alias("kind"), "spot", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "root").distinct()
+
+    def sweep(rows: pa.Table) -> pa.Table:
+        node, root = (np.asarray(rows[c].combine_chunks()) for c in ("node", "root"))
+        order = np.lexsort((node, root))
+        s = rows["s"].to_pandas().to_list()
+        a, b = (node[order[np.array(x, np.int64)]] for x in _settled(root[order], [s[k] for k in order.tolist()], similar))
+        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    more = whole.unionByName(parts).join(sets, "node").groupBy("kind", "spot", "i", "j").applyInArrow(sweep, "a long, b long")
+    return cut(links.unionByName(more).distinct())
+
+
+def groups(docs: DataFrame, radius: int = RADIUS, slice_bytes: int | None = None, buckets: int | None = None, weight: int = WEIGHT) -> DataFrame:
     """(doc_id, least) for every document that isn't alone: the least doc_id of its group."""
-    docs = docs.where("doc_id IS NOT NULL")
-    rows = cut(sketches(docs))
-    nodes = cut(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("node"), F.min("bin").alias("bin")).groupBy("node").agg(F.min("fp").alias("fp"), F.min_by("lanes", "fp").alias("lanes"), F.min_by("bin", "fp").alias("bin")))
-    pairs = cut(candidates(nodes, radius, dense))
-    same = rows.join(rows.groupBy("fp", "lanes").agg(F.min("doc_id").alias("a")), ["fp", "lanes"]).where("a < doc_id").select("a", F.col("doc_id").alias("b"))
-    links = cut(verified(pairs, docs).unionByName(same))
-    return components(joined(prefixes(docs), links, docs, rows)).select(F.col("node").alias("doc_id"), F.col("root").alias("least"))
+    rows = cut(sharing(docs.where("doc_id IS NOT NULL"), slice_bytes, buckets).withColumn("h", F.xxhash64("s")))
+    one = cut(rows.groupBy("h", "n").agg(F.min("doc_id").alias("node"), F.min("fp").alias("fp"), F.first("s").alias("s"), F.first("spots").alias("spots")))
+    same = rows.join(one.select("h", "n", "node"), ["h", "n"]).where("node < doc_id").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
+    sets = one.select("node", "s")
+    pairs = cut(proposed(one.select("node", "fp", "n"), radius))
+    links = verified(pairs, sets).unionByName(same)
+    spots = one.select(F.explode("spots").alias("spot"), "node", "n")
+    return components(joined(spots, sets, links, pairs, weight)).select(F.col("node").alias("doc_id"), F.col("root").alias("least"))
 
 
-def keep_one(docs: DataFrame, radius: int = RADIUS, dense: int = DENSE) -> DataFrame:
+def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     """The documents without those that are near copies of one with a smaller doc_id."""
-    gone = groups(docs, radius, dense).groupBy("doc_id").agg(F.min("least").alias("least")).where("least < doc_id").select("doc_id")
+    gone = groups(docs, radius).groupBy("doc_id").agg(F.min("least").alias("least")).where("least < doc_id").select("doc_id")
     return docs.join(few_ids(cut(gone)), "doc_id", "left_anti").select(docs.columns)

@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 from shapesig.llm.common import in_arrow, offsets_of, rows_of
-from shapesig.llm.kernels import mixed, xxh64_spans
+from shapesig.llm.kernels import mixed, ragged, xxh64_spans
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE_SIGN = "▁"
@@ -190,13 +190,6 @@ def merge_in_step(cells: np.ndarray, sizes: np.ndarray, unit: np.ndarray, model:
     return out_sym[:, :width], out_start[:, :width], out_count
 
 
-def ragged(at: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """Indices of all spans, one after another."""
-    ends = np.cumsum(size)
-    total = int(ends[-1]) if len(ends) else 0
-    return np.arange(total) - np.repeat(ends - size, size) + np.repeat(at, size)
-
-
 def spans_of(cells: np.ndarray, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Every merge that can come up in the rows of ``cells`` (padded by -1): row, start, middle, end."""
     n, width = cells.shape

@@ -118,7 +118,8 @@ def plan(n: int, both: np.ndarray, radius: int = RADIUS, most_parts: int = 6, sh
     ``share`` is the share of all pairs that a further key lets meet, ``copies``
     the rows that it makes of each probe.
     """
-    p = both / max(1, n)
+    n = max(1, n)  # an empty table costs no probes, which must not make them many
+    p = both / n
     one = np.diag(p)
     agree = one**2 + (1 - one) ** 2
     cells = [p, one[:, None] - p, one[None, :] - p, 1 - one[:, None] - one[None, :] + p]

@@ -2,6 +2,7 @@
 
 import hashlib
 import itertools
+import math
 import re
 
 import numpy as np
@@ -65,9 +66,10 @@ def test_links_lose_nothing(spark, dense, radius):
 
 def test_plan_meets_the_general_pigeonhole():
     both = np.full((64, 64), 2500) + np.diag([2500] * 64)
-    for n in (10, 10**6, 10**10):
-        for radius in (1, 2, 8):
+    for n in (0, 1, 10, 10**6, 10**10):
+        for radius in (1, 2, 4, 8):
             parts = simhash_dedup.plan(n, both * n // 10_000, radius)
+            assert radius > 4 or sum(math.comb(len(p.bits), r) for p in parts for r in range(p.radius + 1)) < 2000
             rng = np.random.default_rng(1)
             for _ in range(300):
                 x = sum(1 << int(b) for b in rng.choice(64, rng.integers(0, radius + 1), replace=False))
@@ -81,19 +83,26 @@ def test_components_of_long_paths_and_stars(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def kept_of(spark, texts, **how):
+    gone = near_copies.groups(docs(spark, texts), **how).where("least < doc_id").select("doc_id").collect()
+    return set(range(len(texts))) - {r.doc_id for r in gone}
+
+
 def test_near_copies_keep_the_first(spark):
     base = [prose(300, s, 5000) for s in range(20)]
     texts = base + [" ".join(w if k != 150 else "changed" for k, w in enumerate(b.split())) for b in base[:10]] + [None, "", "short", "Short"]
-    kept = {r.doc_id for r in near_copies.keep_one(docs(spark, texts)).collect()}
-    assert kept == set(range(20)) | {30, 32}
-    crowd = [" ".join(f"x{i}" if k == 5 + 7 * (i % 30) else w for k, w in enumerate(prose(300, 99, 5000).split())) for i in range(120)]
-    for dense, chunk in ((64, 20_000), (4, 30)):
-        near_copies.candidates.__defaults__ = (near_copies.RADIUS, dense, chunk, near_copies.SIMILAR - near_copies.SLACK)
-        assert [r.doc_id for r in near_copies.keep_one(docs(spark, crowd), dense=dense).collect()] == [0]
-    near_copies.candidates.__defaults__ = (near_copies.RADIUS, near_copies.DENSE, near_copies.CHUNK, near_copies.SIMILAR - near_copies.SLACK)
+    clash = docs(spark, texts).selectExpr("*", "1 AS node", "2 AS spot", "'x' AS s", "3 AS n", "4 AS slice", "5 AS least")
+    kept = near_copies.keep_one(clash)
+    assert kept.columns == clash.columns and {r.doc_id for r in kept.collect()} == set(range(20)) | {30, 32}
     assert near_copies.keep_one(docs(spark, [])).count() == 0
 
 
+def test_repeated_and_null_ids_of_near_copies(spark):
+    a, b, long = prose(50, 1, 5000), prose(50, 2, 5000), prose(400_000, 3, 100_000)
+    df = docs(spark, [a, b, b + " x", a + " x", a, b, long, long + " y"], [5, 5, 9, 7, None, None, 20, 21])
+    assert sorted(str(r.doc_id) for r in near_copies.keep_one(df).collect()) == ["20", "5", "5", "None", "None"]
+
+
 def brute_kept(texts):
     sets = [{tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for w in (t.lower().split() for t in texts)]
     root = list(range(len(sets)))
@@ -117,19 +126,26 @@ def test_a_hub_under_the_similarity_hides_no_copies(spark):
     hub = moved(base, [5 + 37 * i for i in range(7)])
     crowd = [hub, *(moved(base, [20 + k]) for k in range(0, 260, 3) if k % 37 > 4)]
     kept = brute_kept(crowd)
-    assert len(crowd) > near_copies.DENSE and kept == {0, 1}
-    assert {r.doc_id for r in near_copies.keep_one(docs(spark, crowd)).collect()} == kept
+    assert kept == {0, 1} and kept_of(spark, crowd) == kept
+
+
+@pytest.mark.parametrize("how", [{}, {"weight": 60, "slice_bytes": 300, "buckets": 3}, {"weight": 400, "radius": 0, "buckets": 1}])
+def test_chains_and_separate_groups_that_share_passages(spark, how):
+    shared = prose(20, 7, 5000)
+    texts = [prose(40, s, 5000) + " " + shared + (" end" if k else "") for s in range(6) for k in range(2)]
+    base = prose(120, 90, 5000).split()
+    texts += [moved(base, range(3, 3 + 24 * k, 24)) for k in range(5)]  # each is alike to the next one only
+    kept = brute_kept(texts)
+    assert kept == {*range(0, 12, 2), 12} and kept_of(spark, texts, **how) == kept
 
 
-def test_what_rounds_leave_is_swept(spark):
-    texts = [prose(40, s, 5000) + " " + prose(20, 7, 5000) for s in range(6) for _ in range(2)]
-    texts = [t if i % 2 else t + " end" for i, t in enumerate(texts)]
-    df = docs(spark, texts)
-    none = spark.createDataFrame([], "a long, b long")
-    for rounds, chunk in ((0, 4000), (0, 3), (1, 4000)):
-        got = near_copies.joined(near_copies.prefixes(df), none, df, near_copies.sketches(df), rounds, chunk)
-        gone = {r.node for r in components(got).collect() if r.node != r.root}
-        assert set(range(len(texts))) - gone == brute_kept(texts)
+def test_rows_that_come_out_do_not_grow_with_pairs():
+    rng = np.random.default_rng(1)
+    for crowd in (40, 160):
+        sets = [np.unique(np.concatenate([np.arange(70), rng.integers(1000, 10**9, 30)])) for _ in range(crowd)]
+        sets += [np.append(sets[0], 7 * 10**9 + k) for k in range(crowd)]
+        a, b = near_copies._settled(np.arange(len(sets)), sets, 0.8)
+        assert len(a) == crowd and {0, *range(crowd, 2 * crowd)} == {*a, *b}
 
 
 def edited(words, kind, rng):
@@ -156,11 +172,12 @@ def test_prefixes_of_similar_sets_meet_in_any_order():
     rng = np.random.default_rng(4)
     for i in range(60):
         words = prose(int(rng.integers(60, 200)), i, 10**6).split()
-        texts = pa.array([" ".join(words), " ".join(edited(words, ("appended", "cut", "block")[i % 3], rng))])
-        h = near_copies._shingles(near_copies.Words(texts, lower=True), 5)[0]
-        for last in (h[:0], rng.permutation(np.unique(h))[: len(h) // 3]):
-            spot, doc, _ = near_copies.prefixes_of(texts, last)
-            assert set(spot[doc == 0]) & set(spot[doc == 1])
+        _, n, h = near_copies.sets_of(pa.array([" ".join(words), " ".join(edited(words, ("appended", "cut", "block")[i % 3], rng))]))
+        doc = np.repeat([0, 1], n)
+        _, place, times = np.unique(h, return_inverse=True, return_counts=True)
+        for levels in (times, rng.integers(0, 9, len(times))):
+            able, chosen = near_copies.prefix(n, doc, h, times[place] > 1, levels[place].astype(np.uint8), 0.8)
+            assert able.all() and set(h[chosen & (doc == 0)]) & set(h[chosen & (doc == 1)])
 
 
 def test_perfect_hash_has_no_gaps_and_knows_strangers():
