@@ -162,12 +162,12 @@ def dedup(docs: DataFrame, history: str = "crc32(cast(doc_id AS string)) % 2 = 0
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """The documents (all columns) without those whose text one with a smaller doc_id has; one of repeated rows."""
-    d = text_digest(F.col("text")).alias("sha_")
-    found = dedup(docs).where("kept").groupBy(F.col("doc_id").alias("id_"), F.col("text_sha256").alias("sha_")).agg((F.count(F.lit(1)) > 1).alias("again_"))
-    met = docs.select("*", d, F.col("doc_id").alias("id_")).join(found.withColumnRenamed("id_", "i_").withColumnRenamed("sha_", "s_"), F.col("id_").eqNullSafe(F.col("i_")) & (F.col("sha_") == F.col("s_")))
-    once = met.where(~F.col("again_")).select(docs.columns)
-    twice = met.where("again_").dropDuplicates(["id_", "sha_"]).select(docs.columns)
-    return once.unionByName(twice)
+    found = dedup(docs).where("kept").groupBy("doc_id", "text_sha256").agg((F.count(F.lit(1)) > 1).alias("again"))
+    # Columns stay inside ``row``, so that no name clashes.
+    rows = docs.select(F.struct("*").alias("row"), F.struct("doc_id", text_digest(F.col("text")).alias("sha")).alias("id"))
+    met = rows.join(found.select(F.struct("doc_id", F.col("text_sha256").alias("sha")).alias("of"), "again"), F.col("id").eqNullSafe(F.col("of")))
+    kept = met.where(~F.col("again")).select("row").unionByName(met.where("again").dropDuplicates(["id"]).select("row"))
+    return kept.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
 
 
 SQL = r"""
