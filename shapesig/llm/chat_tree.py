@@ -4,8 +4,8 @@ A conversation's turns make a path; conversations that begin alike share nodes.
 Paths are put in order by range (conversation id breaks ties, so that a first turn
 which a third of all conversations share spreads over many ranges), and each task
 walks its range depth first: a node's tokens are emitted once, followed by the
-tokens of its children. Every token gets a position id (its place in its own
-conversation) and every node the intervals of block tokens it may attend to: its
+tokens of its children. Every node gets the position id of its first token (the place
+in its own conversation; ``positions`` has all tokens') and the intervals of block tokens it may attend to: its
 ancestors' and, causally, its own. Blocks are closed at ``BLOCK`` tokens; an open
 path's ancestors are emitted again at the start of the next block or range.
 
@@ -59,10 +59,17 @@ def form(role: str, text: str) -> tuple[str, str, str]:
     return before, escape(text), after
 
 
-_TURN = re.compile(
-    r"<<SYS>>\n(?P<system>(?:\\.|[^\\])*?)\n<</SYS>>\n\n|\[INST\] (?P<user>(?:\\.|[^\\])*?) \[/INST\]|<\|(?P<role>(?:\\.|[^\\])*?)\|>(?P<other>(?:\\.|[^\\])*?)<\|/(?P=role)\|>| (?P<assistant>(?:\\.|[^\\])*?) </s>",
-    re.DOTALL,
-)
+def _until(formatted: str, mark: str, at: int) -> int:
+    """Place of the first ``mark`` from ``at`` that no backslash escapes."""
+    k = formatted.find(mark, at)
+    while k >= 0:
+        low = k
+        while low > at and formatted[low - 1] == "\\":
+            low -= 1
+        if (k - low) % 2 == 0:
+            return k
+        k = formatted.find(mark, k + 1)
+    raise ValueError(f"no end of the turn at {at}")
 
 
 def parse(formatted: str) -> list[tuple[str, str, int, int]]:
@@ -71,12 +78,18 @@ def parse(formatted: str) -> list[tuple[str, str, int, int]]:
         raise ValueError("not a formatted conversation")
     at, out = 3, []
     while at < len(formatted):
-        m = _TURN.match(formatted, at)
-        if not m:
+        role = next((r for r in ("system", "user", "assistant") if formatted.startswith(form(r, "")[0], at)), None)
+        if role:
+            before, _, after = form(role, "")
+        elif formatted.startswith("<|", at):
+            escaped = formatted[at + 2 : _until(formatted, "|>", at + 2)]
+            role, before, after = unescape(escaped), f"<|{escaped}|>", f"<|/{escaped}|>"
+        else:
             raise ValueError(f"no turn at {at}")
-        kind = next(k for k in ("system", "user", "assistant", "other") if m[k] is not None)
-        out.append((unescape(m["role"]) if kind == "other" else kind, unescape(m[kind]), *m.span(kind)))
-        at = m.end()
+        start = at + len(before)
+        end = _until(formatted, after, start)
+        out.append((role, unescape(formatted[start:end]), start, end))
+        at = end + len(after)
     return out
 
 
@@ -85,6 +98,12 @@ _SPAN = pa.struct([("start", pa.int32()), ("end", pa.int32())])
 _BLOCKS = pa.schema([("tokens", pa.string()), ("node_parent", pa.list_(pa.int32())), ("node_start", pa.list_(pa.int32())), ("node_position", pa.list_(pa.int32())), ("node_loss", pa.list_(_SPAN)), ("attend", pa.list_(pa.list_(_SPAN))), ("conv_id", pa.list_(pa.int64())), ("conv_node", pa.list_(pa.int32())), ("conv_turns", pa.list_(pa.int64()))])
 
 
+def positions(node_start: list[int], node_position: list[int], size: int) -> list[int]:
+    """The position id of every token of a block of ``size`` tokens."""
+    ends = [*node_start[1:], size]
+    return [p + k for a, b, p in zip(node_start, ends, node_position, strict=True) for k in range(b - a)]
+
+
 class _Open:
     """A block being written: node 0 is the conversation start that all trees share."""
 

@@ -33,8 +33,8 @@ from pyspark.sql import DataFrame
 
 from shapesig.llm.common import rows_of
 
-_TAG = re.compile(r"<(?:!--(?P<comment>.*?)(?:-->|\Z)|[!?][^>]*>|(?P<close>/?)(?P<name>[a-zA-Z][a-zA-Z0-9:-]*)(?P<attrs>(?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>)", re.DOTALL)
-_LOOSE = re.compile(r"</?[a-zA-Z][^>]*>")
+_OPEN = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9:-]*)")
+_SPECIAL = re.compile(r"[>\"']")
 _NAMED = re.compile(r"(?:class|id|role|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.IGNORECASE)
 _PARTS = re.compile(r"[a-z]+|[A-Z][a-z]*")
 
@@ -65,21 +65,81 @@ FEATURES += [f"chars{k}" for k in range(6)] + [f"links{k}" for k in range(4)] +
 _AT = {f: i for i, f in enumerate(FEATURES)}
 
 
+_BIT = {w: 1 << i for i, w in enumerate(dict.fromkeys([*TAGS, *CUES, "menu"]))}
+_UNDER = {"talk": ("talk",), "ad": ("ad",), "side": ("side", "aside"), "form": ("form",), "share": ("share", "nav", "menu"), "notice": ("notice",), "foot": ("foot", "footer")}
+_UNDER_BITS = [(_AT[f"article+{k}"], sum(_BIT[w] for w in ws)) for k, ws in _UNDER.items()]
+
+
+@dataclass(slots=True)
+class Node:
+    """An open element: what it and its ancestors are called, as bits, so that a block needs no copy of them."""
+
+    name: str
+    tags: int = 0  # its own and its ancestors' tags
+    cues: int = 0
+    own: int = 0  # its own cues
+    within: bool = False  # in an article or the main part
+    below: int = 0  # tags and cues below the innermost of these
+    depth: int = 0
+    path: int = 0  # equal for equal chains of tags
+
+
 @dataclass(slots=True)
 class Block:
     text: str
-    tags: tuple[str, ...]
-    cues: tuple[frozenset[str], ...]
+    node: Node
     linked: float
-    parent: int
+
+
+_TOP = Node("")
+
+
+class _Marks:
+    """Ends of tags in a page. What one scan finds or fails to find is kept, so that all scans together are linear."""
+
+    def __init__(self, page: str):
+        self.page = page
+        self.special = (0, -1)  # no quote or > from the first place up to the second
+        self.closing = (0, -1)
+        self.bad: set[int] = set()  # quotes from which no tag ends
+
+    def next_special(self, at: int) -> int:
+        if not self.special[0] <= at <= self.special[1]:
+            m = _SPECIAL.search(self.page, at)
+            self.special = (at, m.start() if m else len(self.page))
+        return self.special[1]
+
+    def next_closing(self, at: int) -> int:
+        """Place of the next >, or -1."""
+        if not self.closing[0] <= at <= self.closing[1]:
+            k = self.page.find(">", at)
+            self.closing = (at, k if k >= 0 else len(self.page))
+        return self.closing[1] if self.closing[1] < len(self.page) else -1
+
+    def tag_end(self, at: int) -> int:
+        """Place of the > that ends a tag whose attributes begin here, quotes skipped, or -1."""
+        seen = []
+        while (k := self.next_special(at)) < len(self.page):
+            if self.page[k] == ">":
+                return k
+            shut = -1 if k in self.bad else self.page.find(self.page[k], k + 1)
+            seen.append(k)
+            if shut < 0:
+                break
+            at = shut + 1
+        self.bad.update(seen)
+        return -1
 
 
 def blocks(page: str) -> list[Block]:
     """Leaf blocks of a page in order."""
     out: list[Block] = []
-    stack: list[tuple[str, frozenset[str], int]] = []  # block-level elements; inline ones only count links
+    stack: list[Node] = []  # block-level elements; inline ones only count links
+    open_at: dict[str, list[int]] = {}  # places in the stack by name
+    paths: dict[tuple[int, str], int] = {}
     parts: list[str] = []
-    state = {"links": 0, "linked": 0, "chars": 0, "silent": 0, "serial": 0}
+    state = {"links": 0, "linked": 0, "chars": 0, "silent": 0}
+    marks = _Marks(page)
 
     def say(raw: str) -> None:
         if raw and not state["silent"]:
@@ -93,13 +153,26 @@ def blocks(page: str) -> list[Block]:
         if parts:
             text = " ".join(html.unescape("".join(parts)).split())
             if text:
-                out.append(Block(text, tuple(s[0] for s in stack), tuple(s[1] for s in stack), state["linked"] / max(1, state["chars"]), stack[-1][2] if stack else -1))
+                out.append(Block(text, stack[-1] if stack else _TOP, state["linked"] / max(1, state["chars"])))
             parts.clear()
         state["chars"] = state["linked"] = 0
 
     def pop(to: int) -> None:
         while len(stack) > to:
-            state["silent"] -= stack.pop()[0] in SILENT
+            name = stack.pop().name
+            open_at[name].pop()
+            state["silent"] -= name in SILENT
+
+    def push(name: str, attrs: str) -> None:
+        words = " ".join(x for t in _NAMED.findall(attrs) for x in t) if attrs else ""
+        own = sum({_BIT[_CUE[w]] for w in map(str.lower, _PARTS.findall(words)) if w in _CUE})
+        up = stack[-1] if stack else _TOP
+        bit = _BIT.get(name, 0)
+        heads = name in ("article", "main") or own & _BIT["main"] > 0
+        path = paths.setdefault((up.path, name), len(paths) + 1)
+        open_at.setdefault(name, []).append(len(stack))
+        stack.append(Node(name, up.tags | bit, up.cues | own, own, heads or up.within, 0 if heads else up.below | bit | own, up.depth + 1, path))
+        state["silent"] += name in SILENT
 
     at, end = 0, len(page)
     while at < end:
@@ -108,33 +181,33 @@ def blocks(page: str) -> list[Block]:
             say(page[at:])
             break
         say(page[at:lt])
-        m = _TAG.match(page, lt)
-        if not m:
-            loose = _LOOSE.match(page, lt)
-            if not loose:
-                say("<")
-                at = lt + 1
-                continue
-            at = loose.end()
+        if page.startswith("<!--", lt):
+            shut = page.find("-->", lt + 4)
+            at = end if shut < 0 else shut + 3
             continue
-        at = m.end()
-        if not m["name"]:
+        m = _OPEN.match(page, lt)
+        shut = marks.tag_end(m.end()) if m else -1
+        if shut < 0:
+            shut = marks.next_closing(lt) if m or page[lt + 1 : lt + 2] in ("!", "?") else -1
+            if shut < 0:
+                say("<")
+            at = max(lt, shut) + 1
             continue
-        name = m["name"].lower()
-        if m["close"]:
+        name, attrs, at = m[2].lower(), page[m.end() : shut], shut + 1
+        if m[1]:
             if name == "a":
                 state["links"] = 0
-            elif name == "p" and not any(s[0] == "p" for s in stack):
+            elif name == "p" and not open_at.get("p"):
                 flush()
             elif name not in INLINE and name not in VOID:
                 flush()
-                if (k := next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == name), None)) is not None:
-                    pop(k)
+                if open_at.get(name):
+                    pop(open_at[name][-1])
             continue
         if name in RAW:
-            if not m["attrs"].rstrip().endswith("/"):
+            if not attrs.rstrip().endswith("/"):
                 closed = re.compile(f"</{name}", re.IGNORECASE).search(page, at)
-                at = end if not closed else (page.find(">", closed.end()) + 1 or end)
+                at = end if not closed else (marks.next_closing(closed.end()) + 1 or end)
             continue
         if name == "br":
             say(" ")
@@ -144,56 +217,41 @@ def blocks(page: str) -> list[Block]:
             flush()
             if name in VOID:
                 continue
-            if name in CLOSES_P and (k := next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == "p"), None)) is not None:
-                pop(k)
+            if name in CLOSES_P and open_at.get("p"):
+                pop(open_at["p"][-1])
             if name in ("li", "dd", "dt", "td", "th", "tr", "option"):
                 group = {"li": ("li",), "dd": ("dd", "dt"), "dt": ("dd", "dt"), "td": ("td", "th"), "th": ("td", "th"), "tr": ("tr", "td", "th"), "option": ("option",)}[name]
-                while stack and stack[-1][0] in group:
+                while stack and stack[-1].name in group:
                     pop(len(stack) - 1)
             state["links"] = 0
-            words = " ".join(x for t in _NAMED.findall(m["attrs"]) for x in t) if m["attrs"] else ""
-            state["serial"] += 1
-            stack.append((name, frozenset(_CUE[w] for w in map(str.lower, _PARTS.findall(words)) if w in _CUE), state["serial"]))
-            state["silent"] += name in SILENT
+            push(name, attrs)
     flush()
     return out
 
 
+@functools.lru_cache(maxsize=4096)
+def _named(kind: str, bits: int) -> tuple[int, ...]:
+    """Features of the names in ``bits``."""
+    return tuple(_AT[f] for w, b in _BIT.items() if bits & b and (f := f"{kind}:{w}") in _AT)
+
+
 def active(page: list[Block]) -> list[list[int]]:
     """Indices of each block's features."""
     n, out = len(page), []
     for i, b in enumerate(page):
-        f = {"bias"}
-        tags = set(b.tags)
-        f.update(f"in:{t}" for t in tags)
-        if b.tags:
-            f.add(f"at:{b.tags[-1]}")
-        cues = frozenset().union(*b.cues) if b.cues else frozenset()
-        f.update(f"cue:{c}" for c in cues)
-        if b.cues:
-            f.update(f"own:{c}" for c in b.cues[-1])
-        if not cues:
-            f.add("no_cue")
-        size = len(b.text)
-        f.add(f"chars{sum(size >= x for x in (15, 40, 80, 160, 320))}")
-        f.add(f"links{sum(b.linked > x for x in (0.0, 0.3, 0.7))}")
-        f.update(k for k, on in (("ends", b.text[-1] in ".!?:…\"”"), ("commas", "," in b.text), ("sign", "©" in b.text or "®" in b.text), ("bars", "|" in b.text or "»" in b.text or "·" in b.text), ("digits", any(c.isdigit() for c in b.text)), ("capital", b.text[0].isupper()), ("first", i == 0), ("last", i == n - 1), ("early", i < n * 0.2), ("late", i >= n * 0.8), ("deep", len(b.tags) > 7)) if on)
+        node, size = b.node, len(b.text)
+        f = [_AT["bias"], *_named("in", node.tags), *_named("cue", node.cues), *_named("own", node.own)]
+        names = [f"chars{sum(size >= x for x in (15, 40, 80, 160, 320))}", f"links{sum(b.linked > x for x in (0.0, 0.3, 0.7))}"]
+        names += [k for k, on in (("ends", b.text[-1] in ".!?:…\"”"), ("commas", "," in b.text), ("sign", "©" in b.text or "®" in b.text), ("bars", "|" in b.text or "»" in b.text or "·" in b.text), ("digits", any(c.isdigit() for c in b.text)), ("capital", b.text[0].isupper()), ("first", i == 0), ("last", i == n - 1), ("early", i < n * 0.2), ("late", i >= n * 0.8), ("deep", node.depth > 7), ("no_cue", not node.cues)) if on]
+        if (at := f"at:{node.name}") in _AT:
+            names.append(at)
         if i:
-            f.add("same_parent" if len(b.tags) == len(page[i - 1].tags) and b.tags == page[i - 1].tags else "new_parent")
-        within = "article" in tags or "main" in tags or "main" in cues
-        if within:
-            at = max([k for k, t in enumerate(b.tags) if t in ("article", "main")] + [k for k, c in enumerate(b.cues) if "main" in c])
-            below = frozenset().union(*b.cues[at + 1 :]) | {t for t in b.tags[at + 1 :]}
-            hit = False
-            for name, of in (("talk", {"talk"}), ("ad", {"ad"}), ("side", {"side", "aside"}), ("form", {"form"}), ("share", {"share", "nav", "menu"}), ("notice", {"notice"}), ("foot", {"foot", "footer"})):
-                if below & of:
-                    f.add(f"article+{name}")
-                    hit = True
-            if "header" in b.tags[at + 1 :]:
-                f.add("header_in_article")
-            if not hit:
-                f.add("article_only")
-        out.append([_AT[x] for x in f if x in _AT])
+            names.append("same_parent" if node.path == page[i - 1].node.path else "new_parent")
+        if node.within:
+            hit = [k for k, bits in _UNDER_BITS if node.below & bits]
+            f += hit
+            names += ["header_in_article"] * bool(node.below & _BIT["header"]) + ["article_only"] * (not hit)
+        out.append([*f, *(_AT[x] for x in names)])
     return out
 
 
