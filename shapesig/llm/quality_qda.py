@@ -4,9 +4,9 @@
 repetition), transformed to be near normal. ``fit`` takes, from all training
 rows, each class's count, sums and cross products (summed per task, so that the
 fit sees 2 small rows a task), shrinks each covariance towards the pooled one and
-that one towards its diagonal, and keeps Cholesky factors. A score is the logistic
-of the difference of the two log densities (half log determinants and squared
-Mahalanobis lengths by triangular solves) plus the log prior odds.
+that one towards its diagonal, and keeps the inverses of the Cholesky factors. A score
+is the logistic of the difference of the two log densities (half log determinants and
+squared Mahalanobis lengths) plus the log prior odds.
 
 Rows with a crc32(doc_id as text) divisible by 5 are held out and never train.
 Labels, lang, source and doc_id are not inputs of a score.
@@ -34,6 +34,7 @@ from shapesig.llm.common import cut, in_arrow, offsets_of, rows_of
 from shapesig.llm.kernels import IS_SPACE, Words, mixed
 
 THRESHOLD, FOLDS = 0.3, 5
+MOST_LABELS = 500_000  # labelled documents that a filter learns from: the first of them by a hash of the id
 SHRINK, RIDGE = 0.1, 0.02  # towards the pooled covariance, and of that towards its diagonal
 
 # Frequent function words of the corpus languages.
@@ -126,18 +127,28 @@ def held_out() -> Column:
 
 @dataclass(frozen=True)
 class Model:
-    """Means, Cholesky factors and log determinants of the two classes, and the log prior odds of class 1."""
+    """Means, inverted Cholesky factors and log determinants of the two classes, and the log prior odds of class 1."""
 
     mean: np.ndarray
-    factor: np.ndarray
+    inverse: np.ndarray
     log_det: np.ndarray
     prior: float
 
     def score(self, x: np.ndarray) -> np.ndarray:
-        density = [-0.5 * (np.linalg.solve(self.factor[k], (x - self.mean[k]).T) ** 2).sum(0) - 0.5 * self.log_det[k] for k in (0, 1)]
+        density = [-0.5 * (((x - self.mean[k]) @ self.inverse[k].T) ** 2).sum(1) - 0.5 * self.log_det[k] for k in (0, 1)]
         return 1 / (1 + np.exp(-np.clip(density[1] - density[0] + self.prior, -500, 500)))
 
 
+def _inverted(factor: np.ndarray) -> np.ndarray:
+    """The inverse of a lower triangular matrix, by forward substitution."""
+    out = np.zeros_like(factor)
+    for i in range(len(factor)):
+        out[i] = -factor[i, :i] @ out[:i]
+        out[i, i] += 1
+        out[i] /= factor[i, i]
+    return out
+
+
 def fit(rows: DataFrame, shrink: float = SHRINK, ridge: float = RIDGE) -> Model | None:
     """The model of ``rows`` (x, label 0 or 1), all of which count; None if a class has no row."""
 
@@ -167,7 +178,7 @@ def fit(rows: DataFrame, shrink: float = SHRINK, ridge: float = RIDGE) -> Model
     pooled = (1 - ridge) * pooled + ridge * scale
     final = [(1 - shrink) * ((1 - ridge) * c + ridge * scale) + shrink * pooled for c in cov]
     factor = np.stack([np.linalg.cholesky(c) for c in final])
-    return Model(mean, factor, np.array([2 * np.log(np.diag(f)).sum() for f in factor]), float(np.log(n[1] / n[0])))
+    return Model(mean, np.stack([_inverted(f) for f in factor]), np.array([2 * np.log(np.diag(f)).sum() for f in factor]), float(np.log(n[1] / n[0])))
 
 
 def score(docs: DataFrame, labels: DataFrame, label: str = "quality", threshold: float = THRESHOLD) -> DataFrame:
@@ -186,11 +197,13 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "quality", threshold:
     return stats.select("doc_id", "x", "held_out").mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
 
 
-def accepted(docs: DataFrame, labels: DataFrame, label: str = "quality", threshold: float = THRESHOLD) -> DataFrame:
+def accepted(docs: DataFrame, labels: DataFrame, label: str = "quality", threshold: float = THRESHOLD, most: int = MOST_LABELS) -> DataFrame:
     """The rows (all columns) that score ``threshold`` or more; texts are scored where they are read, not joined."""
-    stats = statistics(docs).where(~held_out())
-    known = labels.select(F.col("doc_id").alias("l_"), F.col(label).alias("label"))
-    model = fit(stats.join(known, F.col("doc_id") == F.col("l_")).select("x", "label"))
+    # The fit reads a bounded number of labelled documents, so that only their texts are read twice.
+    known = labels.select(F.col("doc_id").alias("l_"), F.col(label).alias("label")).where("label IN (0, 1)")
+    chosen = known.select("l_").distinct().orderBy(F.xxhash64("l_"), "l_").limit(most)
+    learned = docs.select("doc_id", "text").where(~held_out()).join(F.broadcast(chosen), F.col("doc_id") == F.col("l_"), "left_semi")
+    model = fit(statistics(learned).join(known, F.col("doc_id") == F.col("l_")).select("x", "label"))
     if model is None:
         return docs
 
