@@ -5,15 +5,19 @@ import hashlib
 import math
 import random
 import re
+import time
+import zlib
 
 import numpy as np
 import pyarrow as pa
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 import corpus_pipeline as C
 from shapesig.llm import chat_tree, html_crf, improbable_digest, pareto_mix, pii_anchors, piece_dropout, quality_qda
 from shapesig.llm import entries
+from shapesig.llm.kernels import mixed
 from tests_llm_data import DATA, docs
 
 CONTROL = ["\\", "<s>", "</s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>", "<|", "|>", "|", "<", " ", "\n", "a", " [/INST]", "\n<</SYS>>\n\n", " </s>"]
@@ -27,6 +31,14 @@ def test_template_is_reversible():
         assert [(r, t) for r, t, _, _ in chat_tree.parse(text)] == turns
 
 
+def test_a_long_turn_is_parsed_in_one_scan():
+    text = "\\" * 100_000 + "ab [/INST] </s> <s>" * 200_000
+    formatted = "<s>" + "".join("".join(chat_tree.form(r, text)) for r in ("user", "x\\", "assistant"))
+    began = time.process_time()
+    assert [(r, t) for r, t, _, _ in chat_tree.parse(formatted)] == [(r, text) for r in ("user", "x\\", "assistant")]
+    assert time.process_time() - began < 30
+
+
 def conversations(spark, rows):
     return spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
 
@@ -59,6 +71,9 @@ def test_positions_and_attention_follow_the_path(spark):
         for node, parent in enumerate(b.node_parent):
             before = sum(x.end - x.start for x in b.attend[parent]) if parent >= 0 else 0
             assert b.node_position[node] == before and b.attend[node][-1].end > b.node_start[node]
+        every = chat_tree.positions(b.node_start, b.node_position, len(b.tokens))
+        for node, spans in zip(b.conv_node, (b.attend[n] for n in b.conv_node), strict=True):
+            assert [every[k] for x in spans for k in range(x.start, x.end)] == list(range(sum(x.end - x.start for x in spans)))
 
 
 @pytest.mark.parametrize("sql", ["op2_chat_tree", "op3_exact_dedup"])
@@ -163,6 +178,15 @@ def test_field_on_made_pages_and_odd_html(spark):
     assert len(got) == len(odd) and got[0] == got[1] == got[4] == "" and got[5] == "One & two."
 
 
+def test_pages_that_never_end_are_linear():
+    model = html_crf.field()
+    began = time.process_time()
+    for n, page in ((30_000, "<div>x" * 30_000), (0, "<a " * 50_000), (1, "<a '>" * 40_001 + "x"), (1, '<p "' * 40_001), (0, "</p>" * 40_000), (1, "<a b=" * 40_000 + "'"), (1, "<!-" * 40_000)):
+        found = html_crf.blocks(page)
+        assert len(found) >= n and len(model.decode(found)) == len(found)
+    assert time.process_time() - began < 60
+
+
 def test_viterbi_finds_the_best_labels():
     rng = np.random.default_rng(1)
     page = html_crf.blocks("<nav><a href=x>Menu</a></nav><article><h1>T</h1><p>Text, and more.</p></article><footer>&copy; x</footer>")
@@ -226,6 +250,30 @@ def test_quality_edges(spark):
     assert quality_qda.accepted(d, none).count() == 4
 
 
+def test_scores_equal_a_plain_discriminant(spark):
+    rng = np.random.default_rng(2)
+    texts = [" ".join(rng.choice(["the", "of", "Wort", "data", "###", "!!", "9", "stone,"], int(rng.integers(3, 80)), p=np.array([8, 6, 3, 3, *(4 * [1 + 3 * (i % 2)])]) / (20 + 4 * (1 + 3 * (i % 2))))) for i in range(300)]
+    df, labels = docs(spark, texts), spark.createDataFrame([(i, 1 - i % 2) for i in range(0, 300, 1)], "doc_id long, quality int")
+    got = {r.doc_id: r for r in quality_qda.score(df, labels).collect()}
+    x = quality_qda.statistics_of(pa.array(texts)).astype(np.float32).astype(float)
+    learn = np.array([zlib.crc32(str(i).encode()) % 5 != 0 for i in range(300)])
+    y = 1 - np.arange(300) % 2
+    parts = [x[learn & (y == k)] for k in (0, 1)]
+    cov = [np.cov(p.T, bias=True) for p in parts]
+    pooled = sum(len(p) * c for p, c in zip(parts, cov, strict=True)) / learn.sum()
+    scale = np.diag(np.diag(pooled) + 1e-4)
+    pooled = 0.98 * pooled + 0.02 * scale
+    density = []
+    for p, c in zip(parts, cov, strict=True):
+        c = 0.9 * (0.98 * c + 0.02 * scale) + 0.1 * pooled
+        d = x - p.mean(0)
+        density.append(np.log(len(p)) - 0.5 * np.linalg.slogdet(c)[1] - 0.5 * np.einsum("ij,jk,ik->i", d, np.linalg.inv(c), d))
+    want = 1 / (1 + np.exp(-np.clip(density[1] - density[0], -500, 500)))
+    assert all(got[i].score == pytest.approx(want[i], abs=1e-6) and got[i].held_out == (not learn[i]) and got[i].predicted == int(got[i].score >= 0.3) for i in range(300))
+    kept = {r.doc_id for r in quality_qda.accepted(df.withColumn("l_", F.lit(1)), labels).collect()}
+    assert kept == {i for i in range(300) if got[i].predicted}
+
+
 def test_entropy_classes_are_entropies():
     raw = np.frombuffer(bytes(range(200)) + b"hello world this is a text " * 20 + b"a" * 100, np.uint8)
     for i, c in enumerate(improbable_digest.entropy_classes(raw)):
@@ -250,12 +298,116 @@ def test_fingerprints_of_neighbours(spark):
     assert improbable_digest.compare(repeated, 3).count() == 3
 
 
+def brute_digest(text, rarity):
+    """The same window by window, with sets and loops."""
+    d = improbable_digest
+    starts, n = [], len(text) - d.WINDOW + 1
+    if n > 0:
+        classes = d.entropy_classes(np.frombuffer(text, np.uint8)).tolist()
+        votes = collections.Counter()
+        width = min(d.NEIGHBOURS, n)
+        for k in range(n - width + 1):
+            votes[min(range(k, k + width), key=lambda i: (rarity[classes[i]], i))] += 1
+        starts = [i for i in range(n) if votes[i] >= min(d.POPULAR, n - width + 1)]
+    h = list(dict.fromkeys(xxhash.xxh64_intdigest(text[i : i + d.WINDOW], 7) for i in starts))
+    if len(h) < d.FEW:
+        small = [int.from_bytes(text[i : i + 8], "little") for i in range(len(text) - 7)] if len(text) >= 8 else [xxhash.xxh64_intdigest(text, 7)]
+        h += [int(x) for x in mixed(np.array([(x + 7) % 2**64 for x in dict.fromkeys(small)], np.uint64))]
+    filters = [{(x >> 11 * k) & 2047 for x in h[i : i + d.PER_FILTER] for k in range(d.HASHES)} for i in range(0, len(h), d.PER_FILTER)]
+    return filters, [len(h[i : i + d.PER_FILTER]) for i in range(0, len(h), d.PER_FILTER)]
+
+
+def brute_likeness(a, b):
+    if a == b:
+        return 1.0
+    total, bits = 0.0, improbable_digest.BLOOM_BYTES * 8
+    for x in a[0]:
+        best = 0.0
+        for y in b[0]:
+            chance = len(x) * len(y) / bits
+            low, most = chance + 0.05 * (min(len(x), len(y)) - chance), min(len(x), len(y))
+            best = max(best, min(1.0, max(0.0, (len(x & y) - low) / max(most - low, 1e-9))))
+        total += best
+    return total / len(a[0])
+
+
+def test_digests_equal_brute_force(spark):
+    rng = random.Random(12)
+    texts = ["".join(rng.choice("abcdefgh ijk,.") for _ in range(n)) for n in (0, 3, 7, 8, 63, 64, 65, 130, 700, 9000)] + ["ab" * 300]
+    ranks = improbable_digest.fit_rarity(docs(spark, texts))
+    windows = collections.Counter(c for t in texts if len(t) >= 64 for c in improbable_digest.entropy_classes(np.frombuffer(t.encode(), np.uint8)).tolist())
+    order = sorted(range(improbable_digest.CLASSES), key=lambda c: (windows[c], c))
+    assert [order.index(c) for c in windows] == [ranks[c] for c in windows]
+    got = improbable_digest.digests([t.encode() for t in texts], ranks)
+    want = [brute_digest(t.encode(), ranks) for t in texts]
+    for (blob, counts), (filters, sizes) in zip(got, want, strict=True):
+        bits = np.unpackbits(np.frombuffer(blob, np.uint8)).reshape(len(counts), -1)
+        assert counts == sizes and [set(np.flatnonzero(b).tolist()) for b in bits] == filters
+    for i in range(len(texts)):
+        for j in range(len(texts)):
+            if len(want[i][0]) < len(want[j][0]):
+                assert improbable_digest.likeness(got[i], got[j]) == pytest.approx(brute_likeness(want[i], want[j]))
+
+
 def test_targets_fill_up_to_their_caps():
     t = pareto_mix.targets([("a", 10), ("b", 1000), (None, 100)])
     assert t["a"] == 30 and sum(t.values()) == pytest.approx(1110) and t[None] <= 300
     assert pareto_mix.targets([]) == {} and pareto_mix.targets([("a", 0)]) == {"a": 0}
 
 
+def brute_mix(rows, u, most=3.0):
+    """(words taken, rows that lie next to a stratum's cut) by sorting: ``rows`` of (doc_id, size, source)."""
+    goal = pareto_mix.targets([(s, sum(n for _, n, t in rows if t == s)) for s in {s for _, _, s in rows}])
+    taken = {}
+    for s, target in goal.items():
+        mine = [(i, n) for i, n, t in rows if t == s and n]
+        grades = {i: math.floor(round(math.log2(n) * 8, 9)) for i, n in mine}
+        worth = lambda c: {i: min(most, c * 2 ** (0.25 * grades[i] / 8)) for i, _ in mine}  # noqa: E731, B023
+        low, high = 0.0, 100.0
+        for _ in range(200):
+            mid = (low + high) / 2
+            low, high = (mid, high) if sum(worth(mid)[i] * n for i, n in mine) < target else (low, mid)
+        w = worth(high)
+        whole = {i: math.floor(round(v, 9)) for i, v in w.items()}
+        p = {i: max(0.0, w[i] - whole[i]) for i in w}
+        key = {i: (u[i] / (1 - u[i])) / (p[i] / (1 - p[i])) for i, _ in mine if p[i] > 1e-9}
+        for octave in {g // 8 for g in grades.values()}:
+            line = sorted((key[i], i, n) for i, n in mine if i in key and grades[i] // 8 == octave)
+            left = sum(n * p[i] for _, i, n in line)
+            for _, i, n in line:
+                taken[i] = n * (whole[i] + (left >= n / 2))
+                left -= n
+        taken |= {i: n * whole[i] for i, n in mine if i not in key}
+    return taken
+
+
+def test_mix_ranks_by_odds_as_brute_force_does(spark):
+    rng = np.random.default_rng(9)
+    rows = [(i, int(n), f"s{s}") for i, (n, s) in enumerate(zip(rng.integers(1, 400, 900), rng.integers(0, 5, 900), strict=True))]
+    df = spark.createDataFrame([(i, "w " * n, "en", s, 0) for i, n, s in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    u = {r.doc_id: r.u for r in df.select("doc_id", pareto_mix.uniform().alias("u")).collect()}
+    want, got = brute_mix(rows, u), {r.doc_id: r.taken for r in pareto_mix.mix(df).collect()}
+    # The correction pass moves a few small documents of each source.
+    moved = [i for i, _, _ in rows if want.get(i, 0) != got[i]]
+    assert len(moved) <= 0.02 * len(rows)
+    copies = collections.defaultdict(list)
+    for i, n, s in rows:
+        copies[s, n > 100].append(got[i] / n)
+    assert sum(np.mean(copies[f"s{k}", True]) > np.mean(copies[f"s{k}", False]) for k in range(5)) >= 4
+
+
+def test_repeated_rows_and_clashing_names_in_the_mix(spark):
+    df = docs(spark, ["a b c", "a b c", "x " * 50, None, "y " * 9], [1, 1, 1, 1, 2]).selectExpr("*", "'c' AS copies", "1 AS row", "2 AS id", "3 AS of", "4 AS time")
+    taken = pareto_mix.mix(df).toPandas()
+    picked = pareto_mix.pick(df, column="times")
+    assert picked.columns == [*df.columns, "times"] and picked.where("copies <> 'c'").count() == 0
+    words = picked.select("*", pareto_mix.word_count(F.col("text")).alias("n")).toPandas()
+    assert (words.n * words.times).sum() == taken.taken.sum()
+    again = C.mix(spark, df, "")
+    assert again.columns == df.columns and again.count() == words.times.sum()
+    assert C.exact(spark, df.selectExpr("*", "1 AS sha_", "2 AS id_", "3 AS again", "4 AS sha"), "").count() == 4
+
+
 def test_mix_meets_targets(spark):
     rng = np.random.default_rng(4)
     rows = [(i, "w " * int(n), "en", None if s == 5 else f"s{s}", 0) for i, (n, s) in enumerate(zip(rng.integers(0, 300, 1500), np.minimum(rng.integers(0, 12, 1500), 6), strict=True))]
