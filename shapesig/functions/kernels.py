@@ -16,7 +16,7 @@ def draw(base: int, slot: int, axis: str, attempt: int) -> int:
     return int(hashlib.md5(f"{base}:{slot}:{axis}:{attempt}".encode()).hexdigest()[:8], 16)
 
 
-@functools.lru_cache(maxsize=64)
+@functools.lru_cache(maxsize=1024)
 def points(frame: tuple[int, int, int, int], slots: tuple[int, ...], first: int, last: int, base: int = 42) -> tuple[np.ndarray, np.ndarray]:
     """Odd-lattice sample points of attempts ``first..last`` (slots x attempts), x and y."""
     xmin, xmax, ymin, ymax = frame
@@ -91,13 +91,14 @@ def radial(radii: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return 2 * half_up(radii * cos / 2), 2 * half_up(radii * sin / 2)
 
 
-CHUNKS = (16, 64, 256, 1024, 4096)
+CHUNKS, EARLY = (16, 64, 256, 1024, 4096), 80
 
 
-def first_hits(x: np.ndarray, y: np.ndarray, frame: tuple[int, int, int, int], slots: tuple[int, ...], cap: int, base: int = 42, precheck: bool = True, seen: list[int] | None = None) -> np.ndarray:
-    """Ordinal of the first point inside the ring for each slot, 0 if none up to ``cap``.
+def first_hits(x: np.ndarray, y: np.ndarray, frame: tuple[int, int, int, int], slots: tuple[int, ...], cap: int | None = None, base: int = 42, precheck: bool = True, seen: list[int] | None = None) -> np.ndarray:
+    """Ordinal of the first point inside the ring for each slot; with a ``cap``, 0 if none up to it.
 
-    Attempts are tried in growing chunks and a slot stops at its first hit.
+    Attempts are tried in growing chunks and a slot stops at its first hit; without
+    a cap a ring of positive area is hit in the end, whatever its share of the frame.
     ``seen`` (a list of two) gains the attempts made and the inside tests done.
     """
     out = np.zeros(len(slots), np.int64)
@@ -105,10 +106,13 @@ def first_hits(x: np.ndarray, y: np.ndarray, frame: tuple[int, int, int, int], s
     done = 0
     box = (x.min(), x.max(), y.min(), y.max())
     step = iter(CHUNKS)
-    while len(open_) and done < cap:
-        until = min(cap, done + next(step, CHUNKS[-1]))
-        px, py = points(frame, slots, done + 1, until, base)
-        px, py = px[open_], py[open_]
+    while len(open_) and (cap is None or done < cap):
+        until = done + next(step, CHUNKS[-1])
+        until = until if cap is None else min(cap, until)
+        if done < EARLY:
+            px, py = (v[open_] for v in points(frame, slots, done + 1, until, base))
+        else:  # few slots come this far: theirs alone are drawn
+            px, py = (np.concatenate(v) for v in zip(*(points(frame, (slots[i],), done + 1, until, base) for i in open_), strict=True))
         ok = (px > box[0]) & (px < box[1]) & (py > box[2]) & (py < box[3]) if precheck else np.ones(px.shape, bool)
         r, c = np.nonzero(ok)
         hit = np.zeros(px.shape, bool)
@@ -126,6 +130,71 @@ def first_hits(x: np.ndarray, y: np.ndarray, frame: tuple[int, int, int, int], s
     return out
 
 
+STEPS, MOST_TESTS = (4, 12, 48, 192, 768, 3072), 1_000_000
+
+
+def spans(at: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Indices of all spans, one after another."""
+    ends = np.cumsum(size)
+    return np.arange(int(ends[-1]) if len(ends) else 0) - np.repeat(ends - size, size) + np.repeat(at, size)
+
+
+def first_hits_of(x: np.ndarray, y: np.ndarray, size: np.ndarray, frame: tuple[int, int, int, int], slots: tuple[int, ...], cap: int | None = None, base: int = 42, precheck: bool = True) -> np.ndarray:
+    """``first_hits`` of many rings (flat, ``size`` vertices each) at once: rings x slots.
+
+    Every open (ring, slot) is tried on the next few attempts; points that pass the
+    box check meet the ring's edges in flat arrays of ``MOST_TESTS`` rows or a ring more.
+    """
+    start = np.cumsum(size) - size
+    nxt = np.arange(len(x)) + 1
+    nxt[start + size - 1] = start
+    x2, y2 = x[nxt], y[nxt]
+    dx, dy = x2 - x, y2 - y
+    low_x, high_x, low_y, high_y = (f.reduceat(v, start) for v in (x, y) for f in (np.minimum, np.maximum))
+    out = np.zeros(len(size) * len(slots), np.int64)
+    ring, slot = np.repeat(np.arange(len(size)), len(slots)), np.tile(np.arange(len(slots)), len(size))
+    done, step = 0, iter(STEPS)
+    while len(ring) and (cap is None or done < cap):
+        until = done + next(step, STEPS[-1])
+        until = until if cap is None else min(cap, until)
+        some = np.unique(slot)
+        px, py = (np.concatenate(v) for v in zip(*(points(frame, (slots[i],), done + 1, until, base) for i in some), strict=True))
+        row = np.searchsorted(some, slot)
+        first = np.zeros(len(ring), np.int64)
+        for part in np.array_split(np.arange(len(ring)), max(1, len(ring) * (until - done) // MOST_TESTS)):
+            r = ring[part]
+            u, v = px[row[part]], py[row[part]]
+            ok = (u > low_x[r, None]) & (u < high_x[r, None]) & (v > low_y[r, None]) & (v < high_y[r, None]) if precheck else np.ones(u.shape, bool)
+            who, turn = np.nonzero(ok)
+            hit = np.zeros(len(who), bool)
+            for some_rows in _blocks(size[r[who]]):
+                w = who[some_rows]
+                n = size[r[w]]
+                e = spans(start[r[w]], n)
+                a, b = np.repeat(u[w, turn[some_rows]], n), np.repeat(v[w, turn[some_rows]], n)
+                side = dx[e] * (b - y[e]) - dy[e] * (a - x[e])
+                cross = ((y[e] > b) != (y2[e] > b)) & (np.where(dy[e] > 0, side, -side) > 0)
+                hit[some_rows] = np.add.reduceat(cross.astype(np.int64), np.cumsum(n) - n) % 2 == 1
+            # Rows come in order of attempts, so the first hit of each stands first.
+            at, where = np.unique(who[hit], return_index=True)
+            first[part[at]] = done + turn[hit][where] + 1
+        got = first > 0
+        out[ring[got] * len(slots) + slot[got]] = first[got]
+        ring, slot, done = ring[~got], slot[~got], until
+    return out.reshape(len(size), len(slots))
+
+
+def _blocks(size: np.ndarray) -> list[slice]:
+    """Slices of rows whose sizes add up to ``MOST_TESTS`` or a row more."""
+    ends = np.cumsum(size)
+    out, at = [], 0
+    while at < len(size):
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + MOST_TESTS, side="right")))
+        out.append(slice(at, to))
+        at = to
+    return out
+
+
 class Rings:
     """Edges of many rings, flat: sorted spans, lines and signs."""
 

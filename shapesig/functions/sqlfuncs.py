@@ -13,7 +13,7 @@ from pyspark.sql import types as T
 from shapesig.functions import kernels as K
 from shapesig.operators import index as ix
 from shapesig.operators import prepare as P
-from shapesig.operators.signature import CAP, signature, slots_of
+from shapesig.operators.signature import signature, slots_of
 from shapesig.sources import layers
 
 
@@ -37,7 +37,7 @@ def ring_contains(ring: pd.Series, px: pd.Series, py: pd.Series) -> pd.Series:
     return pd.Series([bool(K.inside(*_arrays(r), np.array([x], np.int64), np.array([y], np.int64))[0]) for r, x, y in zip(ring, px, py, strict=True)])
 
 
-def ring_signature(frame: P.Frame, m: int, bands: int = 2, cap: int = CAP):
+def ring_signature(frame: P.Frame, m: int, bands: int = 2, cap: int | None = None):
     """A column function ring -> array<int> under a frame."""
     key, slots = frame.key, tuple(slots_of(m, bands))
 

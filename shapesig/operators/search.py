@@ -8,7 +8,6 @@ each query, so what is shuffled is k rows per query and task.
 
 from __future__ import annotations
 
-from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,7 +18,7 @@ from pyspark.sql import functions as F
 from shapesig.functions.kernels import Rings, distances, upper_bound
 from shapesig.operators import index as ix
 from shapesig.operators.prepare import Frame
-from shapesig.operators.signature import CAP, signature
+from shapesig.operators.signature import signature
 
 MOST_QUERY_BYTES = 256 << 20
 
@@ -91,30 +90,43 @@ def knn_exact(poly: DataFrame, q: DataFrame, k: int | None, exclude_self: bool =
     return found if k is None else top_k(found, k)
 
 
+#: Candidates of one shape that travel with its ring; a shape that more queries ask for has several rows.
+MOST_ASKED = 4096
+
+
 def refine(cand: DataFrame, poly: DataFrame, q: DataFrame, most: float | None = None) -> DataFrame:
-    """Exact distances of candidate pairs (qid, pid); a shape's ring is fetched by pid, the queries' rings are with the workers."""
+    """Exact distances of candidate pairs (qid, pid): a shape's ring is fetched once for all its queries, whose rings are with the workers."""
+    deal = F.pmod(F.xxhash64("qid"), F.greatest(F.lit(1), F.ceil(F.lit(q.count() / MOST_ASKED)).cast("int")))
+    asked = cand.groupBy("pid", deal.alias("deal")).agg(F.collect_list("qid").alias("qids"))
+    met = asked.join(poly.select("pid", "ring"), "pid").select("pid", "ring", "qids")
     parts = []
     for block in query_blocks(q):
         rings = dict(block)
 
         def run(batches: Iterator[pa.RecordBatch], rings=rings) -> Iterator[pa.RecordBatch]:
-            ids = {qid: j for j, qid in enumerate(rings)}
-            queries = Rings.of(list(rings.values()))
+            ids = np.array(sorted(rings), np.int64)
+            queries = Rings.of([rings[i] for i in ids.tolist()])
             for batch in batches:
-                if not batch.num_rows:
+                if not batch.num_rows or not len(ids):
                     continue
-                many, pids, qids = _rings(batch), np.asarray(batch.column(0)).astype(np.int64), np.asarray(batch.column(2)).astype(np.int64)
+                many, pids, lists = _rings(batch), np.asarray(batch.column(0)).astype(np.int64), batch.column(2)
+                qids = np.asarray(lists.flatten()).astype(np.int64)
+                at = np.repeat(np.arange(len(pids)), np.diff(np.asarray(lists.offsets)))
+                order = np.argsort(qids, kind="stable")
+                qids, at = qids[order], at[order]
+                edges = np.searchsorted(qids, ids), np.searchsorted(qids, ids, "right")
                 out = []
-                for qid in np.unique(qids):
-                    if int(qid) in ids:
-                        mask = qids == qid
-                        d = np.round(distances(many.take(mask), queries, ids[int(qid)]), 6)
-                        keep = d <= most if most is not None else np.ones(len(d), bool)
-                        out.append((np.full(int(keep.sum()), qid), pids[mask][keep], d[keep]))
+                for j, (a, b) in enumerate(zip(*(e.tolist() for e in edges), strict=True)):
+                    if a == b:
+                        continue
+                    mask = np.zeros(len(pids), bool)
+                    mask[at[a:b]] = True
+                    d = np.round(distances(many.take(mask), queries, j), 6)
+                    keep = d <= most if most is not None else np.ones(len(d), bool)
+                    out.append((np.full(int(keep.sum()), ids[j]), pids[mask][keep], d[keep]))
                 if out:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], ["qid", "pid", "jd"])
 
-        met = cand.join(poly.select("pid", "ring"), "pid").select("pid", "ring", "qid")
         parts.append(met.mapInArrow(run, _FOUND))
     found = parts[0]
     for p in parts[1:]:
@@ -122,14 +134,14 @@ def refine(cand: DataFrame, poly: DataFrame, q: DataFrame, most: float | None =
     return found
 
 
-def candidate_pairs(poly: DataFrame, q: DataFrame, frame: Frame, m: int, bands: int = 2, cap: int = CAP, base_seed: int = 42, exclude_self: bool = True) -> DataFrame:
+def candidate_pairs(poly: DataFrame, q: DataFrame, frame: Frame, m: int, bands: int = 2, cap: int | None = None, base_seed: int = 42, exclude_self: bool = True) -> DataFrame:
     """The filter step: (qid, pid) that share a bucket."""
     index = ix.bucket_index(signature(poly, frame, m, bands, cap, base_seed), m, bands)
     probes = ix.bucket_index(signature(q, frame, m, bands, cap, base_seed), m, bands)
     return ix.candidates(probes, index, exclude_self)
 
 
-def knn_approx(poly: DataFrame, q: DataFrame, frame: Frame, k: int, m: int, bands: int = 2, cap: int = CAP, base_seed: int = 42, exclude_self: bool = True) -> DataFrame:
+def knn_approx(poly: DataFrame, q: DataFrame, frame: Frame, k: int, m: int, bands: int = 2, cap: int | None = None, base_seed: int = 42, exclude_self: bool = True) -> DataFrame:
     """Hash, probe and refine: (qid, rank, pid, jd)."""
     return top_k(refine(candidate_pairs(poly, q, frame, m, bands, cap, base_seed, exclude_self), poly, q), k)
 
@@ -152,7 +164,7 @@ def same_shapes(poly: DataFrame) -> tuple[DataFrame, DataFrame]:
     return key.select(F.col("cls").alias("pid"), "ring"), members
 
 
-def self_join(poly: DataFrame, most: float, frame: Frame | None = None, m: int | None = None, bands: int = 2, cap: int = CAP) -> DataFrame:
+def self_join(poly: DataFrame, most: float, frame: Frame | None = None, m: int | None = None, bands: int = 2, cap: int | None = None) -> DataFrame:
     """Pairs (a, b, jd) of distinct shapes within ``most``.
 
     Without ``m``: exact, by bins of the logarithm of the area (shapes within the
@@ -198,11 +210,3 @@ def _tiled(rows: DataFrame, most: float) -> DataFrame:
         return pa.table([pa.array(got[0].astype(np.int64)), pa.array(got[1].astype(np.int64)), pa.array(got[2].astype(float))], names=["a", "b", "jd"])
 
     return cells.groupBy("key", "i", "j").applyInArrow(run, "a long, b long, jd double")
-
-
-def grouped(found: dict) -> dict:
-    """Neighbour lists by query of collected rows, for tests."""
-    out = defaultdict(list)
-    for r in found:
-        out[r["qid"]].append((r["rank"], r["pid"], r["jd"]))
-    return {k: sorted(v) for k, v in out.items()}

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from shapesig.functions import geometry as G
 from shapesig.functions.draws import samples
-from shapesig.functions.kernels import SLOTS_PER_BAND, first_hits
+from shapesig.functions.kernels import SLOTS_PER_BAND, first_hits, first_hits_of
 from shapesig.operators.prepare import Frame, edges
 
 CAP = 4096
@@ -28,27 +28,38 @@ def slots_of(m: int, bands: int = 2) -> list[int]:
     return [b * SLOTS_PER_BAND + i for b in range(bands) for i in range(m)]
 
 
-def _xy(ring: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def _flat(ring: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Coordinates of all rings in a row, and the number of vertices of each."""
     flat = ring.flatten()
     x, y = (np.asarray(flat.field(k)).astype(np.int64) for k in (0, 1))
-    ends = np.asarray(ring.offsets).astype(np.int64) - ring.offsets[0].as_py()
-    for a, b in zip(ends[:-1], ends[1:], strict=True):
+    return x, y, np.diff(np.asarray(ring.offsets).astype(np.int64))
+
+
+def _xy(ring: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    x, y, size = _flat(ring)
+    ends = np.cumsum(size)
+    for a, b in zip(ends - size, ends, strict=True):
         yield x[a:b], y[a:b]
 
 
-def first_hit(poly: DataFrame, frame: Frame, slots: list[int], cap: int = CAP, base_seed: int = 42, precheck: bool = True, form: str = "arrow") -> DataFrame:
-    """(pid, slot, h) in long form; h is null where no point up to ``cap`` falls in the shape."""
+def first_hit(poly: DataFrame, frame: Frame, slots: list[int], cap: int | None = CAP, base_seed: int = 42, precheck: bool = True, form: str = "arrow") -> DataFrame:
+    """(pid, slot, h) in long form; h is null where no point up to ``cap`` falls in the shape.
+
+    ``arrow`` takes None for no cap: it draws until every slot is hit. The other forms join with a table of points and need one.
+    """
+    if cap is None and form != "arrow":
+        raise ValueError(f"the form {form} needs a cap")
     return {"arrow": first_hit_arrow, "sql": first_hit_sql, "expr": first_hit_expr, "grid": first_hit_grid}[form](poly, frame, slots, cap, base_seed, precheck)
 
 
-def first_hit_arrow(poly: DataFrame, frame: Frame, slots: list[int], cap: int = CAP, base_seed: int = 42, precheck: bool = True) -> DataFrame:
+def first_hit_arrow(poly: DataFrame, frame: Frame, slots: list[int], cap: int | None = None, base_seed: int = 42, precheck: bool = True) -> DataFrame:
     key, wanted = frame.key, tuple(slots)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            h = np.stack([first_hits(x, y, key, wanted, cap, base_seed, precheck) for x, y in _xy(batch.column(1))])
+            h = first_hits_of(*_flat(batch.column(1)), key, wanted, cap, base_seed, precheck)
             pids = np.repeat(np.asarray(batch.column(0)), len(wanted))
             flat = h.reshape(-1)
             yield pa.RecordBatch.from_arrays([pa.array(pids), pa.array(np.tile(np.array(wanted, np.int32), len(h))), pa.array(flat.astype(np.int32), mask=flat == 0)], ["pid", "slot", "h"])
@@ -103,36 +114,28 @@ def wide(hits: DataFrame) -> DataFrame:
     return hits.groupBy("pid").agg(F.transform(F.array_sort(F.collect_list(F.struct("slot", "h"))), lambda s: s["h"]).alias("sig"))
 
 
-def signature(poly: DataFrame, frame: Frame, m: int, bands: int = 2, cap: int = CAP, base_seed: int = 42, rounds: int = 1, unresolved: str = "null") -> DataFrame:
+def signature(poly: DataFrame, frame: Frame, m: int, bands: int = 2, cap: int | None = None, base_seed: int = 42, rounds: int = 1, unresolved: str = "null") -> DataFrame:
     """(pid, sig array<int>) with ``bands`` times ``m`` values, made row by row without a shuffle.
 
-    ``unresolved``: slots that ``cap`` attempts leave open stay null (``null``),
-    are tried in ``rounds`` more caps of four times the size (``extend``), or get
+    Without a ``cap`` points are drawn until every slot is hit, so that every shape
+    lies in every band. ``unresolved``: slots that a cap leaves open stay null (``null``), are tried in ``rounds`` more caps of four times the size (``extend``), or get
     the value 0, a bucket of their own (``own_bucket``).
     """
     key, wanted = frame.key, tuple(slots_of(m, bands))
-    caps = [cap * 4**r for r in range((rounds if unresolved == "extend" else 0) + 1)]
+    last = cap if cap is None or unresolved != "extend" else cap * 4**rounds
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            h = np.stack([_resolved(x, y, key, wanted, caps, base_seed) for x, y in _xy(batch.column(1))])
+            h = first_hits_of(*_flat(batch.column(1)), key, wanted, last, base_seed)
             flat = pa.array(h.reshape(-1).astype(np.int32), mask=(h.reshape(-1) == 0) & (unresolved != "own_bucket"))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(np.arange(len(h) + 1, dtype=np.int32) * len(wanted)), flat)], ["pid", "sig"])
 
     return poly.select("pid", "ring").mapInArrow(run, "pid long, sig array<int>")
 
 
-def _resolved(x: np.ndarray, y: np.ndarray, key: tuple, slots: tuple[int, ...], caps: list[int], base: int) -> np.ndarray:
-    h = first_hits(x, y, key, slots, caps[0], base)
-    for more in caps[1:]:
-        if (left := np.flatnonzero(h == 0)).size:
-            h[left] = first_hits(x, y, key, tuple(slots[i] for i in left), more, base)
-    return h
-
-
-def attempt_costs(poly: DataFrame, frame: Frame, slots: list[int], cap: int = CAP, base_seed: int = 42, precheck: bool = True) -> DataFrame:
+def attempt_costs(poly: DataFrame, frame: Frame, slots: list[int], cap: int | None = None, base_seed: int = 42, precheck: bool = True) -> DataFrame:
     """(pid, attempts, tests): points drawn and inside tests done for all slots."""
     key, wanted = frame.key, tuple(slots)
 

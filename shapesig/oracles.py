@@ -9,6 +9,7 @@ import math
 
 from shapesig.sources.layers import ALPHABET, LETTERS, SIZED, TEXTS
 
+MOST = 1 << 16  # attempts that the SQL draws; the searches draw until a point hits
 QUERY_STEP = 50  # a search's queries: every shape whose id is divisible by this
 
 _POINTS = {
@@ -95,13 +96,30 @@ def _odd(e: str, extra: str = "") -> str:
     return f"(e.y1 > b.py) <> (e.y2 > b.py) AND ((e.x2 - e.x1) * (b.py - e.y1) - (e.y2 - e.y1) * (b.px - e.x1)) * (CASE WHEN e.y2 > e.y1 THEN 1 ELSE -1 END) > 0{extra}"
 
 
-def hits(slots: list[int], cap: int, p: str = "", frame: str = "frame", base: int = 42, smp: bool = True) -> Cte:
-    """``{p}h``: (pid, slot, h) with a row for each shape and slot, h null where nothing hits."""
-    return [
+def hits(slots: list[int], cap: int, p: str = "", frame: str = "frame", base: int = 42, smp: bool = True, most: int = MOST) -> Cte:
+    """``{p}h``: (pid, slot, h) with a row for each shape and slot, h null where nothing up to ``most`` hits.
+
+    ``cap`` attempts are drawn for all shapes (``{p}near``), the rest for open slots only (``{p}near2``).
+    """
+    within = "b.px > s.xmin AND b.px < s.xmax AND b.py > s.ymin AND b.py < s.ymax"
+    parity = lambda near: f"SELECT b.pid, b.slot, b.attempt FROM {near} b JOIN {p}ce e ON e.pid = b.pid AND {_odd('e')} GROUP BY b.pid, b.slot, b.attempt HAVING count(*) % 2 = 1"
+    first = f"SELECT s.pid, k.slot, min(i.attempt)::INT AS h FROM {p}s s CROSS JOIN (SELECT unnest({slots}) AS slot) k LEFT JOIN {p}ins i ON i.pid = s.pid AND i.slot = k.slot GROUP BY s.pid, k.slot"
+    out = [
         *(drawn(slots, cap, frame, base) if smp else []),
-        (f"{p}near", f"SELECT s.pid, b.slot, b.attempt, b.px, b.py FROM {p}s s JOIN smp b ON b.px > s.xmin AND b.px < s.xmax AND b.py > s.ymin AND b.py < s.ymax"),
-        (f"{p}ins", f"SELECT b.pid, b.slot, b.attempt FROM {p}near b JOIN {p}ce e ON e.pid = b.pid AND {_odd('e')} GROUP BY b.pid, b.slot, b.attempt HAVING count(*) % 2 = 1"),
-        (f"{p}h", f"SELECT s.pid, k.slot, min(i.attempt)::INT AS h FROM {p}s s CROSS JOIN (SELECT unnest({slots}) AS slot) k LEFT JOIN {p}ins i ON i.pid = s.pid AND i.slot = k.slot GROUP BY s.pid, k.slot"),
+        (f"{p}near", f"SELECT s.pid, b.slot, b.attempt, b.px, b.py FROM {p}s s JOIN smp b ON {within}"),
+        (f"{p}ins", parity(f"{p}near")),
+    ]
+    if most <= cap:
+        return [*out, (f"{p}h", first)]
+    far = drawn(slots, most, frame, base)[0][1].replace(f"(SELECT unnest({slots}) AS slot)", f"(SELECT DISTINCT slot FROM {p}open)").replace("range(1, ", f"range({cap + 1}, ")
+    return [
+        *out,
+        (f"{p}h1", first),
+        (f"{p}open", f"SELECT pid, slot FROM {p}h1 WHERE h IS NULL"),
+        (f"{p}far", far),
+        (f"{p}near2", f"SELECT s.pid, b.slot, b.attempt, b.px, b.py FROM {p}open o JOIN {p}s s USING (pid) JOIN {p}far b ON b.slot = o.slot AND {within}"),
+        (f"{p}ins2", parity(f"{p}near2")),
+        (f"{p}h", f"SELECT a.pid, a.slot, coalesce(a.h, min(i.attempt))::INT AS h FROM {p}h1 a LEFT JOIN {p}ins2 i ON i.pid = a.pid AND i.slot = a.slot GROUP BY a.pid, a.slot, a.h"),
     ]
 
 

@@ -18,7 +18,7 @@ def _lists(spark: SparkSession, sf_dir: str, name: str = "cust_sized", m: int =
     """The query set, its exact and its approximate neighbours."""
     poly = W.prepared(spark, sf_dir, name)
     q = W.query_set(poly)
-    return q, settle(S.knn_exact(poly, q, k)), settle(S.knn_approx(poly, q, P.global_frame(poly), k, m, 2, W.cap_of(name)))
+    return q, settle(S.knn_exact(poly, q, k)), settle(S.knn_approx(poly, q, P.global_frame(poly), k, m, 2))
 
 
 def _lists_sql(name: str = "cust_sized", m: int = 3, k: int = 10) -> O.Cte:
@@ -32,7 +32,7 @@ def unanswered(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Queries without any candidate at length 5 (an anti-join), and their number of vertices."""
     poly = W.prepared(spark, sf_dir, "cust_sized")
     q = W.query_set(poly)
-    cand = S.candidate_pairs(poly, q, P.global_frame(poly), 5, 2, W.SIZED_CAP)
+    cand = S.candidate_pairs(poly, q, P.global_frame(poly), 5, 2)
     return q.join(cand.select(F.col("qid").alias("pid")), "pid", "left_anti").select("pid", F.size("ring").cast("bigint").alias("points"))
 
 
@@ -83,7 +83,7 @@ def sparsity_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
 def hot_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Buckets with their rank by size in the band (dense), the five largest sizes."""
     poly = W.prepared(spark, sf_dir, "doc")
-    index = ix.bucket_index(signature(poly, P.global_frame(poly), 1, 2, W.PLAIN_CAP), 1, 2)
+    index = ix.bucket_index(signature(poly, P.global_frame(poly), 1, 2), 1, 2)
     sizes = index.groupBy("band", "code").agg(F.count(F.lit(1)).alias("cnt"))
     w = Window.partitionBy("band").orderBy(F.desc("cnt"))
     return sizes.withColumn("place", F.dense_rank().over(w)).where("place <= 5")

@@ -12,7 +12,7 @@ from shapesig.operators import index as ix
 from shapesig.operators import prepare as P
 from shapesig.operators import search as S
 from shapesig.operators.prepare import Frame
-from shapesig.operators.signature import CAP, signature
+from shapesig.operators.signature import signature
 from shapesig.sources.layers import POINTS, star_rings
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
@@ -62,7 +62,7 @@ def rings_of_windows(closed: DataFrame) -> DataFrame:
     return star_rings(points)
 
 
-def probe_sink(base: DataFrame, frame: Frame, k: int, m: int, bands: int, out: str, cap: int = CAP) -> Callable[[DataFrame, int], None]:
+def probe_sink(base: DataFrame, frame: Frame, k: int, m: int, bands: int, out: str, cap: int | None = None) -> Callable[[DataFrame, int], None]:
     """A batch function: closed windows become shapes, those the frame holds are probed, the others go to an overflow folder."""
 
     def each(closed: DataFrame, batch: int) -> None:
@@ -78,7 +78,7 @@ def probe_sink(base: DataFrame, frame: Frame, k: int, m: int, bands: int, out: s
     return each
 
 
-def index_sink(frame: Frame, m: int, bands: int, path: str, cap: int = CAP) -> Callable[[DataFrame, int], None]:
+def index_sink(frame: Frame, m: int, bands: int, path: str, cap: int | None = None) -> Callable[[DataFrame, int], None]:
     """A batch function that adds new shapes (pid, ring) to a stored index under its frozen frame."""
 
     def each(rings: DataFrame, batch: int) -> None:

@@ -25,7 +25,8 @@ from shapesig.sources import layers, wkt
 
 Query = Callable[[SparkSession, str], DataFrame]
 KS = [10, 50, 100]
-PLAIN_CAP, SIZED_CAP, LAW_CAP = 256, 4096, 1024
+#: Attempts that the table forms, and the first pass of the SQL, draw for all shapes; searches have no cap.
+PLAIN_CAP, SIZED_CAP = 256, 4096
 
 
 def cap_of(name: str) -> int:
@@ -43,7 +44,7 @@ def query_set(poly: DataFrame) -> DataFrame:
 
 def search(spark: SparkSession, sf_dir: str, name: str, m: int, bands: int, k: int, base_seed: int = 42) -> DataFrame:
     poly = prepared(spark, sf_dir, name)
-    return S.knn_approx(poly, query_set(poly), P.global_frame(poly), k, m, bands, cap_of(name), base_seed)
+    return S.knn_approx(poly, query_set(poly), P.global_frame(poly), k, m, bands, None, base_seed)
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -118,16 +119,41 @@ def samples_head(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def signatures(name: str, form: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     poly = prepared(spark, sf_dir, name)
-    return first_hit(poly, P.global_frame(poly), slots_of(5 if form == "arrow" else 2), cap_of(name), form=form)
+    return first_hit(poly, P.global_frame(poly), slots_of(5 if form == "arrow" else 2), None if form == "arrow" else cap_of(name), form=form)
 
 
 def _signature_sql(name: str, form: str) -> str:
-    return O.text([*O.prepared(name), *O.hits(slots_of(5 if form == "arrow" else 2), cap_of(name))], "SELECT pid, slot, h FROM h")
+    return O.text([*O.prepared(name), *O.hits(slots_of(5 if form == "arrow" else 2), cap_of(name), most=O.MOST if form == "arrow" else 0)], "SELECT pid, slot, h FROM h")
+
+
+OPEN = ("cust", "cust_sized", "flag", "supp_sized", "doc")
+
+
+def open_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Slots that ``PLAIN_CAP`` attempts leave open, their shapes, and the slots open when none is the limit."""
+    out = None
+    for name in OPEN:
+        poly = prepared(spark, sf_dir, name)
+        frame = P.global_frame(poly)
+        short = first_hit(poly, frame, slots_of(3), PLAIN_CAP).where("h IS NULL").agg(F.count(F.lit(1)).alias("open_slots"), F.countDistinct("pid").alias("shapes"))
+        full = first_hit(poly, frame, slots_of(3), None).agg(F.coalesce(F.sum(F.col("h").isNull().cast("bigint")), F.lit(0)).alias("open_uncapped"))
+        row = short.crossJoin(F.broadcast(full)).select(F.lit(name).alias("layer"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _open_sql() -> str:
+    ctes: O.Cte = []
+    rows = []
+    for n in OPEN:
+        ctes += [*O.prepared(n, f"{n}__"), *((f"{n}__smp" if k == "smp" else k, q.replace("JOIN smp b", f"JOIN {n}__smp b")) for k, q in O.hits(slots_of(3), PLAIN_CAP, f"{n}__", f"{n}__frame"))]
+        rows.append(f"SELECT '{n}' AS layer, (SELECT count(*) FROM {n}__open) AS open_slots, (SELECT count(DISTINCT pid) FROM {n}__open) AS shapes, (SELECT count(*) FROM {n}__h WHERE h IS NULL) AS open_uncapped")
+    return O.text(ctes, " UNION ALL ".join(rows))
 
 
 def buckets(name: str, m: int, spark: SparkSession, sf_dir: str) -> DataFrame:
     poly = prepared(spark, sf_dir, name)
-    index = ix.bucket_index(signature(poly, P.global_frame(poly), m, 2, cap_of(name)), m, 2)
+    index = ix.bucket_index(signature(poly, P.global_frame(poly), m, 2), m, 2)
     return index.groupBy("band", "code").agg(F.count(F.lit(1)).alias("cnt"))
 
 
@@ -137,7 +163,7 @@ def _coded(name: str, m: int, bands: int = 2) -> O.Cte:
 
 def bucket_stats(name: str, m: int, spark: SparkSession, sf_dir: str) -> DataFrame:
     poly = prepared(spark, sf_dir, name)
-    return ix.bucket_stats(ix.bucket_index(signature(poly, P.global_frame(poly), m, 2, cap_of(name)), m, 2))
+    return ix.bucket_stats(ix.bucket_index(signature(poly, P.global_frame(poly), m, 2), m, 2))
 
 
 def _bucket_stats_sql(name: str, m: int) -> str:
@@ -146,7 +172,7 @@ def _bucket_stats_sql(name: str, m: int) -> str:
 
 def candidate_pairs(name: str, m: int, spark: SparkSession, sf_dir: str) -> DataFrame:
     poly = prepared(spark, sf_dir, name)
-    return S.candidate_pairs(poly, query_set(poly), P.global_frame(poly), m, 2, cap_of(name))
+    return S.candidate_pairs(poly, query_set(poly), P.global_frame(poly), m, 2)
 
 
 # ---- searches
@@ -172,7 +198,7 @@ def _approx_sql(name: str, m: int, bands: int = 2, k: int = 10) -> str:
 def k3_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three nearest documents of document 0."""
     poly = prepared(spark, sf_dir, "doc")
-    return S.knn_approx(poly, poly.where("pid = 0"), P.global_frame(poly), 3, 2, 2, PLAIN_CAP)
+    return S.knn_approx(poly, poly.where("pid = 0"), P.global_frame(poly), 3, 2, 2)
 
 
 def nearest_sets(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -195,7 +221,7 @@ def _evaluated(spark: SparkSession, sf_dir: str, name: str, lengths: tuple[int,
     q = settle(query_set(poly))
     frame, n, nq = P.global_frame(poly), poly.count(), q.count()
     exact = settle(S.knn_exact(poly, q, max(KS)))
-    sig = settle(signature(poly, frame, max(lengths), bands, cap_of(name)))
+    sig = settle(signature(poly, frame, max(lengths), bands))
     out = {}
     for m in lengths:
         # A shorter signature is the front of each band of a longer one.
@@ -237,7 +263,7 @@ def length_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     runs = _evaluated(spark, sf_dir, name, (1, 2, 3, 4, 5))
     out = None
     for m in range(1, 6):
-        cost = attempt_costs(poly, frame, slots_of(m), cap_of(name)).agg(F.sum("attempts").alias("attempts"))
+        cost = attempt_costs(poly, frame, slots_of(m)).agg(F.sum("attempts").alias("attempts"))
         r, p = runs[(name, m)]
         row = r.where("k = 10").crossJoin(F.broadcast(p)).crossJoin(F.broadcast(cost)).select(F.lit(m).alias("m"), "attempts", "cands", "recall")
         out = row if out is None else out.unionByName(row)
@@ -247,7 +273,7 @@ def length_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _sweep_sql() -> str:
     ctes, parts = _evaluation("cust_sized", (1, 2, 3, 4, 5))
     ctes.append(("t", " UNION ALL ".join(parts)))
-    return O.text(ctes, f"SELECT m, (SELECT sum(coalesce(h, {SIZED_CAP}))::BIGINT FROM h WHERE slot % 16 < m) AS attempts, cands, recall FROM t WHERE k = 10")
+    return O.text(ctes, f"SELECT m, (SELECT sum(h)::BIGINT FROM h WHERE slot % 16 < m) AS attempts, cands, recall FROM t WHERE k = 10")
 
 
 def bands_compared(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -289,7 +315,7 @@ def tuned(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     m, bands = theory.tune(near, [1 - x for x in spread], 0.95)
     frame, n, nq = P.global_frame(poly), poly.count(), q.count()
     while True:
-        cand = settle(S.candidate_pairs(poly, q, frame, m, bands, cap_of(name)))
+        cand = settle(S.candidate_pairs(poly, q, frame, m, bands))
         r = settle(M.recall_at_k(S.top_k(S.refine(cand, poly, q), 10), exact, [10]))
         # All shapes share one set of draws, so a measured recall can fall short of the predicted one: add bands.
         if bands >= MOST_BANDS or r.first()["recall"] >= TUNED_RECALL:
@@ -309,7 +335,7 @@ def equal_slots(name: str, slots: int, spark: SparkSession, sf_dir: str) -> Data
     poly = prepared(spark, sf_dir, name)
     q = query_set(poly)
     frame = P.global_frame(poly)
-    hits = settle(first_hit(poly, frame, list(range(slots)), cap_of(name)))
+    hits = settle(first_hit(poly, frame, list(range(slots)), None))
     share = M.equal_share(hits.join(q.select("pid"), "pid", "left_semi"), hits).where("qid <> pid")
     jd = S.knn_exact(poly, q, None, most=1.0)
     met = jd.join(share, ["qid", "pid"]).withColumn("j", 1 - F.col("jd"))
@@ -325,7 +351,7 @@ def _equal_slots_sql(name: str, slots: int) -> str:
 def box_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Centred boxes: the closed-form similarity against the share of equal slots, for all query pairs."""
     poly = prepared(spark, sf_dir, "box_part")
-    hits = settle(first_hit(poly, P.global_frame(poly), list(range(64)), PLAIN_CAP))
+    hits = settle(first_hit(poly, P.global_frame(poly), list(range(64)), None))
     share = M.equal_share(hits.where(F.col("pid") % O.QUERY_STEP == 0), hits).where("qid <> pid")
     s = poly.select("pid", F.col("box.xmax").alias("hx"), F.col("box.ymax").alias("hy"))
     met = share.join(s, "pid").join(s.select(F.col("pid").alias("qid"), F.col("hx").alias("gx"), F.col("hy").alias("gy")), "qid")
@@ -345,14 +371,14 @@ def attempt_law(name: str, slots: int, spark: SparkSession, sf_dir: str) -> Data
     """Per shape: sparsity, mean and variance of the first-hit values, and what the geometric law expects."""
     poly = prepared(spark, sf_dir, name)
     frame = P.global_frame(poly)
-    stats = M.attempt_stats(first_hit(poly, frame, list(range(slots)), LAW_CAP))
+    stats = M.attempt_stats(first_hit(poly, frame, list(range(slots)), None))
     s = F.col("sparsity")
     met = P.with_sparsity(poly, frame).join(stats, "pid")
     return met.select("pid", F.round(s, 9).alias("sparsity"), F.round("mean_h", 6).alias("mean_h"), F.round(1 / s, 6).alias("expected_mean"), F.round("var_h", 6).alias("var_h"), F.round((1 - s) / (s * s), 6).alias("expected_var"))
 
 
 def _attempt_law_sql(name: str, slots: int) -> str:
-    ctes = [*O.prepared(name), *O.hits(list(range(slots)), LAW_CAP), ("sp", "SELECT pid, area2 / (2.0::DOUBLE * (f.xmax - f.xmin) * (f.ymax - f.ymin)) AS sp FROM s, frame f")]
+    ctes = [*O.prepared(name), *O.hits(list(range(slots)), 1024), ("sp", "SELECT pid, area2 / (2.0::DOUBLE * (f.xmax - f.xmin) * (f.ymax - f.ymin)) AS sp FROM s, frame f")]
     return O.text(ctes, "SELECT pid, round(sp, 9) AS sparsity, round(avg(h), 6) AS mean_h, round(1 / sp, 6) AS expected_mean, round(var_samp(h), 6) AS var_h, round((1 - sp) / (sp * sp), 6) AS expected_var FROM h JOIN sp USING (pid) WHERE h IS NOT NULL GROUP BY pid, sp")
 
 
@@ -360,13 +386,13 @@ def precheck(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Inside tests with and without the box check, on the rings with most vertices."""
     poly = prepared(spark, sf_dir, "supp_sized")
     frame = P.global_frame(poly)
-    sums = [attempt_costs(poly, frame, slots_of(3), SIZED_CAP, precheck=on).agg(F.sum("attempts").alias("attempts"), F.sum("tests").alias("tests")).select(F.lit(on).alias("box_check"), "*") for on in (True, False)]
+    sums = [attempt_costs(poly, frame, slots_of(3), precheck=on).agg(F.sum("attempts").alias("attempts"), F.sum("tests").alias("tests")).select(F.lit(on).alias("box_check"), "*") for on in (True, False)]
     return sums[0].unionByName(sums[1])
 
 
 def _precheck_sql() -> str:
-    ctes = [*O.prepared("supp_sized"), *O.hits(slots_of(3), SIZED_CAP), ("a", f"SELECT pid, slot, coalesce(h, {SIZED_CAP}) AS h FROM h")]
-    return O.text(ctes, "SELECT true AS box_check, (SELECT sum(h)::BIGINT FROM a) AS attempts, (SELECT count(*) FROM near JOIN a USING (pid, slot) WHERE attempt <= a.h) AS tests UNION ALL SELECT false, (SELECT sum(h)::BIGINT FROM a), (SELECT sum(h)::BIGINT FROM a)")
+    ctes = [*O.prepared("supp_sized"), *O.hits(slots_of(3), SIZED_CAP), ("a", "SELECT pid, slot, h FROM h"), ("tested", "SELECT * FROM near UNION ALL SELECT * FROM near2")]
+    return O.text(ctes, "SELECT true AS box_check, (SELECT sum(h)::BIGINT FROM a) AS attempts, (SELECT count(*) FROM tested JOIN a USING (pid, slot) WHERE attempt <= a.h) AS tests UNION ALL SELECT false, (SELECT sum(h)::BIGINT FROM a), (SELECT sum(h)::BIGINT FROM a)")
 
 
 def sparsity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -428,7 +454,7 @@ def filtered(spark: SparkSession, sf_dir: str) -> DataFrame:
     good = table(spark, sf_dir, "labels").where("quality = 1").select(F.col("doc_id").alias("pid")).distinct()
     poly = prepared(spark, sf_dir, "doc")
     frame = P.global_frame(poly)
-    return S.knn_approx(poly.join(good, "pid", "left_semi"), query_set(poly), frame, 10, 2, 2, PLAIN_CAP)
+    return S.knn_approx(poly.join(good, "pid", "left_semi"), query_set(poly), frame, 10, 2, 2)
 
 
 def _filtered_sql() -> str:
@@ -452,12 +478,12 @@ def _nation_sql() -> str:
 def cross_layer(source: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     """Shapes of another layer as queries on the documents, hashed in the frame of both."""
     poly, other = prepared(spark, sf_dir, "doc"), prepared(spark, sf_dir, source)
-    return S.knn_approx(poly, query_set(other), P.global_frame(poly, other), 5, 2, 2, PLAIN_CAP, exclude_self=False)
+    return S.knn_approx(poly, query_set(other), P.global_frame(poly, other), 5, 2, 2, exclude_self=False)
 
 
 def _cross_sql(source: str) -> str:
     both = ("both_frame", "SELECT min(xmin) AS xmin, max(xmax) AS xmax, min(ymin) AS ymin, max(ymax) AS ymax FROM (SELECT * FROM frame UNION ALL SELECT * FROM q_frame)")
-    ctes = [*O.prepared("doc"), *O.prepared(source, "q_"), both, *O.hits(slots_of(2), PLAIN_CAP, "", "both_frame"), *O.hits(slots_of(2), PLAIN_CAP, "q_", smp=False), *O.codes(2, 2), *O.codes(2, 2, "q_"), *O.pairs_of_codes("", "q_", distinct_self=False), *O.distance("pair", "", "q_"), *O.ranked(5)]
+    ctes = [*O.prepared("doc"), *O.prepared(source, "q_"), both, *O.hits(slots_of(2), PLAIN_CAP, "", "both_frame"), *O.hits(slots_of(2), PLAIN_CAP, "q_", "both_frame", smp=False), *O.codes(2, 2), *O.codes(2, 2, "q_"), *O.pairs_of_codes("", "q_", distinct_self=False), *O.distance("pair", "", "q_"), *O.ranked(5)]
     return O.text(ctes, "SELECT qid, rank, pid, jd FROM knn")
 
 
@@ -489,14 +515,14 @@ def stream_probe(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = prepared(spark, sf_dir, "user")
     week = settle(weekly_rings_batch(table(spark, sf_dir, "events")).select("pid", "ring", "area2", "cx", "cy", "box"))
     asked = week.where(F.floor(F.col("pid") / 100_000) % O.QUERY_STEP == 0)  # by user
-    return S.knn_approx(base, asked, P.global_frame(base, week), 3, 1, 2, PLAIN_CAP, exclude_self=False)
+    return S.knn_approx(base, asked, P.global_frame(base, week), 3, 1, 2, exclude_self=False)
 
 
 def _stream_sql() -> str:
     weeks = [(f"q_{n}", q) for n, q in [("pt", "SELECT DISTINCT user_id * 100000 + epoch(ts)::BIGINT // 604800 AS pid, (8 * (hour(ts) * 60 + minute(ts)))::BIGINT AS x, (2 * floor(least(greatest(value, 0.0), 500.0) * 10))::BIGINT AS y FROM events")]]
     weeks += [x for x in O.prepared("user", "q_") if x[0] != "q_pt"]
     both = ("both_frame", "SELECT min(xmin) AS xmin, max(xmax) AS xmax, min(ymin) AS ymin, max(ymax) AS ymax FROM (SELECT * FROM frame UNION ALL SELECT * FROM q_frame)")
-    ctes = [*O.prepared("user"), *weeks, both, *O.hits(slots_of(1), PLAIN_CAP, "", "both_frame"), *O.hits(slots_of(1), PLAIN_CAP, "q_", smp=False), *O.codes(1, 2), *O.codes(1, 2, "q_"), *O.pairs_of_codes("", "q_", queries=f"(q.pid // 100000) % {O.QUERY_STEP} = 0", distinct_self=False), *O.distance("pair", "", "q_"), *O.ranked(3)]
+    ctes = [*O.prepared("user"), *weeks, both, *O.hits(slots_of(1), PLAIN_CAP, "", "both_frame"), *O.hits(slots_of(1), PLAIN_CAP, "q_", "both_frame", smp=False), *O.codes(1, 2), *O.codes(1, 2, "q_"), *O.pairs_of_codes("", "q_", queries=f"(q.pid // 100000) % {O.QUERY_STEP} = 0", distinct_self=False), *O.distance("pair", "", "q_"), *O.ranked(3)]
     return O.text(ctes, "SELECT qid, rank, pid, jd FROM knn")
 
 
@@ -508,6 +534,7 @@ def _registry() -> dict[str, tuple[Query, str | None]]:
         "w1_layer_profile": (layer_profile, _profile_sql()),
         "w2_frame_box": (frame_box, _frame_sql()),
         "w4_samples_head": (samples_head, O.text([*O.prepared("doc"), *O.drawn([0, 1, 16, 17], 32)], "SELECT slot, attempt, px, py FROM smp")),
+        "m6b_open_slots": (open_slots, _open_sql()),
         "w10_k3_example": (k3_example, O.text([*_coded("doc", 2), *O.pairs_of_codes(queries="q.pid = 0"), *O.distance(), *O.ranked(3)], "SELECT qid, rank, pid, jd FROM knn")),
         "w13_length_sweep": (length_sweep, _sweep_sql()),
         "w15_theorem1_boxes": (box_shares, _box_shares_sql()),
