@@ -17,14 +17,21 @@ def bucket_index(sig: DataFrame, m: int, bands: int = 2) -> DataFrame:
     return rows.select("band", code.alias("code"), "pid").withColumn("key", F.xxhash64("band", "code"))
 
 
-def candidates(queries: DataFrame, index: DataFrame, exclude_self: bool = True, few: bool = True) -> DataFrame:
+#: Rows of query codes that may be broadcast: some 60 MB.
+MOST_PROBES = 1_000_000
+
+
+def candidates(queries: DataFrame, index: DataFrame, exclude_self: bool = True, how: str | None = None) -> DataFrame:
     """Distinct (qid, pid) that share a bucket in some band.
 
-    ``few``: the queries' codes are a stated query set of checked size and are
-    broadcast, so that the index isn't shuffled; otherwise both sides are hashed.
+    ``how``: ``broadcast`` the queries' codes, so that the index isn't shuffled, or
+    join by ``shuffle_hash`` or ``merge``, for which both sides are hashed. By default
+    the codes are counted, up to ``MOST_PROBES``, and broadcast only if they are fewer.
     """
     q = queries.select("band", "key", F.col("code").alias("qcode"), F.col("pid").alias("qid"))
-    met = index.join(F.broadcast(q) if few else q, ["band", "key"]).where(F.col("code") == F.col("qcode"))
+    if how is None:
+        how = "broadcast" if q.limit(MOST_PROBES + 1).count() <= MOST_PROBES else "merge"
+    met = index.join(q.hint(how), ["band", "key"]).where(F.col("code") == F.col("qcode"))
     if exclude_self:
         met = met.where(F.col("qid") != F.col("pid"))
     return met.select("qid", "pid").distinct()

@@ -74,11 +74,20 @@ def first_hit_sql(poly: DataFrame, frame: Frame, slots: list[int], cap: int = CA
     return _parity(met.select("pid", "slot", "attempt", "px", "py"), poly, slots)
 
 
-def _parity(met: DataFrame, poly: DataFrame, slots: list[int]) -> DataFrame:
+def contained(poly: DataFrame, points: DataFrame) -> DataFrame:
+    """(pid, slot, attempt) of the points (slot, attempt, px, py) inside each shape."""
+    near = (F.col("px") > F.col("box.xmin")) & (F.col("px") < F.col("box.xmax")) & (F.col("py") > F.col("box.ymin")) & (F.col("py") < F.col("box.ymax"))
+    return _inside(poly.select("pid", "box").join(points, near).select("pid", "slot", "attempt", "px", "py"), poly).select("pid", "slot", "attempt")
+
+
+def _inside(met: DataFrame, poly: DataFrame) -> DataFrame:
     e = edges(poly)
     crossing = ((F.col("y1") > F.col("py")) != (F.col("y2") > F.col("py"))) & (((F.col("x2") - F.col("x1")) * (F.col("py") - F.col("y1")) - (F.col("y2") - F.col("y1")) * (F.col("px") - F.col("x1"))) * F.when(F.col("y2") > F.col("y1"), 1).otherwise(-1) > 0)
-    inside = met.join(e, "pid").where(crossing).groupBy("pid", "slot", "attempt").agg((F.count(F.lit(1)) % 2).alias("odd")).where("odd = 1")
-    hits = inside.groupBy("pid", "slot").agg(F.min("attempt").alias("h"))
+    return met.join(e, "pid").where(crossing).groupBy("pid", "slot", "attempt").agg((F.count(F.lit(1)) % 2).alias("odd")).where("odd = 1")
+
+
+def _parity(met: DataFrame, poly: DataFrame, slots: list[int]) -> DataFrame:
+    hits = _inside(met, poly).groupBy("pid", "slot").agg(F.min("attempt").alias("h"))
     every = poly.select("pid", F.explode(F.array(*map(F.lit, slots))).alias("slot"))
     return every.join(hits, ["pid", "slot"], "left").select("pid", "slot", F.col("h").cast("int").alias("h"))
 

@@ -111,8 +111,45 @@ def event_props(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("event_type", day.alias("day"), k.alias("k")).cube("event_type", "day").agg(F.grouping_id().cast("int").alias("level"), F.count(F.lit(1)).alias("events"), F.sum("k").alias("k_sum"), F.countDistinct("k").alias("k_kinds"))
 
 
+def sides(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The boxes of shapes as one row a side (unpivot)."""
+    box = W.prepared(spark, sf_dir, "cust").select("pid", "box.*")
+    return box.unpivot("pid", ["xmin", "xmax", "ymin", "ymax"], "side", "value")
+
+
+def page_of_shapes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The third page of twenty shapes by area: sort, offset and limit."""
+    return W.prepared(spark, sf_dir, "cust").select("pid", "area2").orderBy(F.desc("area2"), "pid").offset(40).limit(20)
+
+
+def event_maps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events of each user by type as a map, read back by key."""
+    n = table(spark, sf_dir, "events").groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
+    m = n.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    busy = F.map_filter("m", lambda k, v: v >= 3)
+    return m.select("user_id", F.size("m").cast("bigint").alias("kinds"), F.size(busy).cast("bigint").alias("busy"), F.coalesce(F.try_element_at("m", F.lit("click")), F.lit(0)).cast("bigint").alias("clicks"), F.aggregate(F.map_values("m"), F.lit(0).cast("bigint"), lambda a, v: a + v).alias("events"))
+
+
+def list_places(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Places in each list of neighbours: relative ranks, and values ahead, first, last and third."""
+    _, exact, _ = _lists(spark, sf_dir)
+    by = Window.partitionBy("qid").orderBy("rank")
+    whole = by.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return exact.select(
+        "qid", "rank",
+        F.round(F.percent_rank().over(by), 6).alias("place"), F.round(F.cume_dist().over(by), 6).alias("up_to"),
+        F.lead("pid", 1, -1).over(by).alias("ahead"), F.first("pid").over(whole).alias("nearest"), F.last("pid").over(whole).alias("farthest"), F.nth_value("pid", 3).over(whole).alias("third"),
+    )
+
+
+def common_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Areas that customers' and parts' shapes have in common, with repeats (INTERSECT ALL)."""
+    a, b = (W.prepared(spark, sf_dir, n).select((F.floor(F.log2(F.col("area2").cast("double")) * 4)).cast("int").alias("grade")) for n in ("cust", "part"))
+    return a.intersectAll(b).groupBy("grade").agg(F.count(F.lit(1)).alias("shapes"))
+
+
 def queries() -> dict[str, W.Query]:
-    return {"j10_unanswered": unanswered, "so_missed": missed, "j11_compared": compared, "ag9_recall_pivot": recall_pivot, "wn_neighbour_windows": windows, "ag6_sparsity_histogram": sparsity_histogram, "ag7_hot_codes": hot_codes, "j8_area_band": area_band, "fn7_event_props": event_props}
+    return {"j10_unanswered": unanswered, "so_missed": missed, "j11_compared": compared, "ag9_recall_pivot": recall_pivot, "wn_neighbour_windows": windows, "ag6_sparsity_histogram": sparsity_histogram, "ag7_hot_codes": hot_codes, "j8_area_band": area_band, "fn7_event_props": event_props, "ag9_unpivot_sides": sides, "sl1_page_of_shapes": page_of_shapes, "fn5_event_maps": event_maps, "wn_list_places": list_places, "so_common_rows": common_rows}
 
 
 def oracle_sql() -> dict[str, str]:
@@ -127,5 +164,10 @@ def oracle_sql() -> dict[str, str]:
         "ag6_sparsity_histogram": O.text([*O.prepared("cust_sized"), ("sp", "SELECT round(area2 / (2.0::DOUBLE * (f.xmax - f.xmin) * (f.ymax - f.ymin)), 9) AS sp FROM s, frame f")], "SELECT (CASE WHEN sp >= 1 THEN 21 ELSE floor(sp * 20) + 1 END)::INT AS bin, count(*) AS shapes FROM sp GROUP BY 1"),
         "ag7_hot_codes": O.text([*O.prepared("doc"), *O.hits(slots_of(1), W.PLAIN_CAP), *O.codes(1, 2), ("z", "SELECT band, code, count(*) AS cnt FROM code GROUP BY band, code")], "SELECT * FROM (SELECT band, code, cnt, (dense_rank() OVER (PARTITION BY band ORDER BY cnt DESC))::INT AS place FROM z) WHERE place <= 5"),
         "j8_area_band": O.text(O.prepared("cust_sized"), "SELECT q.pid AS qid, count(*) AS shapes FROM s q JOIN s p ON p.pid <> q.pid AND least(p.area2, q.area2) * 20 >= greatest(p.area2, q.area2) * 19 WHERE q.pid % 50 = 0 GROUP BY q.pid"),
+        "ag9_unpivot_sides": O.text(O.prepared("cust"), " UNION ALL ".join(f"SELECT pid, '{c}' AS side, {c} AS value FROM s" for c in ("xmin", "xmax", "ymin", "ymax"))),
+        "sl1_page_of_shapes": O.text(O.prepared("cust"), "SELECT pid, area2 FROM s ORDER BY area2 DESC, pid LIMIT 20 OFFSET 40"),
+        "fn5_event_maps": "WITH n AS (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY user_id, event_type) SELECT user_id, count(*) AS kinds, sum(CASE WHEN n >= 3 THEN 1 ELSE 0 END)::BIGINT AS busy, sum(CASE WHEN event_type = 'click' THEN n ELSE 0 END)::BIGINT AS clicks, sum(n)::BIGINT AS events FROM n GROUP BY user_id",
+        "wn_list_places": O.text([*O.prepared("cust_sized"), *O.all_pairs(), *O.distance(), *O.ranked(10)], "SELECT qid, rank, round(percent_rank() OVER w, 6) AS place, round(cume_dist() OVER w, 6) AS up_to, lead(pid, 1, -1) OVER w AS ahead, first_value(pid) OVER f AS nearest, last_value(pid) OVER f AS farthest, nth_value(pid, 3) OVER f AS third FROM knn WINDOW w AS (PARTITION BY qid ORDER BY rank), f AS (PARTITION BY qid ORDER BY rank ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)"),
+        "so_common_rows": O.text([*O.prepared("cust", "a__"), *O.prepared("part", "b__")], "SELECT grade, count(*) AS shapes FROM (SELECT floor(log2(area2::DOUBLE) * 4)::INT AS grade FROM a__s INTERSECT ALL SELECT floor(log2(area2::DOUBLE) * 4)::INT FROM b__s) GROUP BY grade"),
         "fn7_event_props": "SELECT event_type, day, grouping(event_type, day)::INT AS level, count(*) AS events, sum(k)::BIGINT AS k_sum, count(DISTINCT k) AS k_kinds FROM (SELECT event_type, CASE WHEN dayofweek(ts) IN (0, 6) THEN 'weekend' ELSE 'weekday' END AS day, (props ->> '$.k')::BIGINT AS k FROM events) GROUP BY CUBE (event_type, day)",
     }

@@ -19,7 +19,8 @@ from shapesig.operators import index as ix
 from shapesig.operators import measures as M
 from shapesig.operators import prepare as P
 from shapesig.operators import search as S
-from shapesig.operators.signature import attempt_costs, first_hit, signature, slots_of
+from shapesig.operators.cluster import clusters
+from shapesig.operators.signature import attempt_costs, contained, first_hit, signature, slots_of, wide
 from shapesig.session import settle, table
 from shapesig.sources import layers, wkt
 
@@ -526,6 +527,111 @@ def _stream_sql() -> str:
     return O.text(ctes, "SELECT qid, rank, pid, jd FROM knn")
 
 
+def similar_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents with the cluster that links of distance 0.05 or less put them in."""
+    shapes, members = S.same_shapes(prepared(spark, sf_dir, "doc"))
+    links = settle(S.self_join(settle(P.center(shapes, "none")), 0.05))
+    found = clusters(links.select("a", "b")).withColumnRenamed("node", "cls")
+    return members.join(found, "cls", "left").select("pid", F.coalesce("cluster", "cls").alias("cluster"))
+
+
+def _clusters_sql() -> str:
+    near = _near_duplicates_sql().split("\nSELECT pid, cls")[0].rsplit(",\ndeg AS", 1)[0].replace("WITH ", "WITH RECURSIVE ", 1)
+    return near + """,
+link AS MATERIALIZED (SELECT qid AS a, pid AS b FROM jd WHERE jd <= 0.05 UNION SELECT pid, qid FROM jd WHERE jd <= 0.05),
+reach(a, b) AS (SELECT a, b FROM link UNION SELECT r.a, l.b FROM reach r JOIN link l ON l.a = r.b)
+SELECT c.pid, least(c.cls, coalesce(min(r.b), c.cls)) AS cluster FROM cls c LEFT JOIN reach r ON r.a = c.cls GROUP BY c.pid, c.cls"""
+
+
+def mean_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """By length: mean distance of the returned neighbours, and of the true ones (length 0)."""
+    poly = prepared(spark, sf_dir, "doc_sized")
+    q = settle(query_set(poly))
+    frame = P.global_frame(poly)
+    out = M.mean_distance_at_k(S.knn_exact(poly, q, max(KS)), KS).select(F.lit(0).alias("m"), "k", "mean_jd")
+    for m in GRID["doc_sized"]:
+        out = out.unionByName(M.mean_distance_at_k(S.knn_approx(poly, q, frame, max(KS), m, 2), KS).select(F.lit(m).alias("m"), "k", "mean_jd"))
+    return out
+
+
+def _mean_distances_sql() -> str:
+    ctes, _ = _evaluation("doc_sized", GRID["doc_sized"])
+    rows = ["SELECT 0 AS m, rank AS r, jd FROM knn"] + [f"SELECT {m}, got, jd FROM m{m}knn JOIN jd USING (qid, pid)" for m in GRID["doc_sized"]]
+    return O.text(ctes, f"SELECT m, k::INT AS k, round(avg(jd), 6) AS mean_jd FROM ({' UNION ALL '.join(rows)}), (SELECT unnest({KS}) AS k) WHERE r <= k GROUP BY m, k")
+
+
+def estimated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """True neighbours with their similarity and its estimate from long signatures."""
+    poly = prepared(spark, sf_dir, "doc")
+    near = S.knn_exact(poly, query_set(poly), 10)
+    sig = settle(wide(first_hit(poly, P.global_frame(poly), list(range(64)), None)))
+    met = near.join(sig.withColumnRenamed("sig", "s"), "pid").join(sig.select(F.col("pid").alias("qid"), F.col("sig").alias("t")), "qid")
+    return met.select("qid", "pid", F.round(1 - F.col("jd"), 6).alias("j"), F.round(M.estimate_jaccard("s", "t"), 6).alias("estimate"))
+
+
+def _estimated_sql() -> str:
+    ctes = [*O.prepared("doc"), *O.hits(list(range(64)), PLAIN_CAP), *O.all_pairs(), *O.distance(), *O.ranked(10)]
+    return O.text(ctes, "SELECT n.qid, n.pid, round(1 - n.jd, 6) AS j, round(avg(CASE WHEN a.h = b.h THEN 1.0::DOUBLE ELSE 0.0 END), 6) AS estimate FROM knn n JOIN h a ON a.pid = n.pid JOIN h b ON b.pid = n.qid AND b.slot = a.slot GROUP BY n.qid, n.pid, n.jd")
+
+
+def monte_carlo(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """True neighbours with their similarity and the share of sample points in both among those in either."""
+    poly = prepared(spark, sf_dir, "doc")
+    near = settle(S.knn_exact(poly, query_set(poly), 3))
+    points = F.broadcast(samples(spark, P.global_frame(poly), [0], 1, POINTS))  # a parameter
+    asked = settle(poly.join(near.select(F.explode(F.array("qid", "pid")).alias("pid")).distinct(), "pid"))
+    held = settle(contained(asked, points))
+    pair = near.select("qid", "pid", "jd")
+    a = pair.join(held.select("pid", "attempt"), "pid")
+    b = pair.join(held.select(F.col("pid").alias("qid"), "attempt", F.lit(1).alias("also")), "qid")
+    met = a.join(b.select("qid", "pid", "attempt", "also"), ["qid", "pid", "attempt"], "left").groupBy("qid", "pid", "jd").agg(F.count(F.lit(1)).alias("n"), F.count("also").alias("shared"))
+    sizes = held.groupBy(F.col("pid").alias("qid")).agg(F.count(F.lit(1)).alias("nq"))
+    return met.join(sizes, "qid").select("qid", "pid", F.round(1 - F.col("jd"), 6).alias("j"), F.round(F.col("shared") / (F.col("n") + F.col("nq") - F.col("shared")), 6).alias("estimate"))
+
+
+POINTS = 512
+
+
+def _monte_carlo_sql() -> str:
+    ctes = [*O.prepared("doc"), *O.hits([0], POINTS, most=0), *O.all_pairs(), *O.distance(), *O.ranked(3)]
+    return O.text(ctes, "SELECT n.qid, n.pid, round(1 - n.jd, 6) AS j, round(sum(CASE WHEN b.pid IS NOT NULL THEN 1 ELSE 0 END) / (count(*) + (SELECT count(*) FROM ins c WHERE c.pid = n.qid) - sum(CASE WHEN b.pid IS NOT NULL THEN 1 ELSE 0 END))::DOUBLE, 6) AS estimate FROM knn n JOIN ins a ON a.pid = n.pid LEFT JOIN ins b ON b.pid = n.qid AND b.attempt = a.attempt GROUP BY n.qid, n.pid, n.jd")
+
+
+CURVE = {"cust_sized": (1, 3), "emb_sized": (1, 3), "doc_sized": (1, 3), "supp_sized": (1, 3)}
+
+
+def curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall against pruning over layers and lengths, in one table."""
+    runs: dict = {}
+    for name, lengths in CURVE.items():
+        runs |= _evaluated(spark, sf_dir, name, lengths)
+    return M.tradeoff(runs)
+
+
+def _curve_sql() -> str:
+    ctes, rows = [], []
+    for name, lengths in CURVE.items():
+        c, parts = _evaluation(name, lengths, 2, f"{name}__")
+        ctes += [(f"{name}__smp" if n == "smp" else n, q.replace("JOIN smp b", f"JOIN {name}__smp b")) for n, q in c]
+        rows += parts
+    return O.text(ctes, " UNION ALL ".join(rows))
+
+
+def probe_by(how: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The filter step with the join named."""
+    poly = prepared(spark, sf_dir, "doc")
+    index = ix.bucket_index(signature(poly, P.global_frame(poly), 2), 2)
+    return ix.candidates(index.where(F.col("pid") % O.QUERY_STEP == 0), index, how=how)
+
+
+def salted_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bucket sizes summed in two steps, so that a hot bucket's rows are counted in sixteen tasks."""
+    poly = prepared(spark, sf_dir, "doc")
+    index = ix.bucket_index(signature(poly, P.global_frame(poly), 1), 1)
+    part = index.groupBy("band", "code", F.pmod(F.xxhash64("pid"), F.lit(16)).alias("salt")).agg(F.count(F.lit(1)).alias("n"))
+    return part.groupBy("band", "code").agg(F.sum("n").alias("cnt"))
+
+
 # ---- registry
 
 
@@ -534,6 +640,12 @@ def _registry() -> dict[str, tuple[Query, str | None]]:
         "w1_layer_profile": (layer_profile, _profile_sql()),
         "w2_frame_box": (frame_box, _frame_sql()),
         "w4_samples_head": (samples_head, O.text([*O.prepared("doc"), *O.drawn([0, 1, 16, 17], 32)], "SELECT slot, attempt, px, py FROM smp")),
+        "m14_clusters": (similar_clusters, _clusters_sql()),
+        "a17_mean_distance": (mean_distances, _mean_distances_sql()),
+        "m11_estimated_jaccard": (estimated, _estimated_sql()),
+        "g10_monte_carlo": (monte_carlo, _monte_carlo_sql()),
+        "w14_curve": (curve, _curve_sql()),
+        "ag11_salted_counts": (salted_counts, O.text(_coded("doc", 1), "SELECT band, code, count(*) AS cnt FROM code GROUP BY band, code")),
         "m6b_open_slots": (open_slots, _open_sql()),
         "w10_k3_example": (k3_example, O.text([*_coded("doc", 2), *O.pairs_of_codes(queries="q.pid = 0"), *O.distance(), *O.ranked(3)], "SELECT qid, rank, pid, jd FROM knn")),
         "w13_length_sweep": (length_sweep, _sweep_sql()),
@@ -577,6 +689,8 @@ def _registry() -> dict[str, tuple[Query, str | None]]:
         r[f"w17_theorem2_{n}"] = (partial(attempt_law, n, slots), _attempt_law_sql(n, slots))
     r["m10b_nearest_set"] = (partial(nearest_sets, "doc"), O.text([*O.prepared("doc"), *O.all_pairs(), *O.distance()], "SELECT qid, pid, jd FROM (SELECT *, rank() OVER (PARTITION BY qid ORDER BY jd) AS r FROM jd) WHERE r = 1"))
     r["m13_range_search"] = (partial(range_pairs, "doc", 0.1), O.text([*O.prepared("doc"), *O.all_pairs(), *O.distance()], "SELECT qid, pid, jd FROM jd WHERE jd <= 0.1"))
+    for how in ("shuffle_hash", "merge"):
+        r[f"j_probe_{how}"] = (partial(probe_by, how), O.text([*_coded("doc", 2), *O.pairs_of_codes()], "SELECT qid, pid FROM pair"))
     for n in ("bench", "page", "turn"):
         r[f"w25_cross_{n}"] = (partial(cross_layer, n), _cross_sql(n))
     for n in ("doc", "cust_sized", "emb"):

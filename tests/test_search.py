@@ -74,7 +74,7 @@ def test_stored_index_and_salting_give_the_same_candidates(spark, doc, tmp_path)
     assert kept == frame
     probes = index.join(q.select("pid"), "pid", "left_semi")
     want = set(map(tuple, ix.candidates(probes, index).collect()))
-    assert want == set(map(tuple, ix.candidates(probes, stored, few=False).collect())) == set(map(tuple, planner.salted_candidates(probes, index, 3).collect()))
+    assert want == set(map(tuple, ix.candidates(probes, stored, how="merge").collect())) == set(map(tuple, planner.salted_candidates(probes, index, 3).collect()))
 
 
 def test_query_blocks_split_large_query_sets(doc):
