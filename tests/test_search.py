@@ -120,3 +120,17 @@ def test_choice():
     assert planner.choose(10**6, 100, 12, 6, 20).form == "arrow"
     assert planner.choose(10**6, 100, 12, 6, 20, in_jvm=True).form == "grid"
     assert planner.choose(10, 10**9, 12, 6, 20, largest_bucket=5_000_000) == planner.Choice("arrow", False, False, 5)
+
+
+def test_clusters_are_components(spark):
+    from shapesig.operators.cluster import clusters
+
+    edges = [(i, i + 1) for i in range(30)] + [(100, 100 + i) for i in range(1, 20)] + [(201, 200), (7, 7)]
+    got = {r.node: r.cluster for r in clusters(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert {got[i] for i in range(31)} == {0} and {got[100 + i] for i in range(20)} == {100} and got[201] == got[200] == 200
+    assert clusters(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+@pytest.mark.parametrize("name", ["m6b_open_slots", "m14_clusters", "a17_mean_distance", "g10_monte_carlo", "m11_estimated_jaccard", "j_probe_merge"])
+def test_later_experiment_equals_sql(spark, duck, same, name):
+    same(workloads.queries()[name](spark, SF), duck.sql(workloads.oracle_sql()[name]))
