@@ -4,7 +4,7 @@ Two texts are near copies if the Jaccard similarity of their sets of 5-word
 shingles is ``SIMILAR`` or more; every link is checked on the whole sets.
 
 1. Slices of the corpus ask buckets of shingle hashes which of their shingles
-   another document has (``sharing``; a shingle is asked once a slice, in four bytes).
+   another document has (``sharing``; a shingle is asked once a slice, in four bytes or less).
    A text of which fewer than ``SIMILAR`` of its shingles are shared has no near copy
    and is done. The others keep their sets, and equal sets are one node from here.
 2. Fingerprints are over the distinct words of a text. The pigeonhole search of
@@ -44,6 +44,7 @@ from shapesig.llm.kernels import Words, ragged, xxh64_spans
 from shapesig.llm.simhash_dedup import Part, bit_counts, plan, signed
 
 RADIUS, SHINGLE, SIMILAR = 4, 5, 0.8
+HASH_BITS = 48  # of a shingle's hash; two sets of a thousand share one by chance once in 10^8
 WEIGHT = 1_000_000  # shingles whose sets a task compares at once: 8 MB
 #: A factor of sizes that two sets of the similarity cannot exceed, as a logarithm.
 BIN = math.log(1 / SIMILAR) + 1e-6
@@ -80,7 +81,8 @@ def sets_of(texts: pa.Array, shingle: int = SHINGLE) -> tuple[np.ndarray, np.nda
         n = np.diff(np.append(at, len(doc)))
         ones = np.add.reduceat(np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"), at, axis=0, dtype=np.int64)
         fp[doc[at]] = np.packbits(ones * 2 > n[:, None], axis=1, bitorder="little").view("<u8").reshape(-1)
-    s, of = distinct(*shingles_of(w, shingle))
+    s, of = shingles_of(w, shingle)
+    s, of = distinct(s >> np.uint64(64 - HASH_BITS), of)
     return fp, np.bincount(of, minlength=w.n_docs), s
 
 
@@ -114,15 +116,30 @@ def slices(docs: DataFrame, size: int, shingle: int = SHINGLE) -> DataFrame:
     return in_arrow(docs.select("doc_id", "text"), run, SLICE)
 
 
+def packed(values: np.ndarray, width: int) -> bytes:
+    """Steps between whole numbers of ``width`` bytes, bytes of equal rank together: of sorted numbers the high ones are mostly zero and compress away."""
+    steps = np.diff(values.astype(np.uint64), prepend=np.uint64(0))
+    return np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8)[:, :width].T).tobytes()
+
+
+def unpacked(blob: bytes, width: int) -> np.ndarray:
+    steps = np.zeros((len(blob) // width, 8), np.uint8)
+    steps[:, :width] = np.frombuffer(blob, np.uint8).reshape(width, -1).T
+    with np.errstate(over="ignore"):
+        return np.cumsum(steps.view(np.uint64).reshape(-1), dtype=np.uint64) & np.uint64((1 << 8 * width) - 1)
+
+
 def _slice(serial: int, parts: list[tuple]) -> pa.RecordBatch:
-    columns = [np.concatenate(c).tobytes() for c in zip(*parts, strict=True)]
+    *about, h = (np.concatenate(c) for c in zip(*parts, strict=True))
+    columns = [*(c.tobytes() for c in about), packed(h, HASH_BITS // 8)]
     return pa.RecordBatch.from_arrays([pa.array([serial], pa.int64()), *(pa.array([c], pa.binary()) for c in columns)], schema=_SLICE)
 
 
 def _asked(h: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct hashes, how often each occurs, its bucket (in order), and the place of every hash among them."""
+    """Of the distinct hashes, in order: the bucket, 32 bits of the place in it, and how often each occurs; and the place of every hash among them."""
     u, place, times = np.unique(h, return_inverse=True, return_counts=True)
-    return u, times, (((u >> np.uint64(40)) * np.uint64(buckets)) >> np.uint64(24)).astype(np.int64), place
+    scaled = (u >> np.uint64(8)) * np.uint64(buckets)  # 40 bits times 19 at most
+    return (scaled >> np.uint64(40)).astype(np.int64), (scaled >> np.uint64(8)).astype(np.uint32), times, place
 
 
 def _edges(bucket: np.ndarray) -> np.ndarray:
@@ -163,13 +180,13 @@ def sharing(docs: DataFrame, slice_bytes: int | None = None, buckets: int | None
     def ask(rows: pa.Table) -> pa.Table:
         out: list[tuple] = []
         for serial, blob in zip(rows["slice"].to_pylist(), rows["h"].to_pylist(), strict=True):
-            u, times, bucket, _ = _asked(np.frombuffer(blob, np.uint64), n_buckets)
-            low, few, at = (u & np.uint64(0xFFFFFFFF)).astype(np.uint32), np.minimum(times, 255).astype(np.uint8), _edges(bucket)
-            out += [(int(bucket[a]), serial, low[a:b].tobytes(), few[a:b].tobytes()) for a, b in zip(at[:-1], at[1:], strict=True)]
+            bucket, low, times, _ = _asked(unpacked(blob, HASH_BITS // 8), n_buckets)
+            few, at = np.minimum(times, 255).astype(np.uint8), _edges(bucket)
+            out += [(int(bucket[a]), serial, packed(low[a:b], 4), few[a:b].tobytes()) for a, b in zip(at[:-1], at[1:], strict=True)]
         return _rows(list(zip(*out, strict=True)) or [[]] * 4, _ASKED)
 
     def answer(rows: pa.Table) -> pa.Table:
-        low = [np.frombuffer(x, np.uint32) for x in rows["low"].to_pylist()]
+        low = [unpacked(x, 4) for x in rows["low"].to_pylist()]
         times = np.concatenate([np.frombuffer(x, np.uint8) for x in rows["times"].to_pylist()])
         _, place = np.unique(np.concatenate(low), return_inverse=True)
         held = np.bincount(place, times)
@@ -182,10 +199,11 @@ def sharing(docs: DataFrame, slice_bytes: int | None = None, buckets: int | None
     def settle(rows: pa.Table, replies: pa.Table) -> pa.Table:
         if not rows.num_rows:
             return _KEPT.empty_table()
-        ids, fps, n, h = (np.frombuffer(rows[c][0].as_py(), k) for c, k in (("ids", np.int64), ("fps", np.int64), ("sizes", np.int64), ("h", np.uint64)))
-        u, _, bucket, place = _asked(h, n_buckets)
+        ids, fps, n = (np.frombuffer(rows[c][0].as_py(), np.int64) for c in ("ids", "fps", "sizes"))
+        h = unpacked(rows["h"][0].as_py(), HASH_BITS // 8)
+        bucket, _, _, place = _asked(h, n_buckets)
         said = {b: (x, v) for b, x, v in zip(*(replies[c].to_pylist() for c in ("bucket", "bits", "level")), strict=True)}
-        at, shared, level = _edges(bucket), np.zeros(len(u), bool), np.zeros(len(u), np.uint8)
+        at, shared, level = _edges(bucket), np.zeros(len(bucket), bool), np.zeros(len(bucket), np.uint8)
         for a, b in zip(at[:-1], at[1:], strict=True):
             bits, levels = said[int(bucket[a])]
             shared[a:b] = np.unpackbits(np.frombuffer(bits, np.uint8), count=b - a).astype(bool)

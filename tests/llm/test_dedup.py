@@ -168,6 +168,15 @@ def test_appended_cut_and_block_edited_copies_are_all_found(spark):
     assert {r.doc_id for r in near_copies.keep_one(docs(spark, texts)).collect()} == kept
 
 
+def test_packed_numbers_come_back():
+    rng = np.random.default_rng(5)
+    for n in (0, 1, 1000):
+        for width in (4, 6):
+            v = rng.integers(0, 1 << 8 * width, n).astype(np.uint64)
+            for x in (v, np.sort(v)):
+                assert np.array_equal(near_copies.unpacked(near_copies.packed(x, width), width), x)
+
+
 def test_prefixes_of_similar_sets_meet_in_any_order():
     rng = np.random.default_rng(4)
     for i in range(60):
