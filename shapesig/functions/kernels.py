@@ -23,7 +23,9 @@ def points(frame: tuple[int, int, int, int], slots: tuple[int, ...], first: int,
     out = []
     for axis, low, high in (("x", xmin, xmax), ("y", ymin, ymax)):
         wide = (high - low) // 2
-        u = np.array([[draw(base, s, axis, a) for a in range(first, last + 1)] for s in slots], np.int64).reshape(len(slots), -1)
+        # ``draw`` for all of them.
+        heads = [f"{base}:{s}:{axis}:".encode() for s in slots]
+        u = np.frombuffer(b"".join(hashlib.md5(h + b"%d" % a).digest()[:4] for h in heads for a in range(first, last + 1)), ">u4").astype(np.int64).reshape(len(slots), -1)
         out.append(low + 2 * ((u * wide) >> 32) + 1)
     return out[0], out[1]
 

@@ -97,7 +97,9 @@ MOST_ASKED = 4096
 def refine(cand: DataFrame, poly: DataFrame, q: DataFrame, most: float | None = None) -> DataFrame:
     """Exact distances of candidate pairs (qid, pid): a shape's ring is fetched once for all its queries, whose rings are with the workers."""
     deal = F.pmod(F.xxhash64("qid"), F.greatest(F.lit(1), F.ceil(F.lit(q.count() / MOST_ASKED)).cast("int")))
-    asked = cand.groupBy("pid", deal.alias("deal")).agg(F.collect_list("qid").alias("qids"))
+    # Few bytes, much work: a stated number of partitions isn't coalesced by their size.
+    spread = max(q.sparkSession.sparkContext.defaultParallelism, int(q.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    asked = cand.repartition(spread, "pid").groupBy("pid", deal.alias("deal")).agg(F.collect_list("qid").alias("qids"))
     met = asked.join(poly.select("pid", "ring"), "pid").select("pid", "ring", "qids")
     parts = []
     for block in query_blocks(q):

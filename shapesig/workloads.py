@@ -35,8 +35,9 @@ def cap_of(name: str) -> int:
 
 
 def prepared(spark: SparkSession, sf_dir: str, name: str, builder: str = "star") -> DataFrame:
-    """The layer, settled: several steps read it."""
-    return settle(layers.build(spark, sf_dir, name, builder))
+    """The layer, settled: several steps read it. A small one is dealt to all cores, for its shapes are few bytes and much work."""
+    poly, cores = settle(layers.build(spark, sf_dir, name, builder)), spark.sparkContext.defaultParallelism
+    return settle(poly.repartition(cores)) if poly.rdd.getNumPartitions() < cores else poly
 
 
 def query_set(poly: DataFrame) -> DataFrame:
