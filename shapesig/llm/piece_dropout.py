@@ -10,7 +10,8 @@ dropout; so a candidate is skipped or not whatever is computed around it, and
 reruns agree. The key holds the seed, the document, the number of its copy and the
 unit's place in the text: a word is segmented anew wherever it stands. Equal units
 of up to ``SHARED`` symbols whose coins fall alike on every merge that their spans
-allow are merged once; that changes no result.
+allow are merged once, and a task keeps what it merged of them and which merges their spans
+allow (``Memo``, of bounded size); that changes no result.
 
 Units are merged in step, one merge a round each, in arrays; units of more than
 ``LONG`` symbols use an agenda (a heap), with the same results. Characters without a piece become
@@ -44,6 +45,24 @@ _U = np.uint64
 _K = tuple(_U(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
 
+def _slot(key: np.ndarray, slots: int) -> np.ndarray:
+    """The first slot of each key among a power of two."""
+    with np.errstate(over="ignore"):
+        return ((key.astype(np.uint64) * _K[0]) >> _U(64 - slots.bit_length() + 1)).astype(np.int64)
+
+
+def hashed(keys: np.ndarray) -> np.ndarray:
+    """An open table of the places of distinct keys, filled to a quarter at most."""
+    slots = np.full(1 << max(4, (4 * len(keys)).bit_length()), -1, np.int32)
+    at, rest = _slot(keys, len(slots)), np.arange(len(keys))
+    while len(rest):
+        free = rest[slots[at[rest]] < 0]
+        slots[at[free]] = free
+        rest = rest[slots[at[rest]] != rest]
+        at[rest] = (at[rest] + 1) & (len(slots) - 1)
+    return slots
+
+
 @dataclass(frozen=True)
 class Model:
     """Tables of a model: symbols are pieces, then characters that only longer pieces hold."""
@@ -53,6 +72,7 @@ class Model:
     pairs: np.ndarray  # sorted left * symbols + right
     merged: np.ndarray
     rank: np.ndarray  # smaller merges first
+    slots: np.ndarray  # hash table of places in ``pairs``, open addressing, -1: free
     symbols: int
     byte: np.ndarray  # byte -> piece
     text: np.ndarray  # bytes of all pieces as decoded
@@ -80,6 +100,7 @@ class Model:
         of_char[32] = known[SPACE_SIGN]
         rows = sorted((known[p[:k]] * symbols + known[p[k:]], i) for i, p in kind.items() for k in range(1, len(p)) if p[:k] in known and p[k:] in known)
         merged = np.array([i for _, i in rows], np.int32)
+        pairs = np.array([k for k, _ in rows], np.int64)
         score = np.array([sp.get_score(i) for i in range(n)])
         byte = np.full(256, -1, np.int32)
         out = [b""] * n
@@ -89,14 +110,64 @@ class Model:
             if sp.is_byte(i):
                 v = int(sp.id_to_piece(i)[1:-1], 16)
                 byte[v], out[i] = i, bytes([v])
-        return Model(n, of_char, np.array([k for k, _ in rows], np.int64), merged, -score[merged], symbols, byte, np.frombuffer(b"".join(out), np.uint8), np.cumsum([0, *map(len, out)]), known[SPACE_SIGN])
+        # The last of the merged pieces and ranks stand for pairs that make none.
+        return Model(n, of_char, pairs, np.append(merged, np.int32(-1)), np.append(np.unique(-score[merged], return_inverse=True)[1], np.inf).astype(np.float32), hashed(pairs), symbols, byte, np.frombuffer(b"".join(out), np.uint8), np.cumsum([0, *map(len, out)]), known[SPACE_SIGN])
+
+    def place(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Places of pairs in ``pairs``, -1 where they make no piece."""
+        key = left.astype(np.int64) * self.symbols + right
+        key[(left < 0) | (right < 0)] = -1
+        if not len(self.pairs):
+            return np.full(len(key), -1)
+        at = _slot(key, len(self.slots))
+        out = self.slots[at]
+        here = np.flatnonzero((out >= 0) & (self.pairs[out] != key))
+        while len(here):
+            at[here] = (at[here] + 1) & (len(self.slots) - 1)
+            out[here] = self.slots[at[here]]
+            here = here[(out[here] >= 0) & (self.pairs[out[here]] != key[here])]
+        return out
 
     def look(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Merged piece and rank of pairs; rank is infinite where they make none."""
-        key = left.astype(np.int64) * self.symbols + right
-        at = np.minimum(np.searchsorted(self.pairs, key), len(self.pairs) - 1)
-        ok = (self.pairs[at] == key) & (left >= 0) & (right >= 0)
-        return np.where(ok, self.merged[at], -1), np.where(ok, self.rank[at], np.inf)
+        at = self.place(left, right)
+        return self.merged[at], self.rank[at]
+
+
+class Memo:
+    """Values that a task found for keys of 64 bits, one after another; past ``most`` values it starts anew."""
+
+    def __init__(self, rows: int, kind: type, most: int = 4_000_000):
+        self.keys, self.begin, self.size, self.most = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), most
+        self.values = np.zeros((rows, 0), kind)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Places of keys, -1 where they are unknown."""
+        if not len(self.keys):
+            return np.full(len(keys), -1)
+        at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return np.where(self.keys[at] == keys, at, -1)
+
+    def get(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The values at these places and their numbers."""
+        return self.values[:, ragged(self.begin[at], self.size[at])], self.size[at]
+
+    def add(self, keys: np.ndarray, size: np.ndarray, values: np.ndarray) -> None:
+        """``keys`` are distinct and unknown."""
+        if self.values.shape[1] + values.shape[1] > self.most:
+            self.__init__(len(values), self.values.dtype.type, self.most)
+            if values.shape[1] > self.most:
+                return
+        begin = self.values.shape[1] + np.cumsum(size) - size
+        keys, begin, size = (np.concatenate(x) for x in ((self.keys, keys), (self.begin, begin), (self.size, size)))
+        order = np.argsort(keys, kind="stable")
+        self.keys, self.begin, self.size = keys[order], begin[order], size[order]
+        self.values = np.concatenate([self.values, values.astype(self.values.dtype)], 1)
+
+
+def memos() -> tuple[Memo, Memo]:
+    """For spans (start, middle, end) by word, and for tokens by word and coins."""
+    return Memo(3, np.uint8), Memo(1, np.int32)
 
 
 def skipped(unit: np.ndarray, start: np.ndarray, middle: np.ndarray, end: np.ndarray, dropout: float) -> np.ndarray:
@@ -145,9 +216,9 @@ def merge_in_step(cells: np.ndarray, sizes: np.ndarray, unit: np.ndarray, model:
     n, width = cells.shape
     sym = np.concatenate([cells, np.full((n, 1), -1, cells.dtype)], 1)
     col = np.arange(width + 1)
-    start = np.minimum(np.tile(col, (n, 1)), sizes[:, None])
+    start = np.minimum(np.tile(col, (n, 1)), sizes[:, None]).astype(np.int32)
     count = sizes.copy()
-    made, rank = np.full((n, width), -1, np.int64), np.full((n, width), np.inf)
+    made, rank = np.full((n, width), -1, np.int32), np.full((n, width), np.inf, np.float32)
     row, at = np.nonzero(col[None, : width - 1] < sizes[:, None] - 1) if width > 1 else (np.zeros(0, int), np.zeros(0, int))
 
     def offer(rows: np.ndarray, a: np.ndarray, s: np.ndarray, st: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -158,7 +229,7 @@ def merge_in_step(cells: np.ndarray, sizes: np.ndarray, unit: np.ndarray, model:
         r[real[drop]] = np.inf
         return m, r
 
-    start = np.concatenate([start, sizes[:, None]], 1)
+    start = np.concatenate([start, sizes[:, None].astype(np.int32)], 1)
     if len(row):
         made[row, at], rank[row, at] = offer(row, at, sym, start, unit)
     out_sym, out_start, out_count = sym.copy(), start.copy(), count.copy()
@@ -202,7 +273,7 @@ def spans_of(cells: np.ndarray, model: Model) -> tuple[np.ndarray, np.ndarray, n
             for m in range(s + 1, e):
                 at = np.flatnonzero((sym[s, m] >= 0) & (sym[m, e] >= 0))
                 if len(at):
-                    got, _ = model.look(sym[s, m][at], sym[m, e][at])
+                    got = model.merged[model.place(sym[s, m][at], sym[m, e][at])]
                     at, got = at[got >= 0], got[got >= 0]
                     made[at] = got
                     out.append(np.stack([at, np.full(len(at), s), np.full(len(at), m), np.full(len(at), e)]))
@@ -212,7 +283,7 @@ def spans_of(cells: np.ndarray, model: Model) -> tuple[np.ndarray, np.ndarray, n
     return row[order], start[order], middle[order], end[order]
 
 
-def alike(word: np.ndarray, key: np.ndarray, at: np.ndarray, size: np.ndarray, ids: np.ndarray, model: Model, dropout: float) -> np.ndarray:
+def alike(word: np.ndarray, key: np.ndarray, at: np.ndarray, size: np.ndarray, ids: np.ndarray, model: Model, dropout: float, spans: Memo) -> np.ndarray:
     """Numbers that are equal only for units that are merged alike: the word and its coins, or the unit's own key."""
     if dropout <= 0:
         return word
@@ -223,12 +294,19 @@ def alike(word: np.ndarray, key: np.ndarray, at: np.ndarray, size: np.ndarray, i
         low = high
         if not len(here):
             continue
-        _, pick, of = np.unique(word[here], return_index=True, return_inverse=True)
-        first, cols = here[pick], np.arange(high)
+        words, pick, of = np.unique(word[here], return_index=True, return_inverse=True)
+        known = spans.find(words)
+        fresh, old = np.flatnonzero(known < 0), np.flatnonzero(known >= 0)
+        first, cols = here[pick[fresh]], np.arange(high)
         cells = np.where(cols[None] < size[first, None], ids[np.minimum(at[first, None] + cols, len(ids) - 1)], -1)
-        row, s, m, e = spans_of(cells, model)
-        many = np.bincount(row, minlength=len(first))
-        begin = np.cumsum(many) - many
+        row, *found = spans_of(cells, model)
+        got, got_many = spans.get(known[old])
+        s, m, e = np.concatenate([np.stack(found), got], 1).astype(np.int64)
+        many, begin = np.zeros(len(words), np.int64), np.zeros(len(words), np.int64)
+        many[fresh], many[old] = np.bincount(row, minlength=len(fresh)), got_many
+        order = np.concatenate([fresh, old])
+        begin[order] = np.cumsum(many[order]) - many[order]
+        spans.add(words[fresh], many[fresh], np.stack(found))
         for block in np.array_split(np.arange(len(here)), max(1, int(many[of].sum()) // 400_000)):
             block = block[many[of[block]] <= 64]  # a bit for each
             w, unit = of[block], here[block]
@@ -243,8 +321,12 @@ def alike(word: np.ndarray, key: np.ndarray, at: np.ndarray, size: np.ndarray, i
     return out
 
 
-def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: float = DROPOUT, seed: int = SEED) -> tuple[np.ndarray, np.ndarray]:
-    """Tokens of all texts in a row, and each text's number of them; ``variant`` tells documents and copies apart."""
+def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: float = DROPOUT, seed: int = SEED, memo: tuple[Memo, Memo] | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens of all texts in a row, and each text's number of them; ``variant`` tells documents and copies apart.
+
+    ``memo`` serves calls with one model.
+    """
+    spans, done = memo or memos()
     texts = pc.fill_null(texts, "")
     off = offsets_of(texts)
     raw = np.frombuffer(texts.buffers()[2] or b"", np.uint8)[off[0] : off[-1]]
@@ -269,8 +351,26 @@ def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: fl
         place = np.arange(len(at)) - np.searchsorted(doc, doc)
         key = mixed(mixed(word + variant[doc].astype(np.uint64) * _K[0]) + place.astype(np.uint64) * _K[1])
     ids = model.of_char[points]
-    _, pick, inverse = np.unique(alike(word, key, at, size, ids, model, dropout), return_index=True, return_inverse=True)
-    at_u, size_u, key_u = at[pick], size[pick], key[pick]
+    numbers, pick, inverse = np.unique(alike(word, key, at, size, ids, model, dropout, spans), return_index=True, return_inverse=True)
+    known = done.find(numbers)
+    fresh, old = np.flatnonzero(known < 0), np.flatnonzero(known >= 0)
+    flat_new, new = merged(points, ids, at[pick[fresh]], size[pick[fresh]], key[pick[fresh]], model, dropout)
+    flat_old, said = done.get(known[old])
+    # Only a word's number can come again: units that go by their own key can't.
+    again = numbers[fresh] != key[pick[fresh]]
+    done.add(numbers[fresh][again], new[again], flat_new[None, np.repeat(again, new)])
+    per_unit, begin = np.zeros(len(numbers), np.int64), np.zeros(len(numbers), np.int64)
+    per_unit[fresh], per_unit[old] = new, said
+    order = np.concatenate([fresh, old])
+    begin[order] = np.cumsum(per_unit[order]) - per_unit[order]
+    flat = np.concatenate([flat_new, flat_old[0]])[ragged(begin[inverse], per_unit[inverse])]
+    return flat, np.bincount(doc, per_unit[inverse], len(texts)).astype(np.int64)
+
+
+def merged(points: np.ndarray, ids: np.ndarray, at_u: np.ndarray, size_u: np.ndarray, key_u: np.ndarray, model: Model, dropout: float) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens of units in a row, and each unit's number of them."""
+    if not len(at_u):
+        return np.zeros(0, np.int32), np.zeros(0, np.int64)
     parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []  # unit, symbol, start, end; units in some order
     low = 0
     for high in (*(x for x in (4, 6, 8, 12, 16, 24, 32) if x < LONG), LONG):
@@ -303,10 +403,7 @@ def encode_texts(texts: pa.Array, variant: np.ndarray, model: Model, dropout: fl
     if len(bare):
         data = np.frombuffer(char.astype("<u4").tobytes().decode("utf-32-le").encode(), np.uint8)
         tokens[ragged((np.cumsum(wide) - wide)[bare], utf)] = model.byte[data]
-    per_unit = np.bincount(unit, wide, len(at_u)).astype(np.int64)
-    begin = np.cumsum(per_unit) - per_unit
-    flat = tokens[ragged(begin[inverse], per_unit[inverse])]
-    return flat, np.bincount(doc, per_unit[inverse], len(texts)).astype(np.int64)
+    return tokens, np.bincount(unit, wide, len(at_u)).astype(np.int64)
 
 
 def decode_tokens(tokens: np.ndarray, counts: np.ndarray, model: Model) -> list[bytes]:
@@ -332,11 +429,11 @@ def with_tokens(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPO
     schema = T.StructType([*(f for f in docs.schema.fields if f.name != column), T.StructField(column, T.ArrayType(T.IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = held.value
+        model, memo = held.value, memos()
         for batch in batches:
             for part in rows_of(batch, "text", 2 << 20):
                 i, t = (part.schema.get_field_index(c) for c in ("doc_id", "text"))
-                flat, counts = encode_texts(part.column(t), _drawn(part.column(i), seed, part.column(part.schema.get_field_index(copy)) if copy else None), model, dropout, seed)
+                flat, counts = encode_texts(part.column(t), _drawn(part.column(i), seed, part.column(part.schema.get_field_index(copy)) if copy else None), model, dropout, seed, memo)
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(flat, pa.int32()))
                 kept = [f.name for f in part.schema if f.name != column]
                 yield pa.RecordBatch.from_arrays([*(part.column(part.schema.get_field_index(c)) for c in kept), lists], [*kept, column])
@@ -366,10 +463,10 @@ def report(docs: DataFrame, model_path: str = MODEL, dropout: float = DROPOUT, s
     held = docs.sparkSession.sparkContext.broadcast(Model.read(model_path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = held.value
+        model, memo = held.value, memos()
         for batch in batches:
             for part in rows_of(batch, "text", 2 << 20):
-                flat, counts = encode_texts(part.column(1), _drawn(part.column(0), seed), model, dropout, seed)
+                flat, counts = encode_texts(part.column(1), _drawn(part.column(0), seed), model, dropout, seed, memo)
                 back = decode_tokens(flat, counts, model)
                 ends = np.cumsum(np.concatenate([[0], counts])).tolist()
                 texts = [x.as_buffer().to_pybytes() if x.is_valid else b"" for x in part.column(1)]

@@ -149,6 +149,26 @@ def test_sharing_changes_no_tokens(monkeypatch):
     assert all((a == b).all() for a, b in zip(want, got, strict=True))
 
 
+def test_what_a_task_keeps_changes_no_tokens():
+    model = piece_dropout.Model.read()
+    batches = [pa.array([t, "unbelievable internationalization of the the the " * k]) for k, t in enumerate(TEXTS + TEXTS)]
+    for dropout in (0.0, 0.2):
+        want = [piece_dropout.encode_texts(b, np.array([3, 4]), model, dropout) for b in batches]
+        for most in (4_000_000, 40, 0):
+            memo = piece_dropout.Memo(3, np.uint8, most), piece_dropout.Memo(1, np.int32, most)
+            got = [piece_dropout.encode_texts(b, np.array([3, 4]), model, dropout, memo=memo) for b in batches]
+            assert all(np.array_equal(x, y) for w, g in zip(want, got, strict=True) for x, y in zip(w, g, strict=True))
+
+
+def test_the_hash_table_finds_every_pair_and_no_other():
+    model, rng = piece_dropout.Model.read(), np.random.default_rng(4)
+    left, right = np.divmod(model.pairs, model.symbols)
+    assert np.array_equal(model.place(left, right), np.arange(len(model.pairs)))
+    a, b = rng.integers(-1, model.symbols, (2, 100_000))
+    known = np.isin(a * model.symbols + b, model.pairs) & (a >= 0) & (b >= 0)
+    assert np.array_equal(model.place(a, b) >= 0, known)
+
+
 def test_tokens_and_text_round_trip(spark):
     df = docs(spark, TEXTS).withColumn("tokens", F.lit("clash"))
     coded = piece_dropout.with_tokens(df)
