@@ -40,7 +40,7 @@ from shapesig.llm.kernels import mixed, ragged, xxh64_spans
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE_SIGN = "▁"
-LONG, SHARED, DROPOUT, SEED = 48, 16, 0.1, 20
+LONG, SHARED, DROPOUT, SEED = 48, 6, 0.1, 20
 _U = np.uint64
 _K = tuple(_U(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
