@@ -87,6 +87,15 @@ def test_searches_shuffle_no_candidate_pairs(spark, plan):
         assert "Join" not in plan(workloads.queries()[name](spark, SF))
 
 
+def test_a_task_hands_on_k_rows_a_query_however_many_candidates_it_met(spark):
+    poly = workloads.prepared(spark, SF, "cust")
+    q, k = workloads.query_set(poly), 3
+    found = S.nearest(poly, q, k, False, P.global_frame(poly), (1,)).withColumn("task", F.spark_partition_id())
+    rows = found.where("qid IS NOT NULL").groupBy("task", "qid").count().agg(F.max("count"), F.sum("count")).first()
+    met = found.where("qid IS NULL").agg(F.sum("cands")).first()[0]
+    assert rows[0] <= k and met > 2 * rows[1]
+
+
 def test_all_pairs_of_the_first_law_stay_in_their_tasks(spark, duck, same, plan):
     for name in ("w16_theorem1_cust", "w16_theorem1_emb"):
         got = workloads.queries()[name](spark, SF)
