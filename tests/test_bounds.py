@@ -111,3 +111,31 @@ def test_held_points_row_by_row_equal_the_join(spark):
     joined = contained(poly, F.broadcast(samples(spark, frame, [0], 1, 64)))
     alone = holding(poly, frame, 0, 64).select("pid", F.lit(0).alias("slot"), F.explode("attempts").alias("attempt"))
     assert sorted(map(tuple, joined.collect())) == sorted(map(tuple, alone.collect()))
+
+
+def copied(spark, name, times):
+    """A layer and its copies, ids shifted: each ring is asked for by several queries."""
+    poly = workloads.prepared(spark, SF, name)
+    return workloads.settle(poly.crossJoin(spark.range(times)).withColumn("pid", F.col("pid") + 100000 * F.col("id")).drop("id"))
+
+
+def test_queries_of_one_ring_are_met_once_and_lose_nothing(spark):
+    poly = copied(spark, "cust", 6)
+    q, frame = poly.where("pid % 10 = 0"), P.global_frame(poly)
+    index, probes = (ix.bucket_index(signature(p, frame, 1, 2), 1, 2) for p in (poly, q))
+    cand = ix.candidates(probes, index)
+    n = q.count()
+    for k in (1, 3, 9):
+        assert sorted(map(tuple, S.knn_approx(poly, q, frame, k, 1).collect())) == sorted(map(tuple, S.top_k(S.refine(cand, poly, q), k).collect()))
+        for own in (True, False):
+            a, b = (sorted(map(tuple, S.knn_exact(poly, q, k, own, bounds=on).collect())) for on in (True, False))
+            assert a == b and len(a) == n * k
+    a, b = (sorted(map(tuple, S.knn_exact(poly, q, None, bounds=on, most=0.3).collect())) for on in (True, False))
+    assert a == b
+    found = S.nearest(poly, q, 3, False, frame, (1,))
+    assert found.where("qid IS NULL").agg(F.sum("cands")).first()[0] == cand.count()
+    every = S.nearest_set(S.knn_exact(poly, q, None, bounds=False, most=1.0)).select("qid", "pid", "jd")
+    assert sorted(map(tuple, every.collect())) == sorted(map(tuple, S.nearest_set(S.knn_exact(poly, q, 1, ties=True)).select("qid", "pid", "jd").collect()))
+    # Not 3 rows for each query and task, of which there are 4 at least.
+    assert found.where("qid IS NOT NULL").count() <= 4 * n and poly.rdd.getNumPartitions() >= 4
+    assert sum(len(b.once()) for b in S.query_blocks(q)) * 6 == n
