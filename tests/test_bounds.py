@@ -87,6 +87,12 @@ def test_searches_shuffle_no_candidate_pairs(spark, plan):
         assert "Join" not in plan(workloads.queries()[name](spark, SF))
 
 
+def test_the_checkpoint_of_a_search_has_no_column_that_it_does_not_read(spark, plan):
+    for name in ("w9_knn_approx_cust_m1", "w9_knn_approx_doc_m3"):
+        scan = plan(workloads.queries()[name](spark, SF)).split("Scan ExistingRDD", 1)[1]
+        assert "ring#" in scan and "cx#" not in scan and "area2#" not in scan
+
+
 def test_a_task_hands_on_k_rows_a_query_however_many_candidates_it_met(spark):
     poly = workloads.prepared(spark, SF, "cust")
     q, k = workloads.query_set(poly), 3
