@@ -1,6 +1,7 @@
 """Searches that spare work by what shapes hold of a grid's cells: nothing is lost, and pairs stay in their task."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -145,3 +146,19 @@ def test_queries_of_one_ring_are_met_once_and_lose_nothing(spark):
     # Not 3 rows for each query and task, of which there are 4 at least.
     assert found.where("qid IS NOT NULL").count() <= 4 * n and poly.rdd.getNumPartitions() >= 4
     assert sum(len(b.once()) for b in S.query_blocks(q)) * 6 == n
+
+
+def test_a_search_gathers_its_shapes_in_as_many_tasks_as_cores(spark):
+    poly = workloads.settle(workloads.prepared(spark, SF, "cust_sized").repartition(23))
+    q = workloads.query_set(poly)
+    found = S.nearest(poly, q, 5, True, P.global_frame(poly), (2,))
+    assert found.rdd.getNumPartitions() <= spark.sparkContext.defaultParallelism < 23
+    exact = S.top_k(found.where("m = 0"), 5)
+    assert sorted(map(tuple, exact.collect())) == sorted(map(tuple, S.knn_exact(poly, q, 5, bounds=False).collect()))
+
+
+def test_gathered_batches_hold_the_same_rows_in_order():
+    parts = [pa.record_batch({"pid": list(range(a, b))}) for a, b in ((0, 3), (3, 3), (3, 11), (11, 12))]
+    got = list(S.gathered(iter(parts), 5))
+    assert [b.num_rows for b in got] == [5, 5, 2] and [v for b in got for v in b.column(0).to_pylist()] == list(range(12))
+    assert not list(S.gathered(iter(parts[1:2]), 5))
